@@ -88,12 +88,12 @@ def crc_mod(column: pa.Array, mod: int) -> np.ndarray:
     return np.array([zlib.crc32(b"" if v is None else str(v).encode()) % mod for v in column.to_pylist()], dtype=np.int64)
 
 
-def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: T.StructType | str, text_col: str = "text") -> DataFrame:
-    """Apply ``fn`` to chunks of bounded text size; it gives a record batch of ``schema``."""
+def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: T.StructType | str, text_col: str = "text", limit: int = CHUNK_BYTES) -> DataFrame:
+    """Apply ``fn`` to chunks of bounded text size; it gives a record batch of ``schema`` or None."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in chunks(batch, text_col):
+            for part in chunks(batch, text_col, limit):
                 out = fn(part)
                 if out is not None and out.num_rows:
                     yield out

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, licenses, linededup, mixing, quality_rules, simhash
+from . import bpe, licenses, linededup, lm, mixing, quality_rules, simhash
 from .common import documents
 
 #: A mixture with uneven weights at each level; up to four epochs of a leaf.
@@ -28,6 +28,13 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.select(documents(spark, sf_dir), TARGET, domain_of_source())[0]
 
 
+def op3_lm_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    scored = lm.TrieModel(docs, train=(10, {0})).score(docs)
+    held = lm.held_out_column(scored, 10, {0}).alias("held_out")
+    return scored.select("doc_id", held, "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(documents(spark, sf_dir), shingle=3)
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
@@ -51,7 +58,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op4_simhash, op6_bpe, op7_line_dedup, op9_licenses, op10_quality_rules)}
+    return {f.__name__: f for f in (op1_mixing, op3_lm_trie, op4_simhash, op6_bpe, op7_line_dedup, op9_licenses, op10_quality_rules)}
 
 
 def oracle_sql() -> dict[str, str]:
