@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, licenses, linededup, lm, mixing, quality_rules, simhash
+from . import bpe, crf, licenses, linededup, lm, mixing, quality_rules, simhash, tiff, warc
 from .common import documents
 
 #: A mixture with uneven weights at each level; up to four epochs of a leaf.
@@ -28,6 +28,10 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.select(documents(spark, sf_dir), TARGET, domain_of_source())[0]
 
 
+def op2_tiff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tiff.text_media(documents(spark, sf_dir))
+
+
 def op3_lm_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
     scored = lm.TrieModel(docs, train=(10, {0})).score(docs)
@@ -40,6 +44,12 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+def op5_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = warc.pages_as_warc(spark.read.parquet(f"{sf_dir}/pages.parquet"))
+    made = warc.derivatives(pages, ["page_id"])
+    return made.withColumn("record_sha256", F.sha2("record", 256)).drop("record")
+
+
 def op6_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_documents(documents(spark, sf_dir), with_ids=False)
 
@@ -48,6 +58,13 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return linededup.digests(documents(spark, sf_dir), min_docs=10)
 
 
+def op8_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
+    model = crf.fit(*crf.labelled_sample(docs, labels, crf.train_rows(4, {2}), max_docs=4000, max_lines=500))
+    scored = crf.score(docs, model)
+    return scored.select("doc_id", lm.held_out_column(scored, 4, {2}).alias("held_out"), "score", "predicted", "n_lines", "n_bad_lines")
+
+
 def op9_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(documents(spark, sf_dir))
 
@@ -58,7 +75,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mixing, op3_lm_trie, op4_simhash, op6_bpe, op7_line_dedup, op9_licenses, op10_quality_rules)}
+    return {f.__name__: f for f in (op1_mixing, op2_tiff, op3_lm_trie, op4_simhash, op5_warc, op6_bpe, op7_line_dedup, op8_quality_crf, op9_licenses, op10_quality_rules)}
 
 
 def oracle_sql() -> dict[str, str]:
