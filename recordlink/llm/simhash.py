@@ -157,7 +157,8 @@ def near_duplicates(df: DataFrame, shingle: int = 3, list_limit: int = 64, id_co
     found = common.settle(components(links(nodes.select("fp"), list_limit)))
     smallest = found.join(nodes.withColumnRenamed("fp", "node"), "node").groupBy("root").agg(F.min("first_id").alias("component_id"))
     named = found.join(smallest, "root").select(F.col("node").alias("fp"), "component_id")
-    named = nodes.join(named, "fp", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id"))
+    named = common.settle(nodes.join(named, "fp", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id")))
+    # The only join that a group of copies can skew; alone in its stage, so Spark may split the group.
     return rows.join(named, "fp").select("doc_id", "fp", "component_id")
 
 
