@@ -1,0 +1 @@
+"""Record linkage for Spark: serialize, encode, gather, verify, select, tag."""
