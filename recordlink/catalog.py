@@ -174,11 +174,11 @@ def _emb_sql(k: int, metric: str = "cosine") -> str:
     a, b = "a.embedding::DOUBLE[]", "b.embedding::DOUBLE[]"
     sim = {"cosine": f"list_cosine_similarity({a}, {b})", "dot": f"list_dot_product({a}, {b})", "euclidean": f"-list_distance({a}, {b})"}[metric]
     return f"""WITH s AS (SELECT a.vec_id AS qid, b.vec_id AS rid, round({sim}, 9) AS sim FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id)
-SELECT qid, rid, rank::INT AS rank, round(sim, 6) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM s) WHERE rank <= {k}"""
+SELECT qid, rid, rank::INT AS rank, round(sim, 9) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM s) WHERE rank <= {k}"""
 
 
 def _six(df: DataFrame) -> DataFrame:
-    return df.withColumn("sim", F.round("sim", 6))
+    return df.withColumn("sim", F.round("sim", 9))
 
 
 for _name, _k, _metric in (("k1", 1, "cosine"), ("k5", 5, "cosine"), ("k10", 10, "cosine"), ("euclid", 5, "euclidean"), ("dot", 5, "dot")):
@@ -188,7 +188,7 @@ query("knn_sql_embeddings", _emb_sql(5))(lambda s, d: _six(G.knn_sql(_emb(s, d,
 
 PLANTED_SQL = f"p AS (SELECT qid, truth_rid, list_transform(list_zip(a, b), lambda x: x[1]::DOUBLE + alpha * x[2]::DOUBLE) AS vec FROM ({X.duck(X.planted())}))"
 _NEAR = "s AS (SELECT p.qid, e.vec_id AS rid, round(list_cosine_similarity(p.vec, e.embedding::DOUBLE[]), 9) AS sim FROM p CROSS JOIN embeddings e)"
-PLANTED_TOP = f"WITH {PLANTED_SQL}, {_NEAR} SELECT qid, rid, rank::INT AS rank, round(sim, 6) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM s) WHERE rank <= 3"
+PLANTED_TOP = f"WITH {PLANTED_SQL}, {_NEAR} SELECT qid, rid, rank::INT AS rank, round(sim, 9) AS sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM s) WHERE rank <= 3"
 
 
 def _vecs(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
@@ -239,7 +239,7 @@ def density_labels(s: SparkSession, d: str) -> DataFrame:
     return G.DensityIndex.fit(every, eps=0.6, min_pts=2).labels
 
 
-query("knn_sparse_users", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 6) AS sim FROM knn")(lambda s, d: _six(G.knn_sparse(_postings(s, d, "q"), _postings(s, d, "r"), 5)))
+query("knn_sparse_users", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")(lambda s, d: _six(G.knn_sparse(_postings(s, d, "q"), _postings(s, d, "r"), 5)))
 
 
 def _dense(s: SparkSession, d: str, hard: bool = False) -> tuple[DataFrame, DataFrame]:
@@ -247,7 +247,7 @@ def _dense(s: SparkSession, d: str, hard: bool = False) -> tuple[DataFrame, Data
     return ENCODER.encode(serialize_values(q, USER), "qid"), ENCODER.encode(serialize_values(r, USER), "rid")
 
 
-query("knn_dense_users", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 6) AS sim FROM knn")(lambda s, d: _six(G.knn_exact(*_dense(s, d), 5)))
+query("knn_dense_users", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")(lambda s, d: _six(G.knn_exact(*_dense(s, d), 5)))
 
 
 @query("rerank_union")
@@ -281,7 +281,7 @@ df AS (SELECT term, count(*)::DOUBLE AS df FROM rt GROUP BY 1)"""
         "bm25": "l AS (SELECT rid, sum(tf)::DOUBLE AS len FROM rt GROUP BY 1), m AS (SELECT avg(len) AS mean FROM l), sims AS (SELECT qid, rt.rid, round(sum(qtf * ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2::DOUBLE / (tf + 1.2::DOUBLE * (0.25::DOUBLE + 0.75::DOUBLE * len / mean))), 9) AS sim FROM qt JOIN rt USING (term) JOIN df USING (term) JOIN l ON l.rid = rt.rid CROSS JOIN m CROSS JOIN n GROUP BY 1, 2)",
         "tfidf": "i AS (SELECT term, ln((1 + n) / (1 + df)) + 1 AS idf FROM df CROSS JOIN n), qw AS (SELECT qid, term, qtf * idf AS w FROM qt JOIN i USING (term)), rw AS (SELECT rid, term, tf * idf AS w FROM rt JOIN i USING (term)), a AS (SELECT qid, sqrt(sum(w * w)) AS n FROM qw GROUP BY 1), b AS (SELECT rid, sqrt(sum(w * w)) AS n FROM rw GROUP BY 1), c AS (SELECT qid, rid, sum(qw.w * rw.w) AS d FROM qw JOIN rw USING (term) GROUP BY 1, 2), sims AS (SELECT qid, rid, round(d / (a.n * b.n), 9) AS sim FROM c JOIN a USING (qid) JOIN b USING (rid))",
     }[scorer]
-    return f"WITH {BOTH}, {base}, {own}, {_knn_sql(k)} SELECT qid, rid, rank, round(sim, 6) AS sim FROM knn"
+    return f"WITH {BOTH}, {base}, {own}, {_knn_sql(k)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn"
 
 
 for _scorer in ("bm25", "tfidf", "overlap", "trigram"):
@@ -297,7 +297,7 @@ def bench_lexical(s: SparkSession, d: str) -> DataFrame:
 
 
 _EQ = " AND ".join(f"s.{n} = r.{n} AND s.{n} <> ''" for n in FIELDS)
-_RANK = "SELECT qid, rid, (row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid))::INT AS rank, round(sim, 6) AS sim FROM sims"
+_RANK = "SELECT qid, rid, (row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid))::INT AS rank, round(sim, 9) AS sim FROM sims"
 _KEYS = ("email", "username", "domain")
 _ANY = " UNION ALL ".join(f"SELECT qid, rid FROM srv s JOIN ref r ON s.{n} = r.{n} AND s.{n} <> ''" for n in _KEYS)
 query("joint_all", f"WITH {BOTH}, sims AS (SELECT qid, rid, 1.0::DOUBLE AS sim FROM srv s JOIN ref r ON {_EQ}) {_RANK}")(lambda s, d: _six(joint_query(_srv(s, d), _ref(s, d), mode="all")))
@@ -313,9 +313,9 @@ sims AS (SELECT *, 1.0::DOUBLE AS sim FROM a UNION ALL SELECT *, 1 - 1 / 3.0::DO
 
 query(
     "brute_score_top1",
-    f"WITH {BOTH}, sims AS (SELECT qid, r.rid, round({_score_sql(WEIGHTS)}, 9) AS sim FROM srv s CROSS JOIN ref r), {_knn_sql(1)} SELECT qid, rid, rank, round(sim, 6) AS sim FROM knn",
+    f"WITH {BOTH}, sims AS (SELECT qid, r.rid, round({_score_sql(WEIGHTS)}, 9) AS sim FROM srv s CROSS JOIN ref r), {_knn_sql(1)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn",
 )(lambda s, d: _six(brute_score(_srv(s, d), _ref(s, d), USER)))
-query("brute_cosine_over_08", f"WITH {PLANTED_SQL}, {_NEAR}, t AS (SELECT * FROM s WHERE sim > 0.8) SELECT qid, rid, (row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid))::INT AS rank, round(sim, 6) AS sim FROM t")(
+query("brute_cosine_over_08", f"WITH {PLANTED_SQL}, {_NEAR}, t AS (SELECT * FROM s WHERE sim > 0.8) SELECT qid, rid, (row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid))::INT AS rank, round(sim, 9) AS sim FROM t")(
     lambda s, d: _six(G.brute_cosine(*_vecs(s, d), threshold=0.8))
 )
 query("edit_join_q2", f"WITH {BOTH} SELECT qid, rid, levenshtein(s.username, r.username)::INT AS d FROM srv s JOIN ref r ON abs(length(s.username) - length(r.username)) <= 2 WHERE levenshtein(s.username, r.username) <= 2")(
@@ -343,11 +343,11 @@ for _norm in ("maxlen", "sumlen", "metric"):
     )
 query("sim_indel")(lambda s, d: _true_pairs(s, d).select("qid", *_each(lambda a, b: F.round(field_similarity(a, b, "indel"), 6))))
 
-_SCORE = "SELECT qid, rid, round(score, 6) AS score FROM scored"
+_SCORE = "SELECT qid, rid, round(score, 9) AS score FROM scored"
 
 
 def _score_out(df: DataFrame) -> DataFrame:
-    return df.select("qid", "rid", F.round("score", 6).alias("score"))
+    return df.select("qid", "rid", F.round("score", 9).alias("score"))
 
 
 CUSTOM = {"email": 0.2, "username": 0.2, "domain": 0.2, "servername": 0.2, "status": 0.2}
@@ -359,12 +359,12 @@ query("score_custom_weights", f"WITH {BOTH}, {PAIRS}, {SCORED.replace(_score_sql
 query("score_missing_renorm", f"WITH {BOTH}, {PAIRS}, {SCORED.replace(_score_sql(WEIGHTS), f'({_top}) / ({_low})')} {_SCORE}")(lambda s, d: _score_out(_scored(s, d, missing="renormalize")))
 query("score_pruned", f"WITH {BOTH}, {PAIRS}, {SCORED} {_SCORE} WHERE score >= 0.7 - 1e-12")(lambda s, d: _score_out(_scored(s, d, prune=0.7).where("score is not null")))
 
-query("best_match", f"WITH {BOTH}, {PAIRS}, {SCORED}, {BEST} SELECT qid, rid, round(score, 6) AS score FROM best")(lambda s, d: _score_out(select_best(_scored(s, d))))
-query("best_match_window", f"WITH {BOTH}, {PAIRS}, {SCORED}, {BEST} SELECT qid, rid, round(score, 6) AS score FROM best")(lambda s, d: _score_out(select_best(_scored(s, d), how="window")))
-query("best_nearest", f"WITH {BOTH}, {SPARSE}, {_knn_sql(1)} SELECT qid, rid, round(sim, 6) AS score FROM knn")(lambda s, d: _score_out(select_nearest(G.knn_exact(*_dense(s, d), 5))))
+query("best_match", f"WITH {BOTH}, {PAIRS}, {SCORED}, {BEST} SELECT qid, rid, round(score, 9) AS score FROM best")(lambda s, d: _score_out(select_best(_scored(s, d))))
+query("best_match_window", f"WITH {BOTH}, {PAIRS}, {SCORED}, {BEST} SELECT qid, rid, round(score, 9) AS score FROM best")(lambda s, d: _score_out(select_best(_scored(s, d), how="window")))
+query("best_nearest", f"WITH {BOTH}, {SPARSE}, {_knn_sql(1)} SELECT qid, rid, round(sim, 9) AS score FROM knn")(lambda s, d: _score_out(select_nearest(G.knn_exact(*_dense(s, d), 5))))
 query(
     "best_mutual",
-    f"WITH {BOTH}, {PAIRS}, {SCORED}, m AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, rid) AS a, row_number() OVER (PARTITION BY rid ORDER BY score DESC, qid) AS b FROM scored) SELECT qid, rid, round(score, 6) AS score FROM m WHERE a = 1 AND b = 1",
+    f"WITH {BOTH}, {PAIRS}, {SCORED}, m AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, rid) AS a, row_number() OVER (PARTITION BY rid ORDER BY score DESC, qid) AS b FROM scored) SELECT qid, rid, round(score, 9) AS score FROM m WHERE a = 1 AND b = 1",
 )(lambda s, d: _score_out(mutual_best(_scored(s, d))))
 _parts = " UNION ALL ".join(f"SELECT p.qid, p.rid, '{n}' AS field, {w}::DOUBLE AS weight, round({_sim_sql(f's.{n}', f'r.{n}')}, 6) AS similarity, round({w}::DOUBLE * {_sim_sql(f's.{n}', f'r.{n}')}, 6) AS part FROM pairs p JOIN srv s USING (qid) JOIN ref r ON r.rid = p.rid" for n, w in WEIGHTS.items())
 query("pair_explain", f"WITH {BOTH}, {PAIRS} {_parts}")(lambda s, d: explain_pair(_scored(s, d), USER).select("qid", "rid", "field", "weight", F.round("similarity", 6).alias("similarity"), F.round("part", 6).alias("part")))
@@ -374,11 +374,11 @@ query("pair_explain", f"WITH {BOTH}, {PAIRS} {_parts}")(lambda s, d: explain_pai
 
 _CAND_SCORED = f"scored AS (SELECT p.qid, p.rid, p.sim, {_score_sql(WEIGHTS)} AS score FROM knn p JOIN srv s USING (qid) JOIN ref r ON r.rid = p.rid)"
 _CAND_BEST = "best AS (SELECT qid, rid, score, sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, sim DESC, rid) AS rn FROM scored) WHERE rn = 1)"
-_LINK_OUT = f"SELECT t.qid, t.rid, round(t.score, 6) AS score, round(b.sim, 6) AS sim, {TAG.replace('rid', 't.rid').replace('fields', 't.fields')} AS tag, array_to_string(t.fields, ',') AS fields FROM tagged t LEFT JOIN best b USING (qid)"
+_LINK_OUT = f"SELECT t.qid, t.rid, round(t.score, 9) AS score, round(b.sim, 9) AS sim, {TAG.replace('rid', 't.rid').replace('fields', 't.fields')} AS tag, array_to_string(t.fields, ',') AS fields FROM tagged t LEFT JOIN best b USING (qid)"
 
 
 def _link_out(df: DataFrame) -> DataFrame:
-    return df.select("qid", "rid", F.round("score", 6).alias("score"), F.round("sim", 6).alias("sim"), "tag", F.array_join("fields", ",").alias("fields"))
+    return df.select("qid", "rid", F.round("score", 9).alias("score"), F.round("sim", 9).alias("sim"), "tag", F.array_join("fields", ",").alias("fields"))
 
 
 def _linker(s: SparkSession, d: str, **kw) -> Linker:
@@ -394,14 +394,14 @@ query("link_no_verify", f"WITH {BOTH}, {SPARSE}, {_knn_sql(1)}, best AS (SELECT
 _TF_SIMS = "sims AS (SELECT qid, rid, round(d / sqrt(qn * rn), 9) AS sim FROM (SELECT qid, rid, sum(qw.w * rw.w) AS d FROM qw JOIN rw USING (term) GROUP BY 1, 2) JOIN (SELECT qid, sum(w * w) AS qn FROM qw GROUP BY 1) USING (qid) JOIN (SELECT rid, sum(w * w) AS rn FROM rw GROUP BY 1) USING (rid))"
 
 
-@query("link_tfidf", f"WITH {BOTH}, {TFIDF}, {_TF_SIMS}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST} SELECT qid, rid, round(score, 6) AS score FROM best")
+@query("link_tfidf", f"WITH {BOTH}, {TFIDF}, {_TF_SIMS}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST} SELECT qid, rid, round(score, 9) AS score FROM best")
 def link_tfidf(s: SparkSession, d: str) -> DataFrame:
     q, r = _tfidf(s, d)
     cands = G.knn_sparse(q, r, 5, "term", "w")
     return _score_out(select_best(composite_score(attach_fields(cands, _srv(s, d), _ref(s, d), USER), USER)))
 
 
-@query("link_sql", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST} SELECT qid, rid, round(score, 6) AS score FROM best")
+@query("link_sql", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST} SELECT qid, rid, round(score, 9) AS score FROM best")
 def link_by_sql(s: SparkSession, d: str) -> DataFrame:
     return _score_out(link_sql(G.knn_exact(*_dense(s, d), 5), _srv(s, d), _ref(s, d)))
 

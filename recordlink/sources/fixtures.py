@@ -27,11 +27,9 @@ SELECT c.c_custkey AS rid,
   regexp_extract(g.url, '^https?://([^/?#]+)', 1) AS domain,
   concat('server', cast(c.c_nationkey + 1 as string)) AS servername,
   CASE l.o_orderstatus WHEN 'F' THEN 'Terminated' WHEN 'O' THEN 'Active' WHEN 'P' THEN 'Suspended' ELSE 'Pending' END AS status
-FROM {{customer}} c
-CROSS JOIN (SELECT count(*) AS n FROM {{part}}) np
-CROSS JOIN (SELECT count(*) AS n FROM {{pages}}) ng
-JOIN {{part}} p ON p.p_partkey = c.c_custkey % np.n
-JOIN {{pages}} g ON g.page_id = c.c_custkey % ng.n
+FROM (SELECT c_custkey, c_nationkey, c_custkey % (SELECT count(*) FROM {{part}}) AS part_at, c_custkey % (SELECT count(*) FROM {{pages}}) AS page_at FROM {{customer}}) c
+JOIN {{part}} p ON p.p_partkey = c.part_at
+JOIN {{pages}} g ON g.page_id = c.page_at
 LEFT JOIN (
   SELECT o_custkey, o_orderstatus FROM (
     SELECT o_custkey, o_orderstatus, row_number() OVER (PARTITION BY o_custkey ORDER BY o_orderdate DESC, o_orderkey DESC) AS rn
@@ -82,8 +80,8 @@ def planted() -> str:
     return """
 SELECT a.vec_id + 1000000 AS qid, a.vec_id AS truth_rid, a.embedding AS a, b.embedding AS b,
   CASE a.vec_id % 4 WHEN 0 THEN 0.3e0 WHEN 1 THEN 0.6e0 WHEN 2 THEN 0.7e0 ELSE 1.0e0 END AS alpha
-FROM {embeddings} a CROSS JOIN (SELECT count(*) AS n FROM {embeddings}) c
-JOIN {embeddings} b ON b.vec_id = (a.vec_id + 1) % c.n"""
+FROM (SELECT vec_id, embedding, (vec_id + 1) % (SELECT count(*) FROM {embeddings}) AS after FROM {embeddings}) a
+JOIN {embeddings} b ON b.vec_id = a.after"""
 
 
 def duck(sql: str) -> str:
