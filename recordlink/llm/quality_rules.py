@@ -22,6 +22,10 @@ from . import common
 SYMBOLS = b"#*$%&|<>"
 #: Character classes: small and capital ASCII letters, digits, blanks, sentence marks, other ASCII, all beyond ASCII.
 CLASSES = 7
+#: Bytes of text whose words are counted together in a task.
+FIT_CHUNK = 12 << 20
+#: Hash groups of words in which the most frequent are ranked, step by step.
+RANK_GROUPS = (1024, 32, 1)
 
 
 def class_table() -> np.ndarray:
@@ -96,35 +100,35 @@ def fit(df: DataFrame, top_words: int = 100, min_docs: int = 20, max_languages:
             own = langs == lang
             n = np.bincount(t.codes[own[owner]], minlength=len(t.words))
             seen = np.flatnonzero(n)
-            words = pa.concat_arrays([t.words.take(pa.array(seen)).cast(pa.string()), pa.array([str(i) for i in range(CLASSES + 1)], pa.string())])
-            kinds = np.concatenate([np.zeros(len(seen), np.int32), np.ones(CLASSES + 1, np.int32)])
-            counts = np.concatenate([n[seen], chars[own].sum(0), [own.sum()]])
+            words = pa.concat_arrays([t.words.take(pa.array(seen)).cast(pa.string()), pa.array([str(i) for i in range(CLASSES + 2)], pa.string())])
+            kinds = np.concatenate([np.zeros(len(seen), np.int32), np.ones(CLASSES + 2, np.int32)])
+            counts = np.concatenate([n[seen], chars[own].sum(0), [own.sum(), n.sum()]])
             rows.append(pa.RecordBatch.from_arrays([pa.array([lang] * len(words), pa.string()), pa.array(kinds), words, pa.array(counts, pa.int64())], names=["lang", "kind", "word", "n"]))
         return pa.Table.from_batches(rows).combine_chunks().to_batches()[0]
 
-    counts = common.settle(common.map_arrow(src, run, "lang string, kind int, word string, n long").groupBy("lang", "kind", "word").agg(F.sum("n").alias("n")))
-    words = counts.where("kind = 0")
-    # The most frequent of each of 32 hash groups first, so that no task ranks a language's whole vocabulary.
-    part = Window.partitionBy("lang", F.pmod(F.xxhash64("word"), F.lit(32))).orderBy(F.desc("n"), "word")
-    whole = Window.partitionBy("lang").orderBy(F.desc("n"), "word")
-    top = words.withColumn("r", F.row_number().over(part)).where(F.col("r") <= top_words).drop("r")
-    top = top.withColumn("r", F.row_number().over(whole)).where(F.col("r") <= top_words).drop("r")
-    totals = words.groupBy("lang").agg(F.sum("n").alias("n")).select("lang", F.lit(2).alias("kind"), F.lit("").alias("word"), "n")
+    made = common.map_arrow(src, run, "lang string, kind int, word string, n long", limit=FIT_CHUNK)
+    counts = made.groupBy("lang", "kind", "word").agg(F.sum("n").alias("n"))
+    # The most frequent of many hash groups first, then of fewer: no task ranks a language's whole vocabulary.
+    top, most = counts, max(top_words, CLASSES + 2)
+    for groups in RANK_GROUPS:
+        w = Window.partitionBy("lang", "kind", F.pmod(F.xxhash64("word"), F.lit(groups))).orderBy(F.desc("n"), "word")
+        top = top.withColumn("r", F.row_number().over(w)).where(F.col("r") <= most).drop("r")
+    top = common.settle(top)
     enough = (F.col("kind") == 1) & (F.col("word") == str(CLASSES)) & (F.col("n") >= min_docs)
-    known = sorted(r["lang"] for r in counts.where(enough).select("lang").limit(max_languages + 1).collect())
+    known = sorted(r["lang"] for r in top.where(enough).select("lang").limit(max_languages + 1).collect())
     if len(known) > max_languages:
         raise ValueError(f"more than {max_languages} languages: the references would not stay small")
     got: dict[str, list] = {x: [np.zeros(CLASSES), [], 0.0] for x in known}
-    for r in top.unionByName(totals).unionByName(counts.where("kind = 1")).where(F.col("lang").isin(known)).collect():
+    for r in top.where(F.col("lang").isin(known)).collect() if known else []:
         if r["kind"] == 0:
             got[r["lang"]][1].append((-r["n"], r["word"].encode()))
-        elif r["kind"] == 2:
-            got[r["lang"]][2] = float(r["n"])
         elif int(r["word"]) < CLASSES:
             got[r["lang"]][0][int(r["word"])] = r["n"]
+        elif int(r["word"]) == CLASSES + 1:
+            got[r["lang"]][2] = float(r["n"])
     out = {}
     for lang, (chars, ranked, total) in got.items():
-        best = sorted(ranked)
+        best = sorted(ranked)[:top_words]
         counted = np.array([-n for n, _ in best], float)
         out[lang] = Reference(chars, {w: i for i, (_, w) in enumerate(best)}, np.append(counted, total - counted.sum()))
     return out
