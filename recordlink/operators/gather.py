@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.vectors import block_similarity, block_top, matrix, similarity, unit
+from ..functions.vectors import block_similarity, block_top, dot, matrix, similarity, unit
 from ..sources.shared import settle
 from .graph import connected
 
@@ -352,7 +352,9 @@ def lsh_candidates(q: DataFrame, ref: DataFrame, k: int = 5, bucket: float = 0.5
     from pyspark.ml.functions import array_to_vector
 
     _check(k)
-    norm = lambda df, i: df.select(i, array_to_vector(F.col("vec").cast("array<double>")).alias("features"))
+    size = F.sqrt(dot(F.col("vec"), F.col("vec")))
+    scaled = F.transform("vec", lambda x: F.when(size > 0, x / size).otherwise(0.0).cast("double"))
+    norm = lambda df, i: df.select(i, array_to_vector(scaled).alias("features"))
     model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=seed).fit(norm(ref, "rid"))
     pairs = model.approxSimilarityJoin(norm(q, "qid"), norm(ref, "rid"), reach, "d")
     return rerank(pairs.select(F.col("datasetA.qid").alias("qid"), F.col("datasetB.rid").alias("rid")), q, ref, k)

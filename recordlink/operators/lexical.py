@@ -114,10 +114,10 @@ def edit_join(a: DataFrame, b: DataFrame, col: str, max_dist: int, q: int = 2, a
     size = q * max_dist + 1
 
     def grams(df: DataFrame, i: str) -> DataFrame:
-        v = F.coalesce(F.col(col), F.lit(""))
-        pad = F.concat(F.repeat(F.lit("\u0001"), F.lit(q - 1)), v, F.repeat(F.lit("\u0002"), F.lit(q - 1)))
+        df = df.select(F.col(i), F.coalesce(F.col(col), F.lit("")).alias("_v"))
+        pad = F.concat(F.repeat(F.lit("\u0001"), F.lit(q - 1)), "_v", F.repeat(F.lit("\u0002"), F.lit(q - 1)))
         each = F.transform(F.sequence(F.lit(1), F.char_length(pad) - (q - 1)), lambda j: F.substring(pad, j, F.lit(q)))
-        g = df.select(F.col(i), v.alias("v"), F.explode(F.when(F.char_length(pad) >= q, each).otherwise(F.array(F.lit("")))).alias("g"))
+        g = df.select(i, F.col("_v").alias("v"), F.explode(F.when(F.char_length(pad) >= q, each).otherwise(F.array(F.lit("")))).alias("g"))
         w = Window.partitionBy(i, "g").orderBy("g")
         return g.withColumn("g", F.concat("g", F.lit("#"), F.row_number().over(w)))
 
@@ -131,12 +131,12 @@ def edit_join(a: DataFrame, b: DataFrame, col: str, max_dist: int, q: int = 2, a
     pa_, pb = prefix(ga, a_id).withColumnRenamed("v", "va"), prefix(gb, b_id).withColumnRenamed("v", "vb")
     by_gram = pa_.join(pb, "g").where(F.abs(F.char_length("va") - F.char_length("vb")) <= max_dist).select(a_id, b_id, "va", "vb")
     short = q * max_dist  # a value with no more grams than edits can destroy may share none
-    v = F.coalesce(F.col(col), F.lit(""))
-    sa = a.select(a_id, v.alias("va")).where(F.char_length("va") + q - 1 <= short).withColumn("n", F.explode(F.sequence(F.char_length("va") - max_dist, F.char_length("va") + max_dist)))
-    sb = b.select(b_id, v.alias("vb")).where(F.char_length("vb") + q - 1 <= short + max_dist).withColumn("n", F.char_length("vb"))
+    va, vb = (d.select(i, F.coalesce(F.col(col), F.lit("")).alias(n)) for d, i, n in ((a, a_id, "va"), (b, b_id, "vb")))
+    sa = va.where(F.char_length("va") + q - 1 <= short).withColumn("n", F.explode(F.sequence(F.char_length("va") - max_dist, F.char_length("va") + max_dist)))
+    sb = vb.where(F.char_length("vb") + q - 1 <= short + max_dist).withColumn("n", F.char_length("vb"))
     by_length = sa.join(sb, "n").select(a_id, b_id, "va", "vb")
-    ta = a.select(a_id, v.alias("va")).where(F.char_length("va") + q - 1 <= short + max_dist).withColumn("n", F.explode(F.sequence(F.char_length("va") - max_dist, F.char_length("va") + max_dist)))
-    tb = b.select(b_id, v.alias("vb")).where(F.char_length("vb") + q - 1 <= short).withColumn("n", F.char_length("vb"))
+    ta = va.where(F.char_length("va") + q - 1 <= short + max_dist).withColumn("n", F.explode(F.sequence(F.char_length("va") - max_dist, F.char_length("va") + max_dist)))
+    tb = vb.where(F.char_length("vb") + q - 1 <= short).withColumn("n", F.char_length("vb"))
     by_length = by_length.unionByName(ta.join(tb, "n").select(a_id, b_id, "va", "vb"))
     every = by_gram.unionByName(by_length).distinct()
     return every.withColumn("d", F.levenshtein(F.col("va"), F.col("vb"), max_dist)).where("d >= 0").select(a_id, b_id, "d")
