@@ -406,7 +406,7 @@ def link_by_sql(s: SparkSession, d: str) -> DataFrame:
     return _score_out(link_sql(G.knn_exact(*_dense(s, d), 5), _srv(s, d), _ref(s, d)))
 
 
-for _g, _o in (("pruned", {"pivots": 16}), ("ivf", {"cells": 16, "probes": 4}), ("forest", {"trees": 6}), ("lexical", {}), ("joint", {"mode": "any", "keys": _KEYS})):
+for _g, _o in (("pruned", {"pivots": 16}), ("ivf", {"cells": 16, "probes": 4}), ("forest", {"trees": 6}), ("lexical", {"df_share": 0.05}), ("joint", {"mode": "ladder"})):
     query(f"link_{_g}")(lambda s, d, g=_g, o=_o: _link_out(_linker(s, d, gatherer=g, options=o).link(_srv(s, d))))
 
 

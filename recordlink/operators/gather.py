@@ -119,7 +119,9 @@ def knn_sparse(qpost: DataFrame, rpost: DataFrame, k: int = 5, key: str = "bucke
     norm = lambda df, i: df.groupBy(i).agg(F.sum(F.col(weight) * F.col(weight)).cast("double").alias(f"{i}_norm"))
     a = qpost.select("qid", key, F.col(weight).alias("qw"))
     b = rpost.select("rid", key, F.col(weight).alias("rw"))
-    dots = a.join(b, key).groupBy("qid", "rid").agg(F.sum(F.col("qw") * F.col("rw")).cast("double").alias("d"))
+    spark = qpost.sparkSession
+    spread = max(2 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
+    dots = a.repartition(spread, key).join(b, key).groupBy("qid", "rid").agg(F.sum(F.col("qw") * F.col("rw")).cast("double").alias("d"))
     full = dots.join(norm(qpost, "qid"), "qid").join(norm(rpost, "rid"), "rid")
     return rank_top(full.select("qid", "rid", F.round(F.col("d") / F.sqrt(F.col("qid_norm") * F.col("rid_norm")), 9).alias("sim")), k)
 

@@ -8,6 +8,13 @@ from pyspark.sql import functions as F
 from ..schema import RecordSchema
 from .gather import rank_top
 
+
+def spread_count(df: DataFrame) -> int:
+    """Partitions for joins that make far more rows than they read, which Spark would merge into few by their bytes."""
+    spark = df.sparkSession
+    return max(2 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
+
+
 SCORERS = ("bm25", "tfidf", "overlap", "trigram")
 
 
@@ -31,6 +38,7 @@ def lexical_search(q: DataFrame, ref: DataFrame, k: int = 5, scorer: str = "bm25
     cut = trigrams if scorer == "trigram" else words
     qt = q.select("qid", F.explode(cut(F.col(text))).alias("term")).groupBy("qid", "term").agg(F.count("*").alias("qtf"))
     rt = ref.select("rid", F.explode(cut(F.col(text))).alias("term")).groupBy("rid", "term").agg(F.count("*").alias("tf"))
+    qt = qt.repartition(spread_count(q), "term")
     n = ref.agg(F.count("*").cast("double").alias("n"))
     df = rt.groupBy("term").agg(F.count("*").cast("double").alias("df")).join(F.broadcast(n))
     if df_share is not None:
@@ -95,13 +103,17 @@ def joint_query(q: DataFrame, ref: DataFrame, keys: tuple[str, ...] = ("email",
 
 
 def brute_score(q: DataFrame, ref: DataFrame, schema: RecordSchema, k: int = 1, partitions: int | None = None) -> DataFrame:
-    """Every pair's composite score, the k best of each query: the baseline that candidates replace."""
+    """Every pair's composite score, the k best of each query: the baseline that candidates replace.
+
+    Queries are dealt to chunks and each chunk meets the whole reference, so the pairs are spread evenly whatever the sizes.
+    """
     from .verify import composite_score
 
-    a = q.select("qid", *[F.col(n).alias(f"q_{n}") for n in schema.names])
-    b = ref.select("rid", *[F.col(n).alias(f"r_{n}") for n in schema.names])
-    spread = a.repartition(partitions or a.sparkSession.sparkContext.defaultParallelism * 2)
-    scored = composite_score(spread.crossJoin(b), schema).select("qid", "rid", F.round("score", 9).alias("sim"))
+    chunks = partitions or spread_count(q)
+    a = q.select("qid", *[F.col(n).alias(f"q_{n}") for n in schema.names], F.pmod(F.xxhash64("qid"), F.lit(chunks)).cast("int").alias("chunk"))
+    b = ref.select("rid", *[F.col(n).alias(f"r_{n}") for n in schema.names], F.explode(F.sequence(F.lit(0), F.lit(chunks - 1))).alias("chunk"))
+    pairs = a.repartition(chunks, "chunk").join(b.hint("merge"), "chunk")
+    scored = composite_score(pairs, schema).select("qid", "rid", F.round("score", 9).alias("sim"))
     return rank_top(scored, k)
 
 

@@ -28,7 +28,7 @@ OUT = "workload string, method string, variant string, k int, measure string, va
 METHODS = {
     "joint": {"gatherer": "joint", "options": {"mode": "ladder"}},
     "kmeans_ann": {"gatherer": "ivf", "options": {"cells": 32, "probes": 3, "inner": "exact"}},
-    "lexical": {"gatherer": "lexical", "options": {"scorer": "bm25"}},
+    "lexical": {"gatherer": "lexical", "options": {"scorer": "bm25", "df_share": 0.05}},
     "knn": {"gatherer": "knn"},
     "pruned": {"gatherer": "pruned", "options": {"pivots": 32}},
     "forest": {"gatherer": "forest", "options": {"trees": 10, "leaf": 64, "probes": 1}},
