@@ -29,7 +29,7 @@ from . import common
 
 #: Stand for the end of a text and its beginning; words hold no blanks.
 END, BEGIN = "\n", " "
-LM_CHUNK = 16 << 20
+LM_CHUNK = 10 << 20
 STEPS = 65535
 
 
@@ -302,7 +302,7 @@ def _store_words(folder: str):
 class TrieModel:
     """Vocabulary, level 2 and level 3 of the training rows of a table."""
 
-    def __init__(self, df: DataFrame, train: tuple[int, set[int]] | None = None, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 4_000_000) -> None:
+    def __init__(self, df: DataFrame, train: tuple[int, set[int]] | None = None, id_col: str = "doc_id", text_col: str = "text", shard_tokens: int = 3_000_000) -> None:
         """Learn from the rows whose crc32(id as text) modulo ``train[0]`` is not in ``train[1]`` (None: from all).
 
         A shard takes about ``shard_tokens`` tokens' n-grams; more tokens give more shards, not larger ones.
