@@ -49,6 +49,10 @@ def words_of(text: bytes) -> list[bytes]:
     return text.translate(TABLE).split()
 
 
+#: A template word in a larger share of the texts is not looked up.
+COMMON_SHARE = 0.2
+
+
 @dataclass
 class Index:
     """Postings ``word -> [(template, position)]``; ``idf`` by word; ``rare`` words of a file are looked up."""
@@ -56,6 +60,7 @@ class Index:
     templates: list[tuple[str, list[bytes], list[bytes]]]
     postings: dict[bytes, list[tuple[int, int]]]
     idf: dict[bytes, float]
+    known: frozenset[bytes]
     rare: int = 24
     min_share: float = 0.6
 
@@ -88,7 +93,10 @@ def build(counts: dict[str, int], rare: int = 24, min_share: float = 0.6) -> Ind
         for pos, w in enumerate(words):
             postings[w].append((k, pos))
     idf = {w: math.log((total + 1) / (counts.get(w.decode(), 0) + 1)) + 1 for w in postings}
-    return Index(templates, dict(postings), idf, rare, min_share)
+    # Words of every other text ("the", "of") are in no sense rare; among files that are mostly licences, all words count.
+    seldom = {w for w in postings if counts.get(w.decode(), 0) <= COMMON_SHARE * total}
+    known = frozenset(seldom if len(seldom) >= rare else postings)
+    return Index(templates, {w: postings[w] for w in known}, idf, known, rare, min_share)
 
 
 def _base(words: list[bytes], flat: bytes) -> tuple[list[int], set[str]]:
@@ -105,7 +113,7 @@ def _base(words: list[bytes], flat: bytes) -> tuple[list[int], set[str]]:
 
 def matches(words: list[bytes], flat: bytes, index: Index) -> list[tuple[str, int, float]]:
     """(label, shift, share of the template's looked-up rarity found there), of templates verified by their phrases."""
-    present = index.postings.keys() & set(words)
+    present = index.known.intersection(words)
     if len(present) < 3:
         return []
     chosen = set(sorted(present, key=lambda w: (-index.idf[w], w))[: index.rare])
@@ -115,7 +123,7 @@ def matches(words: list[bytes], flat: bytes, index: Index) -> list[tuple[str, in
             for k, pos in index.postings[w]:
                 votes[k, place - pos] += index.idf[w]
     full = [sum(index.idf[w] for w in passage if w in chosen) for _, passage, _ in index.templates]
-    whole = [sum(sorted((index.idf[w] for w in passage), reverse=True)[: index.rare]) for _, passage, _ in index.templates]
+    whole = [sum(sorted((index.idf[w] for w in passage if w in index.known), reverse=True)[: index.rare]) for _, passage, _ in index.templates]
     best: dict[int, tuple[float, int]] = {}
     for (k, shift), got in votes.items():
         near = got + sum(votes.get((k, shift + d), 0.0) for d in (-2, -1, 1, 2))  # a word put in or left out moves the rest

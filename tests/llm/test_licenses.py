@@ -48,3 +48,13 @@ def test_scattered_words_are_no_licence():
     for _, passage, _ in lic.TEMPLATES:
         words = sorted(passage.split())
         assert lic.scan_text(" ".join(words).encode(), INDEX)[5] == lic.scan_text(" ".join(words).encode(), INDEX)[4]
+
+
+def test_words_of_most_files_are_not_looked_up():
+    common = {"the", "of", "to", "and", "or", "in", "is", "a", "this", "you", "it", "for", "with", "on", "at", "by"}
+    index = lic.build({"": 1000} | {w: 900 for w in common})
+    assert not index.known & {w.encode() for w in common} and len(index.known) > 100
+    for label, passage, _ in lic.TEMPLATES:
+        assert label in lic.scan_text(f"x y z {passage} x y z".encode(), index)[5].split(",")
+    everywhere = lic.build({"": 10} | {w.decode(): 10 for w in lic.build({"": 1}).postings})
+    assert len(everywhere.known) == len(everywhere.postings) > 100
