@@ -111,7 +111,7 @@ def _judge(links: DataFrame, truth: DataFrame) -> dict[str, float]:
     return {n: float(r[n]) for n in ("accuracy", "precision", "recall", "f1")}
 
 
-def w3_encoder(spark: SparkSession, sf_dir: str, accept: float = 0.6) -> DataFrame:
+def w3_encoder(spark: SparkSession, sf_dir: str, accept: float | None = None) -> DataFrame:
     """The pipeline with the hashed encoder, word TF-IDF and character TF-IDF, on both workloads."""
     rows = []
     for hard in (False, True):
