@@ -14,7 +14,9 @@ import hashlib
 import heapq
 import json
 import unicodedata
+from array import array
 from functools import lru_cache
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -23,8 +25,10 @@ from pyspark.sql import DataFrame
 
 from . import common
 
-#: Words that a worker remembers at most; twice as many live while a generation is replaced.
-CACHE_WORDS = 300_000
+#: Runs of non-blanks that a worker remembers at most (twice as many live while a generation is replaced), and pieces: the same
+#: word in other letter case or with other marks around it is merged once.
+CACHE_WORDS = 100_000
+CACHE_PIECES = 250_000
 
 
 def byte_symbols() -> list[str]:
@@ -58,9 +62,15 @@ class WordBpe:
         self.cut = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.piece = regex.compile(split["pattern"]["Regex"], regex.V0)
+        self.pieces: dict[str, array] = {}
         self.young: dict[bytes, tuple[bytes, bytes]] = {}
         self.old: dict[bytes, tuple[bytes, bytes]] = {}
 
+    def shrink(self) -> None:
+        """Forget all but the first pieces seen, which are the frequent ones: the worker may do other work next."""
+        self.young, self.old = {}, {}
+        self.pieces = dict(islice(self.pieces.items(), CACHE_PIECES // 5))
+
     def merge(self, piece: bytes) -> list[int]:
         """The ids of one pre-token."""
         n = len(piece)
@@ -100,7 +110,12 @@ class WordBpe:
             elif part:
                 plain = part if part.isascii() else unicodedata.normalize("NFC", part).replace("Σ", "σ")
                 for piece in self.piece.findall(plain.lower()):
-                    out += self.merge(piece.encode())
+                    ids = self.pieces.get(piece)
+                    if ids is None:
+                        if len(self.pieces) >= CACHE_PIECES:
+                            self.pieces.clear()
+                        ids = self.pieces[piece] = array("I", self.merge(piece.encode()))
+                    out.extend(ids)
         return out
 
     def encoded(self, run: bytes) -> tuple[bytes, bytes]:
@@ -173,7 +188,7 @@ def encode_documents(df: DataFrame, path: str | None = None, id_cols: tuple[str,
             made["token_ids"] = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(packed), "<i4")))
         return made
 
-    return common.annotate(df, run, out, list(id_cols), text_col)
+    return common.annotate(df, run, out, list(id_cols), text_col, done=lambda: load(path or default_path()).shrink())
 
 
 def decode_ids(df: DataFrame, path: str | None = None, id_cols: tuple[str, ...] = ("doc_id",), ids_col: str = "token_ids") -> DataFrame:

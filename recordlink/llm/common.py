@@ -7,6 +7,7 @@ chunk once.
 
 from __future__ import annotations
 
+import ctypes
 import os
 import tempfile
 import uuid
@@ -24,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Bytes of text handled at once inside a task.
-CHUNK_BYTES = 8 << 20
+CHUNK_BYTES = 4 << 20
 
 
 def chunks(batch: pa.RecordBatch, text_col: str = "text", limit: int = CHUNK_BYTES) -> Iterator[pa.RecordBatch]:
@@ -80,7 +81,7 @@ def tokenize(column: pa.Array, lower: bool = True) -> Tokens:
         before = np.concatenate(([0], np.cumsum(real)))
         offsets, flat = before[offsets], flat.filter(pa.array(real))
     coded = flat.dictionary_encode()
-    return Tokens(offsets, np.asarray(coded.indices).astype(np.int64), coded.dictionary)
+    return Tokens(offsets, np.asarray(coded.indices), coded.dictionary)
 
 
 def crc_mod(column: pa.Array, mod: int) -> np.ndarray:
@@ -88,8 +89,17 @@ def crc_mod(column: pa.Array, mod: int) -> np.ndarray:
     return np.array([zlib.crc32(b"" if v is None else str(v).encode()) % mod for v in column.to_pylist()], dtype=np.int64)
 
 
-def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: T.StructType | str, text_col: str = "text", limit: int = CHUNK_BYTES) -> DataFrame:
-    """Apply ``fn`` to chunks of bounded text size; it gives a record batch of ``schema`` or None."""
+def release() -> None:
+    """Give freed memory back: a worker lives on after its task, and the next one's needs may differ."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # not glibc
+        pass
+
+
+def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], schema: T.StructType | str, text_col: str = "text", limit: int = CHUNK_BYTES, done: Callable[[], None] | None = None) -> DataFrame:
+    """Apply ``fn`` to chunks of bounded text size; it gives a record batch of ``schema`` or None.  ``done`` ends a task."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -97,11 +107,14 @@ def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], sch
                 out = fn(part)
                 if out is not None and out.num_rows:
                     yield out
+        if done:
+            done()
+        release()
 
     return df.mapInArrow(run, schema)
 
 
-def annotate(df: DataFrame, fn: Callable[[pa.Array], dict[str, pa.Array]], out: dict[str, str], keep: list[str], text_col: str = "text") -> DataFrame:
+def annotate(df: DataFrame, fn: Callable[[pa.Array], dict[str, pa.Array]], out: dict[str, str], keep: list[str], text_col: str = "text", done: Callable[[], None] | None = None) -> DataFrame:
     """The columns ``keep`` of df beside ``out`` (name: type), which ``fn`` makes from the text column.
 
     A kept column whose name equals an output's (letter case aside) comes back as ``<name>_in``; columns that are not
@@ -118,7 +131,7 @@ def annotate(df: DataFrame, fn: Callable[[pa.Array], dict[str, pa.Array]], out:
         made = fn(part.column(part.num_columns - 1))
         return pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(names))), *(made[c] for c in out)], names=final)
 
-    return map_arrow(src, run, schema)
+    return map_arrow(src, run, schema, done=done)
 
 
 # ---------------------------------------------------------------- shared files

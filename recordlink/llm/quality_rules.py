@@ -23,7 +23,7 @@ SYMBOLS = b"#*$%&|<>"
 #: Character classes: small and capital ASCII letters, digits, blanks, sentence marks, other ASCII, all beyond ASCII.
 CLASSES = 7
 #: Bytes of text whose words are counted together in a task.
-FIT_CHUNK = 12 << 20
+FIT_CHUNK = 10 << 20
 #: Hash groups of words in which the most frequent are ranked, step by step.
 RANK_GROUPS = (1024, 32, 1)
 
