@@ -49,8 +49,9 @@ def words_of(text: bytes) -> list[bytes]:
     return text.translate(TABLE).split()
 
 
-#: A template word in a larger share of the texts is not looked up.
+#: A template word in a larger share of the texts is not looked up, unless it is one of its template's OWN rarest.
 COMMON_SHARE = 0.2
+OWN = 12
 
 
 @dataclass
@@ -93,9 +94,12 @@ def build(counts: dict[str, int], rare: int = 24, min_share: float = 0.6) -> Ind
         for pos, w in enumerate(words):
             postings[w].append((k, pos))
     idf = {w: math.log((total + 1) / (counts.get(w.decode(), 0) + 1)) + 1 for w in postings}
-    # Words of every other text ("the", "of") are in no sense rare; among files that are mostly licences, all words count.
+    # Words of every other text ("the", "of") are in no sense rare, but a licence that many files hold keeps its own rarest.
     seldom = {w for w in postings if counts.get(w.decode(), 0) <= COMMON_SHARE * total}
-    known = frozenset(seldom if len(seldom) >= rare else postings)
+    for _, words, _ in templates:
+        seldom.update(sorted(set(words), key=lambda w: (-idf[w], w))[:OWN])
+    shared = not any(counts.get(w.decode(), 0) <= COMMON_SHARE * total for w in postings)
+    known = frozenset(postings if shared else seldom)
     return Index(templates, {w: postings[w] for w in known}, idf, known, rare, min_share)
 
 
