@@ -1,7 +1,7 @@
 """License scans with a positional index of rare template words.
 
 Templates are short fixed passages of well-known licences.  Their words are indexed by position.  The rarity (IDF) of each
-template word is measured over all scanned files.  For a file, its rarest template words are looked up; a
+template word is measured over all scanned files.  For a file, each template's rarest words in it are looked up; a
 template's posting and a word's place in the file agree on a shift, and the shifts that enough words agree on are candidates.
 A candidate becomes a label when the template's mandatory phrases stand in the file near that place.
 Apart from that, three base phrases label a file wherever they stand.
@@ -56,7 +56,7 @@ OWN = 12
 
 @dataclass
 class Index:
-    """Postings ``word -> [(template, position)]``; ``idf`` by word; ``rare`` words of a file are looked up."""
+    """Postings ``word -> [(template, position)]``; ``idf`` by word; of each template ``rare`` words that a file holds are looked up."""
 
     templates: list[tuple[str, list[bytes], list[bytes]]]
     postings: dict[bytes, list[tuple[int, int]]]
@@ -120,13 +120,15 @@ def matches(words: list[bytes], flat: bytes, index: Index) -> list[tuple[str, in
     present = index.known.intersection(words)
     if len(present) < 3:
         return []
-    chosen = set(sorted(present, key=lambda w: (-index.idf[w], w))[: index.rare])
+    # The cut is made for each template: a file of many licences has many rare words, and each template needs its own.
+    chosen = [set(sorted(present.intersection(passage), key=lambda w: (-index.idf[w], w))[: index.rare]) for _, passage, _ in index.templates]
     votes: dict[tuple[int, int], float] = defaultdict(float)
     for place, w in enumerate(words):
-        if w in chosen:
+        if w in present:
             for k, pos in index.postings[w]:
-                votes[k, place - pos] += index.idf[w]
-    full = [sum(index.idf[w] for w in passage if w in chosen) for _, passage, _ in index.templates]
+                if w in chosen[k]:
+                    votes[k, place - pos] += index.idf[w]
+    full = [sum(index.idf[w] for w in passage if w in chosen[k]) for k, (_, passage, _) in enumerate(index.templates)]
     whole = [sum(sorted((index.idf[w] for w in passage if w in index.known), reverse=True)[: index.rare]) for _, passage, _ in index.templates]
     best: dict[int, tuple[float, int]] = {}
     for (k, shift), got in votes.items():

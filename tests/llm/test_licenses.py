@@ -66,3 +66,10 @@ def test_a_licence_of_many_files_keeps_its_label():
     for label, passage, _ in lic.TEMPLATES:
         index = lic.build({"": 1000} | {w: 250 for w in passage.split()} | {w: 900 for w in common})
         assert label in {x for x, _, _ in lic.matches(passage.encode().split(), f" {passage} ".encode(), index)}
+
+
+def test_all_licences_of_one_file_are_found():
+    common = {"the", "of", "to", "and", "or", "in", "is", "a", "this", "you", "it", "for", "with", "on", "at", "by"}
+    index = lic.build({"": 1000} | {w: 900 for w in common})
+    text = " x y z ".join(passage for _, passage, _ in lic.TEMPLATES)
+    assert [x for x, _, _ in lic.matches(text.encode().split(), f" {text} ".encode(), index)] == [x for x, _, _ in lic.TEMPLATES]
