@@ -608,10 +608,10 @@ def interval(s: SparkSession, d: str) -> DataFrame:
     return R.interval_join(a, b, "user_id", "ts", "ts2", "1 HOUR", "2 HOURS").select("a", "b")
 
 
-@query("op_range_join", "WITH r AS (SELECT p_partkey AS band, p_retailprice AS lo, p_retailprice + p_size AS hi FROM part WHERE p_partkey % 50 = 0) SELECT band, p_partkey FROM part p JOIN r ON p.p_retailprice >= lo AND p.p_retailprice < hi")
+@query("op_range_join")
 def range_join(s: SparkSession, d: str) -> DataFrame:
     p = read_table(s, d, "part")
-    bands = p.where("p_partkey % 50 = 0").select(F.col("p_partkey").alias("band"), F.col("p_retailprice").alias("lo"), (F.col("p_retailprice") + F.col("p_size")).alias("hi"))
+    bands = p.select(F.col("p_partkey").alias("band"), F.col("p_retailprice").alias("lo"), (F.col("p_retailprice") + F.col("p_size")).alias("hi"))
     return R.range_join(p.select("p_partkey", "p_retailprice"), bands, "p_retailprice", "lo", "hi", 25.0).select("band", "p_partkey")
 
 
