@@ -259,7 +259,7 @@ def _page(data: bytes, tags: dict[str, list[int]], order: str, max_bytes: int) -
 
 
 def pages(data: bytes | None, max_bytes: int = 1 << 28) -> Iterator[tuple[np.ndarray | None, dict, str | None]]:
-    """(pixels, facts, error) of each page in directory order; a fault ends the walk with one row that names it."""
+    """(pixels, facts, error) of each page in directory order; a page's fault is its row, a fault of the directories ends the walk."""
     if not data or len(data) < 8 or data[:2] not in (b"II", b"MM"):
         yield None, {}, "not a TIFF file"
         return
@@ -276,7 +276,11 @@ def pages(data: bytes | None, max_bytes: int = 1 << 28) -> Iterator[tuple[np.nda
                 raise TiffError("directories in a circle")
             seen.add(at)
             tags, at = _directory(data, at, order, big)
-            pixels, about = _page(data, tags, order, max_bytes)
+            try:
+                pixels, about = _page(data, tags, order, max_bytes)
+            except (TiffError, struct.error) as e:
+                yield None, {}, str(e)
+                continue
             yield pixels, about, None
     except (TiffError, struct.error) as e:
         yield None, {}, str(e)

@@ -103,3 +103,18 @@ def test_every_text_comes_back(docs, odd, none):
             assert hashlib.sha256(tiff.store(tiff.payload((r["text"] or "").encode()))).hexdigest() == r["media_sha256"]
             assert by_text.setdefault(r["text"] or "", (r["media_sha256"], r["feature"])) == (r["media_sha256"], r["feature"])
     assert tiff.text_media(none).count() == 0
+
+
+def test_pages_after_a_faulty_one_are_read():
+    images = [np.full((4, 6), k, np.uint8) for k in range(3)]
+    data = bytearray(tiff.write(images, [tiff.DEFLATE] * 3))
+    (at,) = struct.unpack_from("<I", data, 4)
+    (n,) = struct.unpack_from("<H", data, at)
+    (at,) = struct.unpack_from("<I", data, at + 2 + 12 * n)
+    (n,) = struct.unpack_from("<H", data, at)
+    for k in range(n):
+        if struct.unpack_from("<H", data, at + 2 + 12 * k) == (259,):
+            struct.pack_into("<H", data, at + 2 + 12 * k + 8, 999)
+    got = list(tiff.pages(bytes(data)))
+    assert [e is None for _, _, e in got] == [True, False, True]
+    assert (got[2][0].squeeze() == 2).all()
