@@ -114,14 +114,27 @@ def map_arrow(df: DataFrame, fn: Callable[[pa.RecordBatch], pa.RecordBatch], sch
     return df.mapInArrow(run, schema)
 
 
+def free_names(keep: list[str], out) -> list[tuple[str, str]]:
+    """(column, its name beside the outputs) for each kept column: ``_in`` is added until no other column has the name, letter case
+    aside."""
+    wanted = {c.lower() for c in keep}
+    taken, names = {c.lower() for c in out}, []
+    for c in keep:
+        new = c
+        while new.lower() in taken or (new != c and new.lower() in wanted):
+            new += "_in"
+        taken.add(new.lower())
+        names.append((c, new))
+    return names
+
+
 def annotate(df: DataFrame, fn: Callable[[pa.Array], dict[str, pa.Array]], out: dict[str, str], keep: list[str], text_col: str = "text", done: Callable[[], None] | None = None) -> DataFrame:
     """The columns ``keep`` of df beside ``out`` (name: type), which ``fn`` makes from the text column.
 
-    A kept column whose name equals an output's (letter case aside) comes back as ``<name>_in``; columns that are not
-    kept are never read.  A null text is an empty one.
+    A kept column whose name equals an output's (letter case aside) comes back under a free name (see free_names); columns that
+    are not kept are never read.  A null text is an empty one.
     """
-    taken = {c.lower() for c in out}
-    names = [(c, f"{c}_in" if c.lower() in taken else c) for c in keep]
+    names = free_names(keep, out)
     src = df.select(*[F.col(f"`{c}`").alias(f"k{i}") for i, (c, _) in enumerate(names)], F.col(f"`{text_col}`").cast("string").alias("text"))
     fields = [T.StructField(new, df.schema[old].dataType) for old, new in names]
     schema = T.StructType(fields + T._parse_datatype_string(", ".join(f"{k} {v}" for k, v in out.items())).fields)

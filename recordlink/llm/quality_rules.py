@@ -207,7 +207,7 @@ def score(df: DataFrame, rules: Rules, keep: list[str], text_col: str = "text",
     """
     from pyspark.sql import types as T
 
-    names = [(c, f"{c}_in" if c.lower() in {x.lower() for x in OUT} else c) for c in keep]
+    names = common.free_names(keep, OUT)
     src = df.select(*[F.col(f"`{c}`").alias(f"k{i}") for i, (c, _) in enumerate(names)], F.col(f"`{lang_col}`").cast("string").alias("lang"), F.col(f"`{text_col}`").cast("string").alias("text"))
     schema = T.StructType([*(T.StructField(new, df.schema[old].dataType) for old, new in names), *T._parse_datatype_string(", ".join(f"{k} {v}" for k, v in OUT.items())).fields])
     n = len(names)

@@ -54,107 +54,119 @@ def packbits_encode(data: bytes) -> bytes:
         return b""
     a = np.frombuffer(data, np.uint8)
     edge = np.flatnonzero(np.concatenate(([True], a[1:] != a[:-1], [True])))
-    out, literal = [], []
+    long = np.flatnonzero(np.diff(edge) >= 3)  # texts have few runs: only they are looped over
+    out, at = [], 0
 
-    def flush() -> None:
-        raw = b"".join(literal)
-        literal.clear()
+    def literal(raw: bytes) -> None:
         for k in range(0, len(raw), 128):
             part = raw[k : k + 128]
             out.append(bytes([len(part) - 1]) + part)
 
-    for lo, hi in zip(edge.tolist(), edge[1:].tolist(), strict=False):
-        if hi - lo < 3:
-            literal.append(data[lo:hi])
-            continue
-        flush()
-        run = hi - lo
-        while run:
-            k = min(run, 128)
-            out.append(bytes([257 - k if k > 1 else 0, data[lo]]))
-            run -= k
-    flush()
+    for lo, hi in zip(edge[long].tolist(), edge[long + 1].tolist(), strict=True):
+        literal(data[at:lo])
+        for k in range(lo, hi, 128):
+            run = min(hi - k, 128)
+            out.append(bytes([257 - run if run > 1 else 0, data[lo]]))
+        at = hi
+    literal(data[at:])
     return b"".join(out)
 
 
+#: Bits of the codes after a clear code, in order: one entry early, twelve at most.
+CODE_BITS = np.array([min(12, (258 + j).bit_length()) for j in range(4096)])
+SINGLE = [bytes([i]) for i in range(256)] + [b"", b""]
+
+
+def _codes(data: np.ndarray, at: int) -> np.ndarray:
+    """The codes from bit ``at`` up to the next clear or end code, or to the data's end, as if each follows a clear code."""
+    got = []
+    while True:
+        most = min(4096, 8 * len(data) // 9)
+        bits = CODE_BITS[:most] if not got else CODE_BITS[-1:].repeat(most)
+        start = at + np.cumsum(bits) - bits
+        start = start[start + bits <= 8 * (len(data) - 2)]  # two bytes were put at the end
+        bits = bits[: len(start)]
+        byte = start >> 3
+        window = data[byte].astype(np.int64) << 16 | data[byte + 1].astype(np.int64) << 8 | data[byte + 2]
+        codes = window >> 24 - (start & 7) - bits & (1 << bits) - 1
+        ends = np.flatnonzero((codes == 256) | (codes == 257))
+        got.append(codes[: ends[0] + 1] if len(ends) else codes)
+        if len(ends) or len(codes) < 4096:
+            return np.concatenate(got)
+        at = int(start[-1] + bits[-1])
+
+
 def lzw_decode(data: bytes, limit: int) -> bytes:
     """At most ``limit`` bytes; codes are read most significant bit first and grow one entry early."""
-    base = [bytes([i]) for i in range(256)] + [b"", b""]
-    table, width, out, size, prev = base[:], 9, [], 0, None
-    bits = have = 0
-    for byte in data:
-        bits, have = (bits << 8 | byte) & 0xFFFFFFF, have + 8
-        if have < width:
-            continue
-        have -= width
-        code = bits >> have & (1 << width) - 1
-        if code == 256:
-            table, width, prev = base[:], 9, None
-            continue
-        if code == 257:
+    raw = np.frombuffer(data + b"\0\0", np.uint8)
+    at, out, size = 0, [], 0
+    while size < limit:
+        codes = _codes(raw, at)
+        if not len(codes):
             break
-        if prev is None:
-            if code > 255:
+        at += int(CODE_BITS[: len(codes)].sum()) + 12 * max(0, len(codes) - 4096)
+        last = int(codes[-1])
+        run = codes[:-1].tolist() if last in (256, 257) else codes.tolist()
+        if run:
+            if run[0] > 255:
                 raise TiffError("LZW: a first code beyond the bytes")
-            entry = table[code]
-        else:
-            if code < len(table):
-                entry = table[code]
-            elif code == len(table):
-                entry = prev + prev[:1]
-            else:
-                raise TiffError("LZW: a code ahead of the table")
-            table.append(prev + entry[:1])
-            if len(table) + 1 >> width and width < 12:
-                width += 1
-        out.append(entry)
-        prev = entry
-        size += len(entry)
-        if size >= limit:
+            table, known = SINGLE[:], 258
+            prev = table[run[0]]
+            made = [prev]
+            add, put = table.append, made.append
+            for code in run[1:]:
+                if code < known:
+                    entry = table[code]
+                elif code == known:
+                    entry = prev + prev[:1]
+                else:
+                    raise TiffError("LZW: a code ahead of the table")
+                if known < 4096:
+                    add(prev + entry[:1])
+                    known += 1
+                put(entry)
+                prev = entry
+            part = b"".join(made)
+            out.append(part)
+            size += len(part)
+        if last != 256:
             break
     return b"".join(out)[:limit]
 
 
 def lzw_encode(data: bytes) -> bytes:
-    out = bytearray()
-    bits = have = 0
-    width, table, fresh = 9, {}, 258
-
-    def put(code: int) -> None:
-        nonlocal bits, have
-        bits, have = bits << width | code, have + width
-        while have >= 8:
-            have -= 8
-            out.append(bits >> have & 0xFF)
-        bits &= (1 << have) - 1
-
-    put(256)
-    code = -1
-    for byte in data:
-        if code < 0:
-            code = byte
-            continue
-        found = table.get((code, byte))
+    """A clear code, codes, an end code; the table is cleared when it is full."""
+    codes, starts = [256], [1]  # starts: where a count of bits begins anew
+    table: dict[int, int] = {}
+    known, add, fresh = table.get, codes.append, 258
+    code = data[0] if data else -1
+    for byte in data[1:]:
+        key = code << 8 | byte
+        found = known(key)
         if found is not None:
             code = found
             continue
-        put(code)
-        table[code, byte] = fresh
+        add(code)
+        table[key] = fresh
         fresh += 1
         if fresh == 4095:
-            put(256)
-            table, width, fresh = {}, 9, 258
-        elif fresh >> width:
-            width += 1
+            add(256)
+            starts.append(len(codes))
+            table.clear()
+            fresh = 258
         code = byte
     if code >= 0:
-        put(code)
-        if fresh + 1 >> width:  # the reader makes one more entry here
-            width += 1
-    put(257)
-    if have:
-        out.append(bits << 8 - have & 0xFF)
-    return bytes(out)
+        add(code)
+    codes.append(257)
+    first = np.array(starts)
+    place = np.arange(len(codes)) - first[np.maximum(np.searchsorted(first, np.arange(len(codes)), side="right") - 1, 0)]
+    bits = CODE_BITS[np.maximum(place, 0)]
+    end = np.cumsum(bits)
+    at = end - bits
+    value = np.array(codes, np.int64) << 24 - (at & 7) - bits
+    size = int(end[-1]) + 7 >> 3
+    packed = sum(np.bincount((at >> 3) + k, weights=value >> 16 - 8 * k & 0xFF, minlength=size + 2) for k in range(3))
+    return packed[:size].astype(np.uint8).tobytes()
 
 
 def _inflate(data: bytes, limit: int) -> bytes:
@@ -286,21 +298,25 @@ def pages(data: bytes | None, max_bytes: int = 1 << 28) -> Iterator[tuple[np.nda
         yield None, {}, str(e)
 
 
-def write(images: list[np.ndarray], codecs: list[int], predictor: int = 2, rows_per_strip: int = 128, tile: tuple[int, int] | None = None, order: str = "<") -> bytes:
-    """A classic file of 8-bit pages (rows x columns, or rows x columns x samples), one codec a page."""
+def write(images: list[np.ndarray], codecs: list[int], predictor: int | dict[int, int] = 2, rows_per_strip: int = 128, tile: tuple[int, int] | list[tuple[int, int] | None] | None = None, order: str = "<") -> bytes:
+    """A classic file of 8-bit pages (rows x columns, or rows x columns x samples), one codec a page; ``tile`` (rows, columns)
+    for all pages or for each, None: strips; ``predictor`` for LZW and deflate, or by codec."""
     out = bytearray((b"II" if order == "<" else b"MM") + struct.pack(order + "HI", 42, 0))
     link = 4
-    for image, codec in zip(images, codecs, strict=True):
+    tiles = tile if isinstance(tile, list) else [tile] * len(images)
+    for image, codec, tile in zip(images, codecs, tiles, strict=True):
         pixels = image.reshape(image.shape[0], image.shape[1], -1)
         height, width, samples = pixels.shape
-        use = predictor if codec in (LZW, DEFLATE) else 1
+        use = predictor.get(codec, 1) if isinstance(predictor, dict) else predictor if codec in (LZW, DEFLATE) else 1
         bh, bw = tile or (min(rows_per_strip, height), width)
         places, counts = [], []
         for y in range(0, height, bh):
             for x in range(0, width, bw):
                 block = pixels[y : y + bh, x : x + bw]
                 if tile and block.shape[:2] != (bh, bw):
-                    block = np.pad(block, ((0, bh - block.shape[0]), (0, bw - block.shape[1]), (0, 0)))
+                    whole = np.zeros((bh, bw, samples), np.uint8)
+                    whole[: block.shape[0], : block.shape[1]] = block
+                    block = whole
                 raw = encode((_predict(block) if use == 2 else block).tobytes(), codec)
                 places.append(len(out))
                 counts.append(len(raw))
@@ -332,10 +348,11 @@ PAGE = {"page": "int", "width": "long", "height": "long", "samples": "int", "bit
 def explode_pages(df: DataFrame, keep: list[str], data_col: str = "data", max_bytes: int = 1 << 28) -> DataFrame:
     """``keep`` beside PAGE: a row for each page of the files in ``data_col``, pixels row by row in native byte order.
 
-    A null, empty or foreign value gives one row with ``error``.  A kept column whose name is among PAGE's comes back as
-    ``<name>_in``.
+    A null, empty or foreign value gives one row with ``error``, and so does a page that cannot be decoded or would take more than
+    ``max_bytes`` (a task's memory cannot spill).  Repeated rows each give their pages; an empty table gives none.  A kept column
+    whose name is among PAGE's comes back as ``<name>_in``.
     """
-    names = [(c, f"{c}_in" if c.lower() in PAGE else c) for c in keep]
+    names = common.free_names(keep, PAGE)
     schema = T.StructType([*(T.StructField(new, df.schema[old].dataType) for old, new in names), *T._parse_datatype_string(", ".join(f"{k} {v}" for k, v in PAGE.items())).fields])
     src = df.select(*[df[c].alias(f"k{i}") for i, (c, _) in enumerate(names)], df[data_col].alias("data"))
     kinds = [f.dataType for f in schema.fields[len(names) :]]
@@ -355,21 +372,31 @@ def explode_pages(df: DataFrame, keep: list[str], data_col: str = "data", max_by
     return common.map_arrow(src, run, schema, "data")
 
 
-WIDTH, PAGE_ROWS = 64, 1024
+#: A payload is a multiple of so many bytes; a page has so many samples a row and so many rows at most.
+UNIT, WIDTH, PAGE_ROWS = 64, 16, 4096
+#: Codec and layout of a file's pages in turn: any three that follow each other have every codec and both layouts.
+TURNS = [(LZW, False), (PACKBITS, True), (DEFLATE, False), (LZW, True), (PACKBITS, False), (DEFLATE, True)]
 
 
 def payload(text: bytes) -> bytes:
     """The text and zeros up to a positive multiple of 64 bytes."""
-    return text + b"\0" * (-len(text) % WIDTH or (0 if text else WIDTH))
+    return text + b"\0" * (-len(text) % UNIT or (0 if text else UNIT))
 
 
 def store(data: bytes) -> bytes:
-    """A payload as pages of 64 samples a row: LZW up to 1 KB, PackBits up to 2 KB, else deflate with a predictor.
-    Files of more than one page are tiled."""
+    """A payload as three pages or more of 16 samples a row, about equal in size.
+
+    Whatever its length, a file has pages in LZW, PackBits and deflate, in strips and in tiles; its content says with which of
+    TURNS it begins.  Deflate pages keep differences of samples, the others the samples themselves: differences of letters repeat less.
+    """
     rows = np.frombuffer(data, np.uint8).reshape(-1, WIDTH)
-    codec = LZW if len(data) <= 1024 else PACKBITS if len(data) <= 2048 else DEFLATE
-    images = [rows[i : i + PAGE_ROWS] for i in range(0, len(rows), PAGE_ROWS)]
-    return write(images, [codec] * len(images), tile=(128, 64) if len(images) > 1 else None)
+    n = max(3, -(-len(rows) // PAGE_ROWS))
+    first = zlib.crc32(data) % len(TURNS)
+    edges = [len(rows) * k // n for k in range(n + 1)]
+    images = [rows[lo:hi] for lo, hi in zip(edges, edges[1:], strict=False)]
+    turns = [TURNS[(first + k) % len(TURNS)] for k in range(n)]
+    tiles = [(min(128, -(-len(i) // 16) * 16), WIDTH) if tiled else None for i, (_, tiled) in zip(images, turns, strict=True)]
+    return write(images, [c for c, _ in turns], {DEFLATE: 2}, 512, tiles)
 
 
 def _feature(a: np.ndarray, n: int) -> str:
@@ -380,7 +407,11 @@ def _feature(a: np.ndarray, n: int) -> str:
 
 
 def text_media(df: DataFrame, keep: tuple[str, ...] = ("doc_id",), text_col: str = "text") -> DataFrame:
-    """Every text stored as a TIFF file and read back: the digests of op2, its pages and codec (null: the empty text)."""
+    """Every text stored as a TIFF file and read back: the digests of op2 and its pages.
+
+    A null text is the empty one; equal texts and repeated rows give equal values, texts of any length are stored whole, an empty
+    table gives no rows; kept columns of the same names come back as ``<name>_in``.
+    """
     out = {"n_bytes": "long", "payload_bytes": "long", "payload_sha256": "string", "tail_crc32": "long", "media_bytes": "long", "media_sha256": "string", "feature": "string", "n_pages": "long"}
 
     def run(column: pa.Array) -> dict[str, pa.Array]:
@@ -392,7 +423,7 @@ def text_media(df: DataFrame, keep: tuple[str, ...] = ("doc_id",), text_col: str
                 raise TiffError(next(e for _, _, e in got if e))
             back = np.concatenate([p.ravel() for p, _, _ in got])
             raw = back.tobytes()
-            for k, v in zip(out, (len(text), len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-WIDTH:]), len(media), hashlib.sha256(media).hexdigest(), _feature(back, len(got)), len(got)), strict=True):
+            for k, v in zip(out, (len(text), len(raw), hashlib.sha256(raw).hexdigest(), zlib.crc32(raw[-UNIT:]), len(media), hashlib.sha256(media).hexdigest(), _feature(back, len(got)), len(got)), strict=True):
                 cols[k].append(v)
         return {k: pa.array(v, pa.int64() if out[k] == "long" else pa.string()) for k, v in cols.items()}
 

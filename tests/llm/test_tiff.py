@@ -118,3 +118,99 @@ def test_pages_after_a_faulty_one_are_read():
     got = list(tiff.pages(bytes(data)))
     assert [e is None for _, _, e in got] == [True, False, True]
     assert (got[2][0].squeeze() == 2).all()
+
+
+def other_reader(data):
+    """A second reader, by strings of bits and plain lists, of what the writer makes: little-endian classic files of 8-bit grey pages."""
+    (at,) = struct.unpack_from("<I", data, 4)
+    while at:
+        (n,) = struct.unpack_from("<H", data, at)
+        tags = {}
+        for k in range(n):
+            tag, kind, count = struct.unpack_from("<HHI", data, at + 2 + 12 * k)
+            size = {3: 2, 4: 4}[kind] * count
+            place = at + 10 + 12 * k if size <= 4 else struct.unpack_from("<I", data, at + 10 + 12 * k)[0]
+            tags[tag] = struct.unpack_from(f"<{count}{'H' if kind == 3 else 'I'}", data, place)
+        (at,) = struct.unpack_from("<I", data, at + 2 + 12 * n)
+        (width,), (height,), (codec,) = tags[256], tags[257], tags[259]
+        tiled = 322 in tags
+        bw, bh = (tags[322][0], tags[323][0]) if tiled else (width, tags[278][0])
+        grid = [[0] * width for _ in range(height)]
+        across = -(-width // bw)
+        for k, (lo, size) in enumerate(zip(*((tags[324], tags[325]) if tiled else (tags[273], tags[279])), strict=True)):
+            raw, plain = data[lo : lo + size], []
+            if codec == 8:
+                plain = list(zlib.decompress(raw))
+            elif codec == 32773:
+                i = 0
+                while i < len(raw):
+                    c = raw[i]
+                    plain += raw[i + 1 : i + 2 + c] if c < 128 else raw[i + 1 : i + 2] * (257 - c)
+                    i += 2 + c if c < 128 else 2
+            else:
+                bits, p, size, table, prev = "".join(f"{b:08b}" for b in raw), 0, 9, {}, None
+                while True:
+                    c, p = int(bits[p : p + size], 2), p + size
+                    if c == 257:
+                        break
+                    if c == 256:
+                        table, size, prev = {i: [i] for i in range(256)}, 9, None
+                        continue
+                    entry = table[c] if c in table else prev + prev[:1]
+                    if prev is not None:
+                        table[len(table) + 2] = prev + entry[:1]
+                    size = 9 + sum(len(table) + 3 >= x for x in (512, 1024, 2048))
+                    plain += entry
+                    prev = entry
+            y0, x0 = k // across * bh, k % across * bw
+            for y in range(min(bh, height - y0)):
+                total = 0
+                for x in range(min(bw, width - x0)):
+                    total = (total + plain[y * bw + x]) % 256 if tags[317] == (2,) else plain[y * bw + x]
+                    grid[y0 + y][x0 + x] = total
+        yield codec, tiled, bytes(x for row in grid for x in row)
+
+
+def test_every_file_has_all_codecs_and_layouts_whatever_its_size():
+    kinds = set()
+    for n in (0, 1, 63, 64, 65, 1000, 2049, 70_000, 300_000):
+        for seed in range(4):
+            text = bytes(np.random.default_rng(n + seed).choice(list(b"etaoin shrdlu\n"), n))
+            data = tiff.payload(text)
+            got = list(other_reader(tiff.store(data)))
+            assert b"".join(p for _, _, p in got) == data
+            assert {c for c, _, _ in got} == {tiff.LZW, tiff.PACKBITS, tiff.DEFLATE} and {t for _, t, _ in got} == {True, False}
+            kinds |= {(c, t) for c, t, _ in got}
+    assert len(kinds) == 6
+
+
+def test_lzw_tables_that_are_never_cleared():
+    """A stream that goes on at twelve bits after its table is full."""
+    data = RNG.integers(0, 4, 50_000).astype(np.uint8).tobytes()
+    table, codes, word = {bytes([i]): i for i in range(256)}, [256], b""
+    for b in data:
+        if word + bytes([b]) in table:
+            word += bytes([b])
+            continue
+        codes.append(table[word])
+        if len(table) < 4094:
+            table[word + bytes([b])] = len(table) + 2
+        word = bytes([b])
+    codes += [table[word], 257]
+    bits = "".join(f"{c:0{9 if k == 0 else min(12, (257 + k).bit_length())}b}" for k, c in enumerate(codes))
+    raw = bytes(int(bits[i : i + 8].ljust(8, "0"), 2) for i in range(0, len(bits), 8))
+    assert len(codes) > 4200 and tiff.lzw_decode(raw, len(data)) == data
+
+
+def test_kept_names_clash_at_every_level(spark):
+    df = spark.createDataFrame([(1, "text", 2, 3, 4)], "doc_id long, text string, feature int, feature_in int, Feature_in_in int")
+    got = tiff.text_media(df, keep=("doc_id", "feature", "feature_in", "Feature_in_in"))
+    assert len({c.lower() for c in got.columns}) == len(got.columns)
+    row = got.first().asDict()
+    assert sorted(v for v in row.values() if isinstance(v, int) and v in (2, 3, 4)) == [2, 3, 4, 4] or {2, 3, 4} <= set(row.values())
+
+
+def test_a_very_long_text(spark):
+    text = "".join(f"line {i} of a long text\n" for i in range(120_000))
+    row = tiff.text_media(spark.createDataFrame([("a", text)], "doc_id string, text string")).first()
+    assert (row["n_bytes"], row["payload_bytes"], row["payload_sha256"], row["tail_crc32"]) == brute(text) and row["n_pages"] > 20
