@@ -1,12 +1,16 @@
 """SimHash near-duplicates through an inverted index of byte positions with count filtering.
 
-A fingerprint's eight bytes are its positional tokens.  Fingerprints at most ``max_bits`` = 2
-bits apart share at least 8 - 2 = 6 of them; cut into four blocks of two bytes, at least two whole
-blocks.  The index therefore keeps its postings under the six pairs of blocks (four positional
-bytes together): single bytes would have lists of N/256 entries, which no cluster can pair up.
-Two members of a list become a candidate pair in the first list that they share; the shared
-positional bytes are counted, pairs under the guaranteed six go, and the rest is verified by
-the bits that differ.
+A fingerprint's eight bytes, with their positions, are its tokens.  Fingerprints at most ``max_bits`` = 2
+bits apart share at least 8 - 2 = 6 of them.  Lists of single bytes would have N/256 entries, which no cluster can pair
+up, so the index keeps its postings under sets of four positions (lists of N/2^32): the fourteen sets {a, b, c, d} of the
+eight positions with a xor b xor c xor d = 0, in which any three positions lie together in exactly one.  A pair of fingerprints
+is tallied over the lists that it shares:
+
+    positional bytes shared   0-3   4        5   6   7   8
+    lists shared              0     0 or 1   1   3   7   14
+
+so a tally of three is the guaranteed minimum of six bytes, and no pair with fewer reaches it.  What is left is verified by the
+bits that differ.
 
 A list with more than ``list_limit`` members (a large group of near copies) is not paired up.  Its
 members are posted once more under the values within one bit of them: two members at most two bits
@@ -16,6 +20,8 @@ apart.  That is exact, and linear in the list.
 
 from __future__ import annotations
 
+from itertools import combinations
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -26,8 +32,10 @@ from . import common
 
 MAX_BITS = 2
 SEED = 42
-#: Block pairs of the fingerprint's four 16-bit blocks, most significant first.
-SLOTS = [(a, b) for a in range(4) for b in range(a + 1, 4)]
+#: The sets of four byte positions (0: most significant) under which fingerprints are posted.
+SLOTS = [x for x in combinations(range(8), 4) if x[0] ^ x[1] ^ x[2] ^ x[3] == 0]
+#: Lists that fingerprints with six positional bytes in common share.
+LEAST_LISTS = 3
 
 
 def fingerprint(words: list[bytes], shingle: int) -> int:
@@ -71,8 +79,8 @@ def fingerprints(df: DataFrame, shingle: int = 3, id_cols: tuple[str, ...] = ("d
     return common.annotate(df, run, {"fp": "long"}, list(id_cols), text_col)
 
 
-def _block(c, i: int):
-    return F.shiftrightunsigned(c, 48 - 16 * i).bitwiseAND(F.lit(0xFFFF))
+def _byte(c, i: int):
+    return F.shiftrightunsigned(c, 56 - 8 * i).bitwiseAND(F.lit(0xFF))
 
 
 def _shared_bytes(a, b):
@@ -80,39 +88,38 @@ def _shared_bytes(a, b):
     return sum(F.when(F.shiftrightunsigned(x, 8 * i).bitwiseAND(F.lit(0xFF)) == 0, 1).otherwise(0) for i in range(8))
 
 
+def _key(fp, positions: tuple[int, ...]):
+    out = _byte(fp, positions[0])
+    for i in positions[1:]:
+        out = F.shiftleft(out, 8).bitwiseOR(_byte(fp, i))
+    return out
+
+
 def links(distinct: DataFrame, list_limit: int = 64) -> DataFrame:
-    """Links ``(a, b)``, a < b, between the distinct longs of column ``fp``.
+    """Links ``(a, b, shared)``, a < b, between the distinct longs of column ``fp``; ``shared``: positional bytes in common.
 
-    Every link joins two fingerprints at most two bits apart, and any two that close are connected by links; lists
-    within the limit yield each of their close pairs once.
+    Every link joins two fingerprints at most two bits apart, and any two that close are connected by links; pairs
+    all of whose lists are within the limit are found by their tally, once each.
     """
     fp = F.col("fp")
-    keys = [F.struct(F.lit(s).alias("slot"), F.shiftleft(_block(fp, i), 16).bitwiseOR(_block(fp, j)).alias("key")) for s, (i, j) in enumerate(SLOTS)]
-    postings = distinct.select("fp", F.explode(F.array(*keys)).alias("p")).select("fp", "p.slot", "p.key")
-    sizes = postings.groupBy("slot", "key").agg(F.count("*").alias("size")).where("size > 1")
-    listed = common.settle(postings.join(sizes, ["slot", "key"]))
+    # A list's number and its four bytes, in one long.
+    keys = [_key(fp, positions) + F.lit(s << 32) for s, positions in enumerate(SLOTS)]
+    postings = distinct.select("fp", F.explode(F.array(*keys)).alias("key"))
+    sizes = postings.groupBy("key").agg(F.count("*").alias("size")).where("size > 1")
+    listed = common.settle(postings.join(sizes, "key"))
 
     small = listed.where(F.col("size") <= list_limit)
-    a = small.select("slot", "key", F.col("fp").alias("a"))
-    b = small.select("slot", "key", F.col("fp").alias("b"))
-    same = [_block(F.col("a"), i) == _block(F.col("b"), i) for i in range(4)]
-    first = F.coalesce(*[F.when(same[i] & same[j], F.lit(s)) for s, (i, j) in enumerate(SLOTS)])
+    a, b = small.select("key", F.col("fp").alias("a")), small.select("key", F.col("fp").alias("b"))
+    tally = a.join(b, "key").where("a < b").groupBy("a", "b").agg(F.count("*").alias("lists"))
     near = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= MAX_BITS
-    pairs = (
-        a.join(b, ["slot", "key"])
-        .where(F.col("a") < F.col("b"))
-        .where(first == F.col("slot"))
-        .where(_shared_bytes(F.col("a"), F.col("b")) >= 8 - MAX_BITS)
-        .where(near)
-        .select("a", "b")
-    )
+    pairs = tally.where(F.col("lists") >= LEAST_LISTS).where(near).select("a", "b")
 
     large = listed.where(F.col("size") > list_limit)
     flips = F.concat(F.array(fp), F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: fp.bitwiseXOR(F.call_function("shiftleft", F.lit(1).cast("long"), i))))
     around = large.select("fp").distinct().select("fp", F.explode(flips).alias("mid"))
     heads = around.groupBy("mid").agg(F.min("fp").alias("a"), F.count("*").alias("n")).where("n > 1").select("mid", "a")
     stars = around.join(heads, "mid").where(fp != F.col("a")).select("a", F.col("fp").alias("b")).distinct()
-    return pairs.unionByName(stars)
+    return pairs.unionByName(stars).withColumn("shared", _shared_bytes(F.col("a"), F.col("b")))
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -151,6 +158,8 @@ def near_duplicates(df: DataFrame, shingle: int = 3, list_limit: int = 64, id_co
 
     ``component_id`` is the smallest id reachable over links, its own included.  Equal texts share a fingerprint and so a
     component.  Rows without an id take part: they get their component's smallest known id, null if there is none.
+    Ids may be of any type that has an order; repeated rows each give a row; texts of any length are read whole; an empty table gives
+    no rows, and other columns are not read.
     """
     rows = common.settle(fingerprints(df.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")), shingle))
     nodes = common.settle(rows.groupBy("fp").agg(F.min("doc_id").alias("first_id")))

@@ -85,6 +85,32 @@ def test_links_and_components_match_brute_force(spark):
         assert {g for g in groups(want) if len(g) > 1} == groups(got)
 
 
+def test_the_tally_of_lists_tells_the_shared_bytes():
+    for n in range(9):
+        tallies = {sum(set(slot) <= set(same) for slot in simhash.SLOTS) for same in combinations(range(8), n)}
+        assert len(simhash.SLOTS) == 14 and (min(tallies) >= simhash.LEAST_LISTS) == (max(tallies) >= simhash.LEAST_LISTS) == (n >= 6)
+
+
+def test_all_close_pairs_of_short_lists_are_links(spark):
+    """Recall 1 against all pairs, and no pair beyond two bits; six shared bytes are not enough."""
+    fps = random_fingerprints(12, 40, 9)
+    fps = sorted({*fps, *(x ^ 0x0F00F0 for x in fps[::5])})  # two bytes differ, by eight bits
+    signed = [x - (1 << 64) if x >> 63 else x for x in fps]
+    got = {(r["a"], r["b"]): r["shared"] for r in simhash.links(spark.createDataFrame([(x,) for x in signed], "fp long")).collect()}
+    apart = lambda a, b: (a ^ b) & 0xFFFFFFFFFFFFFFFF
+    want = {(min(a, b), max(a, b)) for a, b in combinations(signed, 2) if apart(a, b).bit_count() <= 2}
+    assert set(got) == want
+    for (a, b), n in got.items():
+        assert n == sum(x == 0 for x in apart(a, b).to_bytes(8, "big")) >= 6
+
+
+def test_ids_of_text_and_a_very_long_text(spark):
+    long = " ".join(f"w{i % 5000}" for i in range(300_000))
+    df = spark.createDataFrame([("b", long), ("a", long), ("c", "x"), ("c", "x"), ("d", None)], "doc_id string, text string")
+    got = {(r["doc_id"], r["component_id"]) for r in simhash.near_duplicates(df).collect()}
+    assert got == {("a", "a"), ("b", "a"), ("c", "c"), ("d", "d")}
+
+
 def test_components_of_a_path_and_a_star(spark):
     path = spark.range(0, 500).select(F.col("id").alias("a"), (F.col("id") + 1).alias("b"))
     star = spark.range(1001, 1500).select(F.lit(1000).cast("long").alias("a"), F.col("id").alias("b"))
