@@ -1,8 +1,11 @@
 """WARC derivatives: each response becomes a metadata record and a plain-text conversion record.
 
-Both refer to the response by its record id, keep its target URI, date and payload digest, and carry the response's HTTP
-headers (metadata).  Their own ids are derived from the source's id and their kind, so a repeated run or a lost
-executor yields the same bytes.
+Both refer to the response by its record id, target URI and date, keep its payload digest, and carry the response's HTTP
+headers (metadata).  Their own ids are derived from the source's id and their kind (for a source without an id, from its bytes
+and its place in the file), so a repeated run or a lost executor yields the same bytes.
+
+Bodies are read as they were sent: chunked transfer coding and gzip or deflate content coding are undone, at most ``MAX_BODY``
+bytes of them.  All scans of markup are linear in its length.
 """
 
 from __future__ import annotations
@@ -14,6 +17,7 @@ import html
 import json
 import re
 import uuid
+import zlib
 from collections.abc import Iterator
 from urllib.parse import urljoin
 
@@ -24,8 +28,10 @@ from pyspark.sql import types as T
 
 from . import common
 
-VERSION = b"WARC/1.0"
+VERSION = b"WARC/1.1"
 CRLF = b"\r\n"
+#: A task's memory cannot spill: an opened gzip member, or a decoded body, of more bytes is a fault.
+MAX_MEMBER = MAX_BODY = 1 << 28
 
 
 def digest(data: bytes) -> str:
@@ -41,20 +47,22 @@ def build(kind: str, headers: dict[str, str], block: bytes) -> bytes:
     return CRLF.join(lines) + CRLF * 2 + block + CRLF * 2
 
 
-def parse(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
-    """(headers by lower-cased name, block) of each record; gzip members are opened first.  Raises ValueError at a fault."""
-    if data[:2] == b"\x1f\x8b":
-        data = gzip.decompress(data)
-    at = 0
+class _Cut(ValueError):
+    """The bytes end within a record."""
+
+
+def _records(data: bytes, start: int = 0) -> Iterator[tuple[int, int, dict[str, str], bytes]]:
+    """(where the record begins, where it ends, headers, block) of the records that follow each other from ``start``."""
+    at = start
     while at < len(data):
         if data[at : at + 2] == CRLF:
             at += 2
             continue
-        if data[at : at + 5] != b"WARC/":
+        if not b"WARC/".startswith(data[at : at + 5]):
             raise ValueError(f"no record at byte {at}")
         end = data.find(CRLF * 2, at)
         if end < 0:
-            raise ValueError("headers without an end")
+            raise _Cut("headers without an end")
         head: dict[str, str] = {}
         name = ""
         for line in data[at:end].split(CRLF)[1:]:
@@ -64,11 +72,48 @@ def parse(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
             key, _, value = line.partition(b":")
             name = key.strip().decode("utf-8", "replace").lower()
             head[name] = value.strip().decode("utf-8", "replace")
-        size = int(head.get("content-length", "-1"))
-        if size < 0 or end + 4 + size > len(data):
-            raise ValueError("a block is missing or cut")
-        yield head, data[end + 4 : end + 4 + size]
-        at = end + 4 + size
+        size = head.get("content-length", "")
+        if not size.isdecimal():
+            raise ValueError("a block without a length")
+        stop = end + 4 + int(size)
+        if stop > len(data):
+            raise _Cut("a block is cut")
+        yield at, stop, head, data[end + 4 : stop]
+        at = stop
+
+
+def members(data: bytes) -> Iterator[bytes]:
+    """Each gzip member of the data, opened."""
+    while data:
+        opener = zlib.decompressobj(31)
+        try:
+            out = opener.decompress(data, MAX_MEMBER)
+        except zlib.error as e:
+            raise ValueError(f"gzip: {e}") from None
+        if not opener.eof:
+            raise ValueError("a gzip member is cut" if not opener.unconsumed_tail else "a gzip member is larger than MAX_MEMBER")
+        yield out
+        data = opener.unused_data.lstrip(b"\0")
+
+
+def parse(data: bytes) -> Iterator[tuple[dict[str, str], bytes]]:
+    """(headers by lower-cased name, block) of each record, gzip members being opened one by one.
+
+    Raises ValueError at a fault, after the records before it.  The place of a record in the opened bytes is under the name "".
+    """
+    left, base = b"", 0  # what earlier members hold of a record that goes on in the next
+    for part in members(data) if data[:2] == b"\x1f\x8b" else [data]:
+        left += part
+        done = 0
+        try:
+            for at, stop, head, block in _records(left):
+                yield head | {"": str(base + at)}, block
+                done = stop
+        except _Cut:
+            pass
+        left, base = left[done:], base + done
+    for _ in _records(left):
+        pass
 
 
 def split_http(block: bytes) -> tuple[str, list[tuple[str, str]], bytes]:
@@ -83,31 +128,111 @@ def split_http(block: bytes) -> tuple[str, list[tuple[str, str]], bytes]:
     return lines[0].decode("utf-8", "replace"), pairs, body
 
 
-DROPPED = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|noscript|template)\b.*?(?:</\1\s*>|\Z)", re.S | re.I)
-BREAK = re.compile(r"</?(?:p|div|br|li|ul|ol|tr|table|h[1-6]|section|article|header|footer|nav|blockquote|pre|title|body|head|html|main|aside|hr|td|th)\b[^>]*>", re.I)
-TAG = re.compile(r"<[a-zA-Z/!?][^>]*>")
-LINK = re.compile(r"<(a|area|link|img|script|iframe)\b[^>]*?\b(href|src)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
-TITLE = re.compile(r"<title\b[^>]*>(.*?)</title", re.S | re.I)
+def _chunked(body: bytes) -> bytes:
+    """The chunks of a body in a row; ValueError where it is none."""
+    out, at = [], 0
+    while True:
+        end = body.find(b"\n", at)
+        size = body[at : end if end >= 0 else len(body)].split(b";")[0].strip()
+        if not size or size.strip(b"0123456789abcdefABCDEF"):
+            raise ValueError("a chunk without a size")
+        n = int(size, 16)
+        if not n:
+            return b"".join(out)
+        if end < 0 or end + 1 + n > len(body):
+            raise ValueError("a chunk is cut")
+        out.append(body[end + 1 : end + 1 + n])
+        at = end + 1 + n
+        if body[at : at + 2] == CRLF:
+            at += 2
+        elif body[at : at + 1] == b"\n":
+            at += 1
+
+
+def entity(pairs: list[tuple[str, str]], body: bytes) -> bytes:
+    """The body without its transfer and content codings.  One that does not hold to its headers, as where a crawler has undone
+    them already, stays as it is."""
+    values = lambda name: [x.strip().lower() for k, v in pairs if k.lower() == name for x in v.split(",")]
+    if "chunked" in values("transfer-encoding"):
+        try:
+            body = _chunked(body)
+        except ValueError:
+            pass
+    for coding in reversed(values("content-encoding")):
+        if coding not in ("gzip", "x-gzip", "deflate"):
+            continue
+        for bits in (31,) if "gzip" in coding else (15, -15):
+            opener = zlib.decompressobj(bits)
+            try:
+                out = opener.decompress(body, MAX_BODY)
+            except zlib.error:
+                continue
+            if opener.unconsumed_tail and not opener.eof:
+                raise ValueError("a body is larger than MAX_BODY")
+            body = out
+            break
+    return body
+
+
+HIDDEN = re.compile(r"<!--|<(script|style|noscript|template)\b", re.I)
+BLOCKS = frozenset("p div br li ul ol tr table h1 h2 h3 h4 h5 h6 section article header footer nav blockquote pre title body head html main aside hr td th".split())
+TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*)[^>]*>|<[/!?][^>]*>")
+LINKS = {"a": "href", "area": "href", "link": "href", "img": "src", "script": "src", "iframe": "src"}
+ATTRIBUTE = re.compile(r"""[\s/"'=]*([^\s>/"'=]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]*)))?""")
+
+
+def visible(markup: str) -> str:
+    """The markup without comments, scripts, styles and templates, a blank in the place of each; the tag that opens a script stays."""
+    out, at = [], 0
+    ends = {n: re.compile(rf"</{n}\s*>", re.I) for n in ("script", "style", "noscript", "template")}
+    while (m := HIDDEN.search(markup, at)) is not None:
+        out += [markup[at : m.start()], " "]
+        if m[1]:
+            name = m[1].lower()
+            end = ends[name].search(markup, m.end())
+            at = end.end() if end else len(markup)
+            if name == "script" and 0 <= (gt := markup.find(">", m.end(), at)):
+                out.append(markup[m.start() : gt + 1])
+        else:
+            end = markup.find("-->", m.end())
+            at = end + 3 if end >= 0 else len(markup)
+    return "".join([*out, markup[at:]])
 
 
 def plain_text(markup: str) -> str:
     """The visible text: blocks as lines, blanks collapsed, entities resolved, empty lines dropped."""
-    text = html.unescape(TAG.sub("", BREAK.sub("\n", DROPPED.sub(" ", markup))))
+    text = visible(markup)
+    last = text.rfind(">") + 1  # no tag ends beyond, so none begins there; and every search below ends at a ">"
+    text = html.unescape(TAG.sub(lambda m: "\n" if m[2] and m[2].lower() in BLOCKS else "", text[:last]) + text[last:])
     lines = (" ".join(x.split()) for x in text.split("\n"))
     return "\n".join(x for x in lines if x)
 
 
 def facts(markup: str, uri: str) -> dict:
     """Title and links of a page, links resolved against its URI."""
-    title = TITLE.search(markup)
-    links = []
-    for m in LINK.finditer(DROPPED.sub(" ", markup)):
-        at = html.unescape(m[3] if m[3] is not None else m[4] if m[4] is not None else m[5])
-        try:
-            links.append({"path": f"{m[1].lower()}@{m[2].lower()}", "url": urljoin(uri, at)})
-        except ValueError:
-            links.append({"path": f"{m[1].lower()}@{m[2].lower()}", "url": at})
-    return {"title": " ".join(html.unescape(title[1]).split()) if title else None, "links": links}
+    title, links = None, []
+    if (m := re.search(r"<title\b", markup, re.I)) and (lo := markup.find(">", m.end())) >= 0 and (end := re.compile("</title", re.I).search(markup, lo)):
+        title = " ".join(html.unescape(markup[lo + 1 : end.start()]).split())
+    text = visible(markup)
+    last, at = text.rfind(">") + 1, 0
+    while (m := TAG.search(text, at, last)) is not None:
+        name = (m[2] or "").lower()
+        at = m.end()
+        if m[1] or name not in LINKS:
+            continue
+        here, target = m.end(2), None
+        while (x := ATTRIBUTE.match(text, here)) is not None:
+            here = x.end()
+            if target is None and x[1].lower() == LINKS[name]:
+                target = html.unescape(next((v for v in x.groups()[1:] if v is not None), ""))
+        at = max(at, here)  # a quoted value may hold a ">"
+        if target is not None:
+            try:
+                url = urljoin(uri, target)
+            except ValueError:
+                url = target
+            links.append({"path": f"{name}@{LINKS[name]}", "url": url})
+    return {"title": title, "links": links}
 
 
 def response(uri: str, markup: str, key: str, date: str = "2024-01-01T00:00:00Z") -> bytes:
@@ -120,21 +245,24 @@ def response(uri: str, markup: str, key: str, date: str = "2024-01-01T00:00:00Z"
 
 def derive(head: dict[str, str], block: bytes) -> list[tuple[str, dict[str, str], bytes, dict]]:
     """(type, headers, block, facts) of the two derived records of a response."""
-    status, pairs, body = split_http(block)
+    status, pairs, sent = split_http(block)
+    body = entity(pairs, sent)
     charset = re.search(r"charset=\"?([\w-]+)", next((v for k, v in pairs if k.lower() == "content-type"), ""))
     try:
         markup = body.decode(charset[1] if charset else "utf-8", "replace")
     except LookupError:
         markup = body.decode("utf-8", "replace")
     source, uri = head.get("warc-record-id", ""), head.get("warc-target-uri", "")
-    payload = head.get("warc-payload-digest") or digest(body)
+    basis = source or "|".join([digest(block), uri, head.get("warc-date", ""), head.get("", "")])
+    payload = head.get("warc-payload-digest") or digest(sent)
     found = facts(markup, uri)
     text = plain_text(markup)
     kept = {k: head[k.lower()] for k in ("WARC-Target-URI", "WARC-Date") if k.lower() in head}
-    envelope = {"source": {k: v for k, v in head.items() if k != "content-length"}, "http": {"status": status, "headers": pairs, "payload_bytes": len(body), "payload_digest": payload}, "html": found}
+    refers = ({"WARC-Refers-To": source} if source else {}) | {k: head[old] for k, old in (("WARC-Refers-To-Target-URI", "warc-target-uri"), ("WARC-Refers-To-Date", "warc-date")) if old in head}
+    envelope = {"source": {k: v for k, v in head.items() if k not in ("", "content-length")}, "http": {"status": status, "headers": pairs, "payload_bytes": len(sent), "entity_bytes": len(body), "payload_digest": payload}, "html": found}
     out = []
     for kind, media, data, more in (("metadata", "application/json", json.dumps(envelope, ensure_ascii=False, sort_keys=True).encode(), {"n_links": len(found["links"]), "title": found["title"], "n_chars": None}), ("conversion", "text/plain", text.encode(), {"n_links": None, "title": None, "n_chars": len(text)})):
-        own = kept | {"WARC-Record-ID": record_id(kind, source), "WARC-Refers-To": source, "WARC-Source-Payload-Digest": payload, "Content-Type": media, "WARC-Block-Digest": digest(data)}
+        own = kept | {"WARC-Record-ID": record_id(kind, basis)} | refers | {"WARC-Source-Payload-Digest": payload, "Content-Type": media, "WARC-Block-Digest": digest(data)}
         out.append((kind, own, data, more | {"status": status, "source_payload_digest": payload}))
     return out
 
@@ -146,9 +274,10 @@ def derivatives(df: DataFrame, keep: list[str], data_col: str = "warc") -> DataF
     """``keep`` beside OUT: two rows for each response record in ``data_col`` (WARC bytes of any number of records).
 
     Records of other types give nothing.  Bytes that are no WARC, a null and what follows a fault give one row with
-    ``error``.  ``record`` is the whole derived record.
+    ``error``; records and gzip members before the fault keep their rows.  ``record`` is the whole derived record.  Repeated
+    rows each give their records, with equal ids; an empty table gives none; kept columns come back under free names.
     """
-    names = [(c, f"{c}_in" if c.lower() in OUT else c) for c in keep]
+    names = common.free_names(keep, OUT)
     fields = T._parse_datatype_string(", ".join(f"{k} {v}" for k, v in OUT.items())).fields
     schema = T.StructType([*(T.StructField(new, df.schema[old].dataType) for old, new in names), *fields])
     src = df.select(*[F.col(f"`{c}`").alias(f"k{i}") for i, (c, _) in enumerate(names)], F.col(f"`{data_col}`").cast("binary").alias("data"))
@@ -163,7 +292,7 @@ def derivatives(df: DataFrame, keep: list[str], data_col: str = "warc") -> DataF
                 if head.get("warc-type") != "response":
                     continue
                 for kind, own, body, more in derive(head, block):
-                    yield more | {"record_type": kind, "record_id": own["WARC-Record-ID"], "refers_to": own["WARC-Refers-To"], "target_uri": own.get("WARC-Target-URI"), "warc_date": own.get("WARC-Date"), "block_digest": own["WARC-Block-Digest"], "block_bytes": len(body), "record": build(kind, own, body)}
+                    yield more | {"record_type": kind, "record_id": own["WARC-Record-ID"], "refers_to": own.get("WARC-Refers-To"), "target_uri": own.get("WARC-Target-URI"), "warc_date": own.get("WARC-Date"), "block_digest": own["WARC-Block-Digest"], "block_bytes": len(body), "record": build(kind, own, body)}
         except (ValueError, OSError, EOFError) as e:
             yield {"error": str(e)}
 
