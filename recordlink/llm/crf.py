@@ -6,7 +6,7 @@ probability of being good; a document's quality is their mean, weighted by the l
 fitted on training documents.
 
 Training labels are given to documents: all lines of a training document carry its label.  The labelled sample is bounded
-(``max_docs`` documents of at most ``max_lines`` lines, chosen by hash); scoring covers every row.
+(``max_docs`` documents in the order of their hashed ids, up to about ``max_bytes`` bytes of whole texts); scoring covers every row.
 """
 
 from __future__ import annotations
@@ -140,20 +140,21 @@ def _layout(docs: list[list[bytes]]) -> tuple[np.ndarray, np.ndarray, np.ndarray
     return x, offsets, sizes
 
 
-def _adam(grad_of, theta: np.ndarray, steps: int, rate: float) -> np.ndarray:
+def _adam(grad_of, theta: np.ndarray, steps: int, rate: float, project=lambda t: t) -> np.ndarray:
+    """Steps up the gradient; ``project`` puts theta back among the allowed ones after each."""
     m, v = np.zeros_like(theta), np.zeros_like(theta)
     for k in range(1, steps + 1):
         g = grad_of(theta)
         m, v = 0.9 * m + 0.1 * g, 0.999 * v + 0.001 * g * g
-        theta = theta + rate * (m / (1 - 0.9**k)) / (np.sqrt(v / (1 - 0.999**k)) + 1e-8)
+        theta = project(theta + rate * (m / (1 - 0.9**k)) / (np.sqrt(v / (1 - 0.999**k)) + 1e-8))
     return theta
 
 
 def fit(docs: list[list[bytes]], labels: list[int], steps: int = 200, rate: float = 0.1, l2: float = 1e-3, max_stay: float = 1.5) -> Crf:
     """Maximum conditional likelihood of the line labels, each document weighing alike within its class.
 
-    As all lines of a training document share a label, the weights for staying in a label would only grow; they end
-    within ``max_stay``.
+    As all lines of a training document share a label, the weights for staying in a label would only grow; they are kept
+    within ``max_stay`` at every step, so that the other weights are the best beside them.
     """
     x, offsets, sizes = _layout(docs)
     y = np.array(labels, float)
@@ -178,9 +179,9 @@ def fit(docs: list[list[bytes]], labels: list[int], steps: int = 200, rate: floa
         g = np.concatenate([x.T @ rest, [stay0.sum(), stay1.sum(), rest[first].sum()]])
         return g - l2 * theta
 
-    theta = _adam(grad, np.zeros(SIZE + 3), steps, rate)
-    theta[SIZE : SIZE + 2] = np.clip(theta[SIZE : SIZE + 2], -max_stay, max_stay)
-    model = unfold(theta)
+    most = np.full(SIZE + 3, np.inf)
+    most[SIZE : SIZE + 2] = max_stay
+    model = unfold(_adam(grad, np.zeros(SIZE + 3), steps, rate, lambda t: np.clip(t, -most, most)))
     good, _, _ = model.marginals(x @ model.weights, offsets)
     p = np.clip(model.documents(good, sizes, offsets), 1e-6, 1 - 1e-6)
     z = np.log(p / (1 - p))
@@ -193,18 +194,25 @@ def fit(docs: list[list[bytes]], labels: list[int], steps: int = 200, rate: floa
     return model
 
 
-def labelled_sample(df: DataFrame, labels: DataFrame, train: DataFrame | None, max_docs: int, max_lines: int, text_col: str = "text") -> tuple[list[list[bytes]], list[int]]:
-    """The bounded training sample: ids first (from the labels alone), then only their texts."""
-    known = labels.where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.min("quality").alias("quality"))
+def labelled_sample(df: DataFrame, labels: DataFrame, train=None, max_docs: int = 4000, max_bytes: int = 32 << 20, text_col: str = "text", id_col: str = "doc_id") -> tuple[list[list[bytes]], list[int]]:
+    """The bounded training sample: whole texts as lines, and labels.
+
+    Ids come first, from the labels alone (``train``: a condition on them; null ids and other labels than 0 and 1 do not count; of
+    contradicting labels of an id the lower does), in hashed order, ``max_docs`` of them.  Of an id that repeats in df the first
+    text counts.  Texts follow in the same order until those before have ``max_bytes`` bytes; none is cut or passed over.
+    """
+    known = labels.select(F.col(id_col).alias("doc_id"), F.col("quality").alias("quality")).where(F.col("quality").isin(0, 1) & F.col("doc_id").isNotNull())
+    known = known.groupBy("doc_id").agg(F.min("quality").cast("int").alias("quality"))
     if train is not None:
         known = known.where(train)
-    chosen = known.orderBy(F.xxhash64(F.lit(11), "doc_id"), "doc_id").limit(max_docs).collect()
-    spark = df.sparkSession
-    ids = spark.createDataFrame([(r["doc_id"], int(r["quality"])) for r in chosen], "doc_id long, quality int")
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    few = df.select("doc_id", text.alias("text")).where(F.size(F.split("text", "\n")) <= max_lines)
-    rows = few.join(F.broadcast(ids), "doc_id").dropDuplicates(["doc_id"]).orderBy("doc_id").collect() if chosen else []
-    return [r["text"].encode().split(b"\n") for r in rows], [r["quality"] for r in rows]
+    ids = common.settle(known.withColumn("order", F.xxhash64(F.lit(11), "doc_id")).orderBy("order", "doc_id").limit(max_docs))
+    src = df.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+    rows = common.settle(src.join(F.broadcast(ids), "doc_id").groupBy("doc_id", "quality", "order").agg(F.min("text").alias("text")))
+    sizes = rows.select("doc_id", "order", F.octet_length("text").alias("size")).orderBy("order", "doc_id").collect()  # max_docs rows
+    before = np.concatenate(([0], np.cumsum([r["size"] for r in sizes])))[: len(sizes)]
+    n = int((before < max_bytes).sum())
+    got = rows.orderBy("order", "doc_id").limit(n).collect() if n else []
+    return [r["text"].encode().split(b"\n") for r in got], [r["quality"] for r in got]
 
 
 def train_rows(mod: int, out: set[int]):
@@ -213,7 +221,11 @@ def train_rows(mod: int, out: set[int]):
 
 
 def score(df: DataFrame, model: Crf, keep: tuple[str, ...] = ("doc_id",), threshold: float = 0.7, text_col: str = "text") -> DataFrame:
-    """``keep`` beside score, predicted, n_lines and n_bad_lines of every whole text (null: one empty line)."""
+    """``keep`` beside score, predicted, n_lines and n_bad_lines of every whole text.
+
+    A null or empty text is one empty line; equal texts and repeated rows get equal scores; a tie of both labels is a score
+    of half the scale; an empty table gives no rows; kept columns come back under free names.
+    """
 
     def run(column: pa.Array) -> dict[str, pa.Array]:
         docs = [t.split(b"\n") for t in common.text_bytes(column)]

@@ -60,7 +60,7 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_quality_crf(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet")
-    model = crf.fit(*crf.labelled_sample(docs, labels, crf.train_rows(4, {2}), max_docs=4000, max_lines=500))
+    model = crf.fit(*crf.labelled_sample(docs, labels, crf.train_rows(4, {2}), max_docs=4000))
     scored = crf.score(docs, model)
     return scored.select("doc_id", lm.held_out_column(scored, 4, {2}).alias("held_out"), "score", "predicted", "n_lines", "n_bad_lines")
 

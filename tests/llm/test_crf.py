@@ -52,19 +52,59 @@ def test_held_out_accuracy(spark, sf_dir):
 def test_labels_of_held_out_rows_are_not_used(spark, docs, sf_dir):
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     turned = labels.withColumn("quality", F.when(lm.held_out_column(labels, 4, {2}), 1 - F.col("quality")).otherwise(F.col("quality")))
-    a, b = (crf.labelled_sample(docs, x, crf.train_rows(4, {2}), 500, 500) for x in (labels, turned))
+    a, b = (crf.labelled_sample(docs, x, crf.train_rows(4, {2}), 500) for x in (labels, turned))
     assert a == b and len(a[0]) > 20
 
 
 def test_odd(spark, odd, none):
     labels = spark.createDataFrame([(1, 1), (4, 1), (5, 0), (5, 1), (7, 0), (8, None), (None, 1), (99, 1)], "doc_id long, quality int")
-    lines, y = crf.labelled_sample(odd, labels, None, 100, 500)
-    assert y == [1, 1, 0, 0] and lines[0] == [b""]
+    lines, y = crf.labelled_sample(odd, labels, None, 100)
+    assert sorted(y) == [0, 0, 1, 1] and lines[y.index(1)] in ([b""], [b"One two three", b"One two three", b"four"])
     model = crf.fit(lines, y)
     rows = crf.score(odd, model, keep=("doc_id", "n_words")).collect()
     assert len(rows) == odd.count() and all(0 <= r["score"] <= 1 for r in rows)
     assert crf.score(none, model).count() == 0
-    empty = crf.fit(*crf.labelled_sample(odd, labels.where("false"), None, 100, 500))
+    empty = crf.fit(*crf.labelled_sample(odd, labels.where("false"), None, 100))
     assert crf.score(odd, empty).count() == odd.count()
     made = crf.line_labels(odd.where("doc_id = 5"), model).first()["lines"]
     assert [x["text"] for x in made] == ["one TWO three", "one two THREE", "four"]
+
+
+def test_the_sample_is_bounded_by_documents_and_bytes_and_cuts_none(spark):
+    df = spark.createDataFrame([(f"d{i}", f"line {i}\n" * (i % 7 + 1)) for i in range(60)] + [("d3", "zz")], "doc_id string, text string")
+    labels = spark.createDataFrame([(f"d{i}", i % 2) for i in range(60)], "doc_id string, quality int")
+    every, y = crf.labelled_sample(df, labels)
+    assert len(every) == 60 and sorted(y) == [0] * 30 + [1] * 30 and [b"line 3"] * 4 + [b""] in every  # the first of repeated ids
+    few, z = crf.labelled_sample(df, labels, max_docs=20)
+    assert (few, z) == (every[:20], y[:20])
+    some, z = crf.labelled_sample(df, labels, max_bytes=200)
+    size = [sum(map(len, d)) + len(d) - 1 for d in every]
+    n = len(some)
+    assert some == every[:n] and sum(size[: n - 1]) < 200 <= sum(size[:n])
+    assert crf.labelled_sample(df.repartition(5), labels.repartition(3), max_bytes=200) == (some, z)
+
+
+def test_stay_weights_end_within_their_bound_and_the_others_fit_them():
+    bad, fine = b"| x | y | z | w |", b"These are ordinary words that end well."
+    docs, y = [[fine] * 5, [bad] * 5, [fine, bad, fine], [bad, fine, bad]] * 10, [1, 0, 1, 0] * 10
+    free, held = crf.fit(docs, y, max_stay=99.0), crf.fit(docs, y, max_stay=0.2)
+    assert np.abs(np.diag(held.trans)).max() <= 0.2 < np.abs(np.diag(free.trans)).max()
+    assert np.linalg.norm(held.weights - free.weights) > 1e-3
+
+
+def test_a_score_is_the_length_weighted_mean_of_marginals(spark):
+    """Brute force over all labelings of a few lines, from the line facts on."""
+    rng = np.random.default_rng(3)
+    model = crf.Crf(rng.normal(size=crf.SIZE), rng.normal(size=(2, 2)), rng.normal(size=2), 1.3, 0.2)
+    text = "One fine line here.\n| a | b |\n\nxx 12 $$"
+    lines = text.encode().split(b"\n")
+    unary, total, good = crf.features(lines) @ model.weights, 0.0, np.zeros(len(lines))
+    for y in product((0, 1), repeat=len(lines)):
+        p = np.exp(model.start[y[0]] + sum(u * v for u, v in zip(unary, y)) + sum(model.trans[a, b] for a, b in zip(y, y[1:])))
+        total, good = total + p, good + p * np.array(y)
+    size = np.array([len(x) for x in lines])
+    mean = (good / total * size).sum() / size.sum()
+    want = 1 / (1 + np.exp(-(1.3 * np.log(mean / (1 - mean)) + 0.2)))
+    long = "\n".join(f"line {i} of many." for i in range(60_000))
+    rows = {r["doc_id"]: r for r in crf.score(spark.createDataFrame([("a", text), ("b", long)], "doc_id string, text string"), model).collect()}
+    assert abs(rows["a"]["score"] - want) < 1e-5 and rows["b"]["n_lines"] == 60_000 and 0 <= rows["b"]["score"] <= 1
