@@ -84,12 +84,19 @@ def _hash(key: bytes) -> int:
 
 
 def shard_blob(high: np.ndarray, low: np.ndarray, counts: np.ndarray) -> bytes:
-    """One shard: hashes (high selects the entry, low is its fingerprint) with their document counts."""
-    ph = PerfectHash.build(high)
-    at = ph.index(high)
-    prints, n = np.empty(len(low), np.uint64), np.empty(len(low), np.uint32)
-    prints[at], n[at] = low, np.minimum(counts, 0xFFFFFFFF)
-    return common.pack({"words": ph.words, "before": ph.before, "starts": ph.starts, "sizes": ph.sizes, "prints": prints, "counts": n})
+    """One shard: hashes (high selects the entry, low is its fingerprint) with their document counts.
+
+    Of hashes with the same upper half the first is indexed, and the others are listed at the shard's end by both halves.
+    """
+    order = np.lexsort((low, high))
+    high, low, counts = high[order], low[order], np.minimum(counts[order], 0xFFFFFFFF)
+    again = np.concatenate(([False], high[1:] == high[:-1])) if len(high) else np.zeros(0, bool)
+    ph = PerfectHash.build(high[~again])
+    at = ph.index(high[~again])
+    prints, n = np.empty(len(at), np.uint64), np.empty(len(at), np.uint32)
+    prints[at], n[at] = low[~again], counts[~again]
+    twins = {"twin_high": high[again], "twin_low": low[again], "twin_counts": counts[again].astype(np.uint32)}
+    return common.pack({"words": ph.words, "before": ph.before, "starts": ph.starts, "sizes": ph.sizes, "prints": prints, "counts": n} | twins)
 
 
 def count_lines(df: DataFrame, text_col: str = "text") -> DataFrame:
@@ -110,10 +117,7 @@ def count_lines(df: DataFrame, text_col: str = "text") -> DataFrame:
 
 
 def build_index(counted: DataFrame, folder: str, index_from: int, shard_rows: int = 400_000) -> int:
-    """Write the shards of the hashes counted at least ``index_from`` times; gives the number of shards (a power of two).
-
-    Two hashes with the same upper half cannot both be told by it: they go to a list at the shard's end, by both halves.
-    """
+    """Write the shards of the hashes counted at least ``index_from`` times; gives the number of shards (a power of two)."""
     known = common.settle(counted.where(F.col("n") >= index_from))
     bits = max(0, (max(1, known.count()) // shard_rows).bit_length())
     dealt = known.withColumn("shard", F.shiftrightunsigned("high", 64 - bits) if bits else F.lit(0).cast("long")).repartition(1 << bits, "shard")
@@ -127,22 +131,12 @@ def build_index(counted: DataFrame, folder: str, index_from: int, shard_rows: in
         high, low, n = (np.asarray(t[c]) for c in ("high", "low", "n"))
         for s in np.unique(shard):
             own = shard == s
-            h, lo, c = high[own].view(np.uint64), low[own].view(np.uint64), n[own]
-            order = np.argsort(h, kind="stable")
-            h, lo, c = h[order], lo[order], c[order]
-            again = np.concatenate(([False], h[1:] == h[:-1]))
-            blob = shard_blob(h[~again], lo[~again], c[~again])
-            common.put_file(f"{folder}/shard-{s}", blob)
-            if again.any():
-                common.put_file(f"{folder}/twins-{s}", common.pack({"high": h[again], "low": lo[again], "counts": c[again].astype(np.uint32)}))
-            yield pa.RecordBatch.from_arrays([pa.array([int(s)], pa.int64()), pa.array([int(again.sum())], pa.int64())], names=["shard", "twins"])
-
-    made = {r["shard"]: r["twins"] for r in dealt.mapInArrow(run, "shard long, twins long").collect()}
-    for s in range(1 << bits):
-        if s not in made:
-            common.put_file(f"{folder}/shard-{s}", shard_blob(np.empty(0, np.uint64), np.empty(0, np.uint64), np.empty(0, np.int64)))
-        if not made.get(s):
-            common.put_file(f"{folder}/twins-{s}", b"")
+            common.put_file(f"{folder}/shard-{s}", shard_blob(high[own].view(np.uint64), low[own].view(np.uint64), n[own]))
+            yield pa.RecordBatch.from_arrays([pa.array([int(s)], pa.int64())], names=["shard"])
+
+    made = {r["shard"] for r in dealt.mapInArrow(run, "shard long").collect()}  # a number a shard
+    for s in set(range(1 << bits)) - made:  # hashes fill all shards but where there are hardly any
+        common.put_file(f"{folder}/shard-{s}", shard_blob(np.empty(0, np.uint64), np.empty(0, np.uint64), np.empty(0, np.int64)))
     return 1 << bits
 
 
@@ -160,11 +154,8 @@ def probe(folder: str, shards: int, high: np.ndarray, low: np.ndarray) -> np.nda
             at = PerfectHash(a["words"], a["before"], a["starts"], a["sizes"]).index(high[own])
             real = (at >= 0) & (a["prints"][at] == low[own])
             out[own[real]] = a["counts"][at[real]]
-        twins = common.map_file(f"{folder}/twins-{s}")
-        if len(twins):
-            t = common.unpack(twins)
-            for h, lo, c in zip(t["high"], t["low"], t["counts"], strict=True):
-                out[own[(high[own] == h) & (low[own] == lo)]] = c
+        for h, lo, c in zip(a["twin_high"], a["twin_low"], a["twin_counts"], strict=True):
+            out[own[(high[own] == h) & (low[own] == lo)]] = c
     return out
 
 
@@ -192,7 +183,12 @@ class LineDedup:
         self.shards = build_index(count_lines(df, text_col), self.folder, index_from, shard_rows)
 
     def apply(self, df: DataFrame, keep: list[str]) -> DataFrame:
-        """``keep`` beside ``kept_text``, ``n_lines`` (before), ``n_dropped``; a null text is one empty line, which stays."""
+        """``keep`` beside ``kept_text``, ``n_lines`` (before), ``n_dropped``.
+
+        A null or empty text is one empty line, which stays; of equal lines all go or all stay, in repeated rows too (each counts as a
+        document); texts of any number of lines are handled whole; an empty table gives no rows; kept columns come back under
+        free names.
+        """
         folder, shards, least = self.folder, self.shards, self.min_docs
 
         def run(column: pa.Array) -> dict[str, pa.Array]:
