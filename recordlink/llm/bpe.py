@@ -29,6 +29,8 @@ from . import common
 #: word in other letter case or with other marks around it is merged once.
 CACHE_WORDS = 100_000
 CACHE_PIECES = 250_000
+#: Longer runs and pieces are not remembered, which bounds the caches' bytes too.
+CACHE_BYTES = 64
 
 
 def byte_symbols() -> list[str]:
@@ -114,7 +116,10 @@ class WordBpe:
                     if ids is None:
                         if len(self.pieces) >= CACHE_PIECES:
                             self.pieces.clear()
-                        ids = self.pieces[piece] = array("I", self.merge(piece.encode()))
+                        raw = piece.encode()
+                        ids = array("I", self.merge(raw))
+                        if len(raw) <= CACHE_BYTES:
+                            self.pieces[piece] = ids
                     out.extend(ids)
         return out
 
@@ -126,6 +131,8 @@ class WordBpe:
             if got is None:
                 ids = self.run_ids(run.decode())
                 got = np.array(ids, "<u4").tobytes(), self.decode(ids).encode()
+            if len(run) > CACHE_BYTES:
+                return got
             if len(self.young) >= CACHE_WORDS:
                 self.old, self.young = self.young, {}
             self.young[run] = got
@@ -172,7 +179,8 @@ def encode_documents(df: DataFrame, path: str | None = None, id_cols: tuple[str,
     """``id_cols``, ``token_ids`` array<int> (if ``with_ids``), ``n_tokens``, ``ids_sha256`` and ``decoded_sha256`` of every whole text.
 
     ``path`` is the vocabulary file as the executors see it; None finds the installed one there.  A null text is empty
-    (no ids, digests of nothing); repeated rows give repeated results; other columns are not read.
+    (no ids, digests of nothing); repeated rows give repeated results; texts of any length are encoded whole; of equal merge ranks
+    the leftmost pair goes first; an empty table gives no rows; kept columns come back under free names, others are not read.
     """
     out = ({"token_ids": "array<int>"} if with_ids else {}) | {"n_tokens": "long", "ids_sha256": "string", "decoded_sha256": "string"}
 
