@@ -2,8 +2,8 @@
 
 References are learnt from the corpus: for each language the histogram of character classes and of its
 ``top_words`` most frequent words (all others together count as one).  A document is compared by Jensen-Shannon distance
-(square root of the divergence in bits, 0 to 1) with its own language's reference; if that
-rejects it, or its language has none, the nearest reference decides.  Short documents are not judged by histograms,
+(square root of the divergence in bits, 0 to 1) with its own language's reference, and with no other; a language that the references
+do not know is not judged by them.  Short documents are not judged by histograms either,
 which are too noisy there: ``min_chars`` and ``min_words`` guard them.
 """
 
@@ -84,13 +84,14 @@ def _char_counts(column: pa.Array) -> np.ndarray:
     return np.bincount(owner[real] * CLASSES + kind[real], minlength=len(raw) * CLASSES).reshape(-1, CLASSES)
 
 
-def fit(df: DataFrame, top_words: int = 100, min_docs: int = 20, max_languages: int = 1000, text_col: str = "text", lang_col: str = "lang") -> dict[str, Reference]:
-    """References of the languages with at least ``min_docs`` documents, over all rows.
+def fit(df: DataFrame, top_words: int = 100, max_languages: int = 1000, text_col: str = "text", lang_col: str = "lang") -> dict[str, Reference]:
+    """The reference of each language, over all rows of it.
 
     Only ``top_words`` words and seven classes a language come to the driver; more than ``max_languages`` languages are
-    an error rather than a silent cut.  A null language counts as "und".
+    an error rather than a silent cut.  A null language counts as "und"; of equally frequent words the first in byte order counts;
+    repeated rows count each; an empty table has no references.
     """
-    src = df.select(F.coalesce(F.col(lang_col).cast("string"), F.lit("und")).alias("lang"), F.col(text_col).cast("string").alias("text"))
+    src = df.select(F.coalesce(F.nullif(F.col(lang_col).cast("string"), F.lit("")), F.lit("und")).alias("lang"), F.col(text_col).cast("string").alias("text"))
 
     def run(part: pa.RecordBatch) -> pa.RecordBatch:
         langs = np.array(part.column(0).to_pylist(), object)
@@ -114,7 +115,7 @@ def fit(df: DataFrame, top_words: int = 100, min_docs: int = 20, max_languages:
         w = Window.partitionBy("lang", "kind", F.pmod(F.xxhash64("word"), F.lit(groups))).orderBy(F.desc("n"), "word")
         top = top.withColumn("r", F.row_number().over(w)).where(F.col("r") <= most).drop("r")
     top = common.settle(top)
-    enough = (F.col("kind") == 1) & (F.col("word") == str(CLASSES)) & (F.col("n") >= min_docs)
+    enough = (F.col("kind") == 1) & (F.col("word") == str(CLASSES)) & (F.col("n") > 0)
     known = sorted(r["lang"] for r in top.where(enough).select("lang").limit(max_languages + 1).collect())
     if len(known) > max_languages:
         raise ValueError(f"more than {max_languages} languages: the references would not stay small")
@@ -185,13 +186,9 @@ def judge(column: pa.Array, langs: list[str | None], rules: Rules) -> dict[str,
             own = np.bincount(index[k][t.codes[t.offsets[i] : t.offsets[i + 1]]], minlength=len(r.words) + 1)
             return float(js_distance(chars[i], r.chars)[0]), float(js_distance(own, r.word_counts)[0])
 
-        excess = lambda d: max(d[0] / rules.max_char_distance, d[1] / rules.max_word_distance)
         for i in range(n):
-            k = langs[i] or "und"
-            d = distance(i, k) if k in refs else (1.0, 1.0)
-            if excess(d) > 1:
-                d = min([d, *(distance(i, x) for x in refs if x != k)], key=excess)
-            char_d[i], word_d[i] = d
+            if (k := langs[i] or "und") in refs:
+                char_d[i], word_d[i] = distance(i, k)
     judged = (n_words >= rules.min_words) & (chars.sum(1) >= rules.min_chars)
     far = judged & ((char_d > rules.max_char_distance) | (word_d > rules.max_word_distance))
     return out | {"char_distance": char_d, "word_distance": word_d, "kept": ~out["base_failed"] & ~far}
@@ -203,7 +200,9 @@ OUT = {"n_words": "long", "word_chars": "long", "n_symbols": "long", "n_dup_line
 def score(df: DataFrame, rules: Rules, keep: list[str], text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """``keep`` beside the columns of OUT for every row.
 
-    A null text has no words and so fails; a null language is "und"; repeated rows get equal results.
+    A null or empty text has no words and so fails; a null or empty language is "und"; texts of any length are read whole; a
+    distance equal to its threshold passes; repeated rows get equal results; an empty table gives no rows; kept columns come back
+    under free names.
     """
     from pyspark.sql import types as T
 
