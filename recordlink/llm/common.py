@@ -192,6 +192,24 @@ def put_file(uri: str, data: bytes) -> None:
             f.write(data)
 
 
+def read_file(uri: str) -> bytes | None:
+    """The file's bytes; None if there is none."""
+    where, path = pafs.FileSystem.from_uri(uri)
+    try:
+        with where.open_input_file(path) as f:
+            return f.read()
+    except FileNotFoundError:
+        return None
+
+
+def drop_file(uri: str) -> None:
+    where, path = pafs.FileSystem.from_uri(uri)
+    try:
+        where.delete_file(path)
+    except FileNotFoundError:  # another attempt of the task was faster
+        pass
+
+
 @lru_cache(maxsize=4096)
 def map_file(uri: str) -> np.ndarray:
     """The file's bytes, memory-mapped; one in a remote store is fetched once per worker."""

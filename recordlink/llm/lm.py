@@ -2,6 +2,8 @@
 
 The model is an order-3 back-off mixture with absolute discounting: at each level
 p(w | h) = alpha(h w) + gamma(h) p(w | shorter h), ending in unigrams mixed with a uniform share for an unknown word.
+A level's discount comes from its n-grams seen once and twice in the whole corpus, and the steps of quantised numbers are the
+same everywhere: scores do not depend on the number of shards.
 
 Files in the shared folder (shards of bounded size, so nothing is broadcast but their number and first ids):
 
@@ -13,7 +15,11 @@ Files in the shared folder (shards of bounded size, so nothing is broadcast but
 A lookup finds its context's range through the pointers and searches the successors there.  A sequence needs one lookup a
 level and token: the place of (w1, w2) in level 2 is the context of w3, and that of (w2, w3) gives the relative id.
 
-N-grams are counted without a row each: a task sends every shard one block of its sorted distinct keys with counts.
+N-grams are counted without a row each: a task sends every shard one block of its sorted distinct keys with counts.  Shards are
+cut by counts, at contexts.  A context that alone has more tokens than a shard should (a frequent word) is a shard of several parts by
+successor, so that no task merges all its blocks.  Parts are merged first and written down (one pass), and only when the
+corpus's discount is known are they joined to a shard's distinct n-grams and coded (a second pass over these files, which
+then go).
 """
 
 from __future__ import annotations
@@ -121,32 +127,58 @@ class EliasFano:
         return (at - index << self.width) | get_bits(self.low, self.width, index)
 
 
-def quantise(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """16-bit steps of log10 values between their extremes, rounded down: sums of probabilities never exceed 1."""
-    if not len(values):
-        return np.empty(0, np.uint16), np.zeros(2)
-    lo, hi = float(values.min()), float(values.max())
-    step = (hi - lo) / STEPS
-    return (np.floor((values - lo) / step) if step else np.zeros(len(values))).clip(0, STEPS).astype(np.uint16), np.array([lo, step])
+#: Quantised numbers lie between 10^-FLOOR and 1.
+FLOOR = 16.0
 
 
-def restore(steps: np.ndarray, scale: np.ndarray) -> np.ndarray:
-    return 10.0 ** (scale[0] + steps * scale[1])
+def quantise(values: np.ndarray) -> np.ndarray:
+    """16-bit steps of log10 values, rounded down: sums of probabilities never exceed 1."""
+    return np.floor((values + FLOOR) * (STEPS / FLOOR)).clip(0, STEPS).astype(np.uint16)
 
 
-def level_blob(contexts: int, context: np.ndarray, child: np.ndarray, count: np.ndarray) -> bytes:
+def restore(steps: np.ndarray) -> np.ndarray:
+    return 10.0 ** (steps * (FLOOR / STEPS) - FLOOR)
+
+
+def discount(once: int, twice: int) -> float:
+    """What is taken off each count, from the numbers of n-grams seen once and twice."""
+    return min(0.95, max(0.05, once / (once + 2 * twice))) if once + twice else 0.5
+
+
+def level_blob(contexts: int, context: np.ndarray, child: np.ndarray, count: np.ndarray, d: float) -> bytes:
     """One shard of a level; rows are sorted by (context, child), contexts run from 0 to ``contexts`` - 1."""
     n = len(child)
     fanout = np.bincount(context, minlength=contexts) if contexts else np.empty(0, np.int64)
     start = np.concatenate(([0], np.cumsum(fanout))).astype(np.int64)
     total = np.bincount(context, weights=count, minlength=contexts)
-    once, twice = int((count == 1).sum()), int((count == 2).sum())
-    d = min(0.95, max(0.05, once / (once + 2 * twice))) if once + twice else 0.5
-    alpha, alpha_scale = quantise(np.log10((count - d) / total[context]) if n else np.empty(0))
+    alpha = quantise(np.log10((count - d) / total[context]) if n else np.empty(0))
     used = fanout > 0
-    gamma, gamma_scale = quantise(np.log10(np.where(used, d * fanout / np.where(used, total, 1), 1.0)))
+    gamma = quantise(np.log10(np.where(used, d * fanout / np.where(used, total, 1), 1.0)))
     width = int(child.max()).bit_length() if n else 0
-    return common.pack({"ids": pack_bits(child, width), "width": np.array([width]), "alpha": alpha, "alpha_scale": alpha_scale, "gamma": gamma, "gamma_scale": gamma_scale} | EliasFano.build(start).arrays("start"))
+    return common.pack({"ids": pack_bits(child, width), "width": np.array([width]), "alpha": alpha, "gamma": gamma} | EliasFano.build(start).arrays("start"))
+
+
+def cuts(tokens: np.ndarray, step: int) -> list[tuple[int, int]]:
+    """(first, tokens) of runs of neighbouring contexts with about ``step`` tokens each; a context with more is a run of its own."""
+    if not len(tokens):
+        return []
+    big = tokens >= step
+    run = np.cumsum(np.where(big, 0, tokens)) // step * 2
+    edge = np.concatenate(([True], (run[1:] != run[:-1]) | big[1:] | big[:-1]))
+    first = np.flatnonzero(edge)
+    return list(zip(first.tolist(), np.add.reduceat(tokens, first).tolist(), strict=True))
+
+
+def shards_of(runs: list[tuple[int, int]], contexts: int, shard_tokens: int) -> tuple[np.ndarray, np.ndarray]:
+    """(first context, parts) of each shard: neighbouring runs are joined up to ``shard_tokens``; a run with more is dealt to parts."""
+    first, size = [], []
+    for at, n in sorted(runs):
+        if first and size[-1] + n <= shard_tokens:
+            size[-1] += n
+        else:
+            first.append(at if first else 0)
+            size.append(n)
+    return np.array(first or [0], np.int64), np.array([max(1, -(-n // shard_tokens)) for n in size or [0]], np.int64)
 
 
 class Level:
@@ -179,7 +211,7 @@ class Level:
             lo, end = start.get(distinct)[back], start.get(distinct + 1)[back]
             first[own] = lo + self.node_first[s]
             has = end > lo
-            gamma[own] = np.where(has, restore(a["gamma"][c], a["gamma_scale"]), 1.0)
+            gamma[own] = np.where(has, restore(a["gamma"][c]), 1.0)
             if child is None:
                 continue
             want = child[own]
@@ -199,7 +231,7 @@ class Level:
             inside = inside[get_bits(ids, width, lo[inside]) == want[inside]]
             at, hit = lo[inside], own[live[inside]]
             node[hit] = at + self.node_first[s]
-            alpha[hit] = restore(a["alpha"][at], a["alpha_scale"])
+            alpha[hit] = restore(a["alpha"][at])
         return node, first, alpha, gamma
 
 
@@ -271,10 +303,18 @@ def _merge(blocks: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return key[cuts], np.add.reduceat(count, cuts)
 
 
-def _count_keys(key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    key = np.sort(key)
-    cuts = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1]))) if len(key) else np.empty(0, np.int64)
-    return key[cuts], np.diff(np.append(cuts, len(key)))
+def _count_grams(context: np.ndarray, child: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The distinct (context, child), sorted, and their counts."""
+    if not len(context):
+        return context, child, np.empty(0, np.int64)
+    if int(context.max()) >> 31:  # both do not fit in 64 bits
+        order = np.lexsort((child, context))
+        context, child = context[order], child[order]
+    else:
+        key = np.sort(context << 32 | child)
+        context, child = key >> 32, key & 0xFFFFFFFF
+    at = np.flatnonzero(np.concatenate(([True], (context[1:] != context[:-1]) | (child[1:] != child[:-1]))))
+    return context[at], child[at], np.diff(np.append(at, len(context)))
 
 
 def _hash_words(seed: int, bits: int):
@@ -287,14 +327,22 @@ def _hash_words(seed: int, bits: int):
     return run
 
 
-def _store_words(folder: str):
+RUNS = "array<struct<first: long, tokens: long>>"
+
+
+def _runs(runs: list[tuple[int, int]]) -> pa.Array:
+    """A list of runs as a column of one row."""
+    return pa.array([[{"first": a, "tokens": n} for a, n in runs]], pa.list_(pa.struct([("first", pa.int64()), ("tokens", pa.int64())])))
+
+
+def _store_words(folder: str, step: int):
     def store(table: pa.Table) -> pa.Table:
         h, n = np.asarray(table["hash"]).view(np.uint64), np.asarray(table["n"])
         order = np.argsort(h)
         h, n = h[order], n[order]
         s = table["shard"][0].as_py()
         common.put_file(f"{folder}/{s}", common.pack({"hash": h, "count": n}))
-        return pa.table({"shard": [s], "n": [len(h)], "same": [int((h[1:] == h[:-1]).sum())]})
+        return pa.table({"shard": [s], "n": [len(h)], "same": [int((h[1:] == h[:-1]).sum())], "runs": _runs(cuts(n, step))})
 
     return store
 
@@ -311,14 +359,11 @@ class TrieModel:
         self.train, self.id_col, self.text_col = train, id_col, text_col
         self.folder = common.shared_folder(spark, "lm")
         src = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
-        self._count_words(src, shard_tokens)
-        shards = max(1, -(-self.tokens // shard_tokens))
-        ids = self.words_total + 2
-        edges = np.unique(np.linspace(0, ids, shards + 1).astype(np.int64))[:-1]
-        self.level2 = self._build(src, "bigrams", edges, ids, None)
-        nodes = int(self.level2.node_total)
-        edges = np.unique(np.linspace(0, max(1, nodes), shards + 1).astype(np.int64))[:-1]
-        self.level3 = self._build(src, "trigrams", edges, max(1, nodes), self.level2)
+        runs = self._count_words(src, shard_tokens)
+        if self.words_total + 2 >> 32:
+            raise ValueError("more than 2^32 words: their ids would not fit")
+        self.level2, runs = self._build(src, "bigrams", runs, self.words_total + 2, None, shard_tokens)
+        self.level3, _ = self._build(src, "trigrams", runs, max(1, self.level2.node_total), self.level2, shard_tokens)
 
     # -- training
 
@@ -328,7 +373,8 @@ class TrieModel:
         mod, out = self.train
         return part.column(1).filter(pa.array(~np.isin(common.crc_mod(part.column(0), mod), list(out))))
 
-    def _count_words(self, src: DataFrame, shard_tokens: int) -> None:
+    def _count_words(self, src: DataFrame, shard_tokens: int) -> list[tuple[int, int]]:
+        """Write the vocabulary; the runs of word ids by tokens."""
         training = self._training
 
         def run(part: pa.RecordBatch) -> pa.RecordBatch:
@@ -346,7 +392,7 @@ class TrieModel:
         for seed in range(8):
             folder = f"{self.folder}/words-{seed}"
             hashed = counted.mapInArrow(_hash_words(seed, bits), "shard long, hash long, n long")
-            done = hashed.groupBy("shard").applyInArrow(_store_words(folder), "shard long, n long, same long").collect()
+            done = hashed.groupBy("shard").applyInArrow(_store_words(folder, max(1, shard_tokens // 4)), f"shard long, n long, same long, runs {RUNS}").collect()
             if not any(r["same"] for r in done):
                 break
         else:
@@ -358,11 +404,15 @@ class TrieModel:
             common.put_file(f"{folder}/{s}", common.pack({"hash": np.empty(0, np.uint64), "count": np.empty(0, np.int64)}))
         self.vocabulary = Vocabulary(folder, bits, np.cumsum(sizes) - sizes, seed)
         (self.begin, self.end), _ = self.vocabulary.lookup([BEGIN.encode(), END.encode()])
+        return [(int(self.vocabulary.first[r["shard"]]) + a, n) for r in done for a, n in r["runs"]]
 
-    def _build(self, src: DataFrame, name: str, edges: np.ndarray, contexts: int, lower: Level | None) -> Level:
-        """Count the level's n-grams and write its shards; ``edges``: each shard's first context."""
+    def _build(self, src: DataFrame, name: str, runs: list[tuple[int, int]], contexts: int, lower: Level | None, shard_tokens: int) -> tuple[Level, list[tuple[int, int]]]:
+        """Count the level's n-grams and write its shards, cut by ``runs``; gives the level and the runs of its nodes."""
         training, vocabulary, begin, end = self._training, self.vocabulary, int(self.begin), int(self.end)
         folder = f"{self.folder}/{name}"
+        edges, parts = shards_of(runs, contexts, shard_tokens)
+        slot = np.cumsum(parts) - parts  # the parts of all shards in a row
+        owner = np.repeat(np.arange(len(edges)), parts)
 
         def run(part: pa.RecordBatch) -> pa.RecordBatch | None:
             t = common.tokenize(training(part))
@@ -374,29 +424,60 @@ class TrieModel:
             inner = place[1:] > 0
             if lower is not None:
                 context, child, inner = _trigrams(lower, seq, place)
-            key = (context[inner].astype(np.uint64) << np.uint64(32)) | child[inner].astype(np.uint64)
-            key, n = _count_keys(key)
-            shard = np.searchsorted(edges, (key >> np.uint64(32)).astype(np.int64), side="right") - 1
-            return _blocks(shard, key, n)
-
-        last = np.append(edges[1:], contexts)
-
-        def store(table: pa.Table) -> pa.Table:
-            s = table["shard"][0].as_py()
+            context, child, n = _count_grams(context[inner], child[inner])
+            shard = np.searchsorted(edges, context, side="right") - 1
+            key = (context - edges[shard]).astype(np.uint64) << np.uint64(32) | child.astype(np.uint64)
+            piece = slot[shard] + child * 2654435761 % 4294967296 % parts[shard]
+            if (parts[shard] > 1).any():
+                order = np.argsort(piece, kind="stable")
+                piece, key, n = piece[order], key[order], n[order]
+            return _blocks(piece, key, n)
+
+        def merge(table: pa.Table) -> pa.Table:
+            piece = table["shard"][0].as_py()
             key, n = _merge(table["block"].to_pylist())
-            context = (key >> np.uint64(32)).astype(np.int64) - int(edges[s])
-            common.put_file(f"{folder}/{s}", level_blob(int(last[s] - edges[s]), context, (key & np.uint64(0xFFFFFFFF)).astype(np.int64), n))
-            return pa.table({"shard": [s], "n": [len(key)]})
-
-        sizes = np.zeros(len(edges), np.int64)
-        for r in _map(src, run, "shard long, block binary").groupBy("shard").applyInArrow(store, "shard long, n long").collect():
-            sizes[r["shard"]] = r["n"]
-        empty = np.empty(0, np.int64)
-        for s in np.flatnonzero(sizes == 0):
-            common.put_file(f"{folder}/{s}", level_blob(int(last[s] - edges[s]), empty, empty, empty))
+            # Counts of a corpus are small numbers but for a few: a byte each, and the others in full.
+            large = np.flatnonzero(n > 254)
+            small = n.copy()
+            small[large] = 255
+            body = pa.Codec("zstd", 1).compress(np.diff(key, prepend=np.uint64(0)).tobytes() + small.astype(np.uint8).tobytes(), asbytes=True)
+            common.put_file(f"{folder}/part-{piece}", common.pack({"n": np.array([len(key)]), "body": np.frombuffer(body, np.uint8), "large": n[large]}))
+            return pa.table({"piece": [piece], "once": [int((n == 1).sum())], "twice": [int((n == 2).sum())]})
+
+        counted = _map(src, run, "shard long, block binary").groupBy("shard").applyInArrow(merge, "piece long, once long, twice long").collect()
+        d = discount(sum(r["once"] for r in counted), sum(r["twice"] for r in counted))
+        written = {r["piece"] for r in counted}
+        last, step = np.append(edges[1:], contexts), max(1, shard_tokens // 4)
+
+        def code(batches):
+            for b in batches:
+                for s in b.column(0).to_pylist():
+                    own = [p for p in range(int(slot[s]), int(slot[s] + parts[s])) if p in written]
+                    target = f"{folder}/{s}"
+                    got = [x for p in own if (x := common.read_file(f"{folder}/part-{p}")) is not None]
+                    if len(got) == len(own):
+                        keys, counts = zip(*map(_part, got), strict=True) if got else ((np.empty(0, np.uint64),), (np.empty(0, np.int64),))
+                        key, n = np.concatenate(keys), np.concatenate(counts)
+                        order = np.argsort(key)
+                        key, n = key[order], n[order]
+                        context = (key >> np.uint64(32)).astype(np.int64)
+                        common.put_file(target, level_blob(int(last[s] - edges[s]), context, (key & np.uint64(0xFFFFFFFF)).astype(np.int64), n, d))
+                        common.put_file(f"{target}.runs", common.pack({"n": np.array([len(key)]), "runs": np.array(cuts(n, step), np.int64).ravel()}))
+                        for p in own:
+                            common.drop_file(f"{folder}/part-{p}")
+                    # A task that runs again after its parts have gone finds the shard whole.
+                    made = common.unpack(np.frombuffer(common.read_file(f"{target}.runs"), np.uint8))
+                    runs = [tuple(x) for x in made["runs"].reshape(-1, 2).tolist()]
+                    yield pa.RecordBatch.from_arrays([pa.array([s]), pa.array(made["n"]), _runs(runs)], names=["shard", "n", "runs"])
+
+        spark = src.sparkSession
+        many = min(len(edges), max(2 * spark.sparkContext.defaultParallelism, len(edges) // 8))
+        sizes, found = np.zeros(len(edges), np.int64), {}
+        for r in spark.range(0, len(edges), 1, many).mapInArrow(code, f"shard long, n long, runs {RUNS}").collect():
+            sizes[r["shard"]], found[r["shard"]] = r["n"], r["runs"]
         level = Level(folder, edges, np.cumsum(sizes) - sizes)
         level.node_total = int(sizes.sum())
-        return level
+        return level, [(int(level.node_first[s]) + a, n) for s, x in found.items() for a, n in x]
 
     # -- scoring
 
@@ -438,7 +519,11 @@ class TrieModel:
         }
 
     def score(self, df: DataFrame, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-        """``keep`` beside n_tokens, n_known, train_tokens, base_score and score of every whole text (null: empty)."""
+        """``keep`` beside n_tokens, n_known, train_tokens, base_score and score of every whole text.
+
+        A null or empty text is its end alone; repeated rows get equal scores; texts of any length are scored whole; an empty table
+        gives no rows, and a model of one knows no word; kept columns come back under free names.
+        """
         out = {"n_tokens": "long", "n_known": "long", "train_tokens": "long", "base_score": "double", "score": "double"}
         model = self
 
@@ -448,6 +533,16 @@ class TrieModel:
         return common.annotate(df, run, out, list(keep), self.text_col)
 
 
+def _part(raw: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """The keys and counts of one written part."""
+    a = common.unpack(np.frombuffer(raw, np.uint8))
+    n = int(a["n"][0])
+    body = np.frombuffer(pa.Codec("zstd", 1).decompress(a["body"].tobytes(), decompressed_size=9 * n, asbytes=True), np.uint8)
+    counts = body[8 * n :].astype(np.int64)
+    counts[counts == 255] = a["large"]
+    return np.cumsum(body[: 8 * n].view(np.uint64), dtype=np.uint64), counts
+
+
 def _map(df: DataFrame, fn, schema: str) -> DataFrame:
     return common.map_arrow(df, fn, schema, "text", LM_CHUNK)
 
@@ -455,8 +550,8 @@ def _map(df: DataFrame, fn, schema: str) -> DataFrame:
 def _bigrams(level: Level, seq: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, ...]:
     """Level.lookup of (the one before, the one at) each place; unknown words give no node, and gamma 1 as a context."""
     before, word = seq[at - 1], seq[at]
-    code, distinct = pd.factorize(((before + 1) << 32) | (word + 1))
-    c, w = (distinct >> 32) - 1, (distinct & 0xFFFFFFFF) - 1
+    code, distinct = pd.factorize(((before + 1) << 32) | (word + 1))  # both are under 2^32 (see TrieModel)
+    c, w = (distinct.view(np.uint64) >> np.uint64(32)).astype(np.int64) - 1, (distinct & 0xFFFFFFFF) - 1
     node, first, alpha, gamma = np.full(len(c), -1, np.int64), np.zeros(len(c), np.int64), np.zeros(len(c)), np.ones(len(c))
     known = np.flatnonzero(c >= 0)
     node[known], first[known], alpha[known], gamma[known] = level.lookup(c[known], w[known])
