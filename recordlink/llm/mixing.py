@@ -24,6 +24,8 @@ LEVELS = ("domain", "lang", "source")
 NONE = "(none)"
 #: Digits of the order's hash: so many values each, so many of them before single documents are ranked.
 RADIX_BITS, DIGITS = 8, 3
+#: Tables of a row a leaf (about 100 bytes) are broadcast up to so many leaves.
+BROADCAST_LEAVES = 50_000
 
 
 @dataclass(frozen=True)
@@ -107,9 +109,10 @@ def _count(column: pa.Array) -> dict[str, pa.Array]:
     return {"n_tokens": pa.array(common.tokenize(column, lower=False).lengths)}
 
 
-def _paths(df: DataFrame, domain: Column | None) -> DataFrame:
+def _paths(domain: Column | None) -> list[Column]:
+    """A row's domain, language and source, by these names."""
     text = lambda c: F.coalesce(c.cast("string"), F.lit(NONE))
-    return df.withColumns({"p_domain": text(domain if domain is not None else F.lit("all")), "p_lang": text(F.col("lang")), "p_source": text(F.col("source"))})
+    return [text(domain if domain is not None else F.lit("all")).alias("domain"), text(F.col("lang")).alias("lang"), text(F.col("source")).alias("source")]
 
 
 def _order(seed: int, epoch: Column) -> Column:
@@ -122,12 +125,13 @@ def select(df: DataFrame, target: Target, domain: Column | None = None, max_leav
 
     Rows: doc_id, domain, lang, source, epoch (from 0), n_tokens (words of the whole text), take_tokens (fewer than n_tokens for
     the one document where the leaf's budget ends).  The take_tokens of a leaf sum to its budget.  Null names are a child
-    "(none)"; texts without words are taken where they stand before the prefix's end; repeated rows count each.
+    "(none)"; texts without words are taken where they stand before the prefix's end; repeated rows count each, and of equal ones as many
+    are taken as the budget has room for; ids may be of any type; texts of any length are counted whole; an empty table gives no
+    rows; other columns are not read.
     A tree of more than ``max_leaves`` leaves is an error, since the driver plans it.
     """
-    slim = _paths(df.select("doc_id", "lang", "source", "text"), domain)
-    slim = common.annotate(slim, _count, {"n_tokens": "long"}, ["doc_id", "p_domain", "p_lang", "p_source"])
-    slim = common.settle(slim.select("doc_id", F.col("p_domain").alias("domain"), F.col("p_lang").alias("lang"), F.col("p_source").alias("source"), "n_tokens"))
+    slim = df.select("doc_id", *_paths(domain), "text")
+    slim = common.settle(common.annotate(slim, _count, {"n_tokens": "long"}, ["doc_id", *LEVELS]))
     leaves = slim.groupBy(*LEVELS).agg(F.sum("n_tokens").alias("n")).limit(max_leaves + 1).collect()
     if len(leaves) > max_leaves:
         raise ValueError(f"more than {max_leaves} leaves")
@@ -135,45 +139,35 @@ def select(df: DataFrame, target: Target, domain: Column | None = None, max_leav
     budgets = plan(supply, target)
     spark = df.sparkSession
     rows = [(*k, budgets[k] // supply[k] if supply[k] else 0, budgets[k] % supply[k] if supply[k] else 0) for k in sorted(supply)]
-    leaf = F.broadcast(spark.createDataFrame(rows, "domain string, lang string, source string, whole int, rest long"))
+    small = len(rows) <= BROADCAST_LEAVES
+    lightly = F.broadcast if small else (lambda t: t)  # a row a leaf; beyond, Spark chooses the join by size
+    leaf = lightly(spark.createDataFrame(rows, "domain string, lang string, source string, whole int, rest long"))
     joined = slim.join(leaf, list(LEVELS)).withColumn("order", _order(target.seed, F.col("whole")))
 
     whole = joined.where("whole > 0").select("doc_id", *LEVELS, F.explode(F.sequence(F.lit(0), F.col("whole") - 1)).alias("epoch"), "n_tokens", F.col("n_tokens").alias("take_tokens"))
 
     # Digit by digit: the tokens of each value, the value in which the budget ends, and only that value's documents on.
     digit = lambda d: F.shiftrightunsigned("order", 64 - RADIX_BITS * (d + 1)).bitwiseAND(F.lit((1 << RADIX_BITS) - 1))
-    part, sure, edge = joined.where("rest > 0"), [], None
-    part = part.withColumn("left", F.col("rest"))
+    part, sure = joined.where("rest > 0").withColumn("left", F.col("rest")), []
+    upto = Window.partitionBy(*LEVELS).orderBy("digit")
     for d in range(DIGITS):
-        sums = part.groupBy(*LEVELS, "left", digit(d).alias("digit")).agg(F.sum("n_tokens").alias("n")).collect()
-        ends: dict[tuple, tuple[int, int, int]] = {}
-        by_leaf: dict[tuple, list[tuple[int, int, int]]] = {}
-        for r in sums:
-            by_leaf.setdefault(tuple(r[k] for k in LEVELS), []).append((r["digit"], r["n"], r["left"]))
-        for k, values in by_leaf.items():
-            left, end = values[0][2], None
-            for v, n, _ in sorted(values):
-                if n >= left:
-                    end = (v, left)
-                    break
-                left -= n
-            if end is not None:
-                ends[k] = end
-        if not ends:
-            edge = None
-            break
-        cut = F.broadcast(spark.createDataFrame([(*k, *v) for k, v in ends.items()], "domain string, lang string, source string, end_digit long, next_left long"))
+        sums = part.groupBy(*LEVELS, "left", digit(d).alias("digit")).agg(F.sum("n_tokens").alias("n"))
+        ends = sums.withColumn("sum", F.sum("n").over(upto)).where("sum >= left and sum - n < left")
+        cut = lightly(common.settle(ends.select(*LEVELS, F.col("digit").alias("end_digit"), (F.col("left") - F.col("sum") + F.col("n")).alias("next_left"))))
         met = part.join(cut, list(LEVELS)).withColumn("digit", digit(d))
         sure.append(met.where("digit < end_digit"))
         part = met.where("digit = end_digit").drop("left", "digit", "end_digit").withColumnRenamed("next_left", "left")
-        edge = part
-    pieces = [whole]
     cols = ["doc_id", *LEVELS, F.col("whole").alias("epoch"), "n_tokens"]
-    pieces += [s.select(*cols, F.col("n_tokens").alias("take_tokens")) for s in sure]
-    if edge is not None:
-        w = Window.partitionBy(*LEVELS).orderBy("order", "doc_id", "n_tokens").rowsBetween(Window.unboundedPreceding, -1)
-        ranked = edge.withColumn("before", F.coalesce(F.sum("n_tokens").over(w), F.lit(0).cast("long"))).where("before < left")
-        pieces.append(ranked.select(*cols, F.least("n_tokens", F.col("left") - F.col("before")).alias("take_tokens")))
+    pieces = [whole, *(s.select(*cols, F.col("n_tokens").alias("take_tokens")) for s in sure)]
+    # Equal rows stand as one with a count, so that an id that many rows share makes no long window.
+    same = part.groupBy(*LEVELS, "whole", "left", "order", "doc_id", "n_tokens").agg(F.count("*").alias("rows"))
+    w = Window.partitionBy(*LEVELS).orderBy("order", "doc_id", "n_tokens").rowsBetween(Window.unboundedPreceding, -1)
+    ranked = same.withColumn("room", F.col("left") - F.coalesce(F.sum(F.col("n_tokens") * F.col("rows")).over(w), F.lit(0).cast("long"))).where("room > 0")
+    # Of each, the rows that fit whole, and one more with the tokens that are left.
+    fits = F.when(F.col("n_tokens") > 0, F.least(F.col("rows"), F.floor(F.col("room") / F.greatest("n_tokens", F.lit(1))))).otherwise(F.col("rows"))
+    taken = ranked.withColumn("fits", fits).withColumn("more", F.when(F.col("fits") < F.col("rows"), F.col("room") - F.col("fits") * F.col("n_tokens")).otherwise(F.lit(0)))
+    pieces.append(taken.where("fits > 0").select(*cols, F.col("n_tokens").alias("take_tokens"), F.explode(F.sequence(F.lit(1).cast("long"), "fits"))).drop("col"))
+    pieces.append(taken.where("more > 0").select(*cols, F.col("more").cast("long").alias("take_tokens")))
     out = pieces[0]
     for p in pieces[1:]:
         out = out.unionByName(p)
@@ -183,19 +177,16 @@ def select(df: DataFrame, target: Target, domain: Column | None = None, max_leav
 def mix_documents(df: DataFrame, target: Target, domain: Column | None = None) -> DataFrame:
     """The chosen rows of df with all their columns, whole texts, once an epoch in which they are chosen.
 
-    The document in which a leaf's budget ends is kept whole.  Rows without an id all count as one document of their leaf.
+    The document in which a leaf's budget ends is kept whole.  Rows that share an id (or have none) within a leaf are one document:
+    all of them stay where any is chosen.  Columns of df may have any other names.
     """
     chosen, _ = select(df, target, domain)
-    times = chosen.groupBy("doc_id", *LEVELS).agg(F.countDistinct("epoch").alias("times"))
-    if target.max_epochs == 1:
-        times = times.select("doc_id", *LEVELS)
-    keys = _paths(df, domain)
-    t = times.select(F.col("doc_id").alias("t_id"), *[F.col(k).alias(f"t_{k}") for k in LEVELS], *([] if target.max_epochs == 1 else ["times"]))
-    same = F.col("doc_id").eqNullSafe(F.col("t_id"))
+    times = chosen.groupBy("doc_id", *LEVELS).agg(F.countDistinct("epoch").cast("int").alias("times"))
+    rows = df.select(F.struct(*[F.col(f"`{c}`") for c in df.columns]).alias("row"), F.col("doc_id").alias("id"), *_paths(domain))
+    t = times.select(F.col("doc_id").alias("t_id"), *[F.col(k).alias(f"t_{k}") for k in LEVELS], "times")
+    same = F.col("id").eqNullSafe(F.col("t_id"))
     for k in LEVELS:
-        same = same & (F.col(f"p_{k}") == F.col(f"t_{k}"))
+        same = same & (F.col(k) == F.col(f"t_{k}"))
     if target.max_epochs == 1:
-        return keys.join(t, same, "left_semi").select(*df.columns)
-    return keys.join(t, same).withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("times").cast("int")))).select(*df.columns)
-
-
+        return rows.join(t.drop("times"), same, "left_semi").select("row.*")
+    return rows.join(t, same).select("row", F.explode(F.sequence(F.lit(1), F.col("times")))).select("row.*")

@@ -68,3 +68,23 @@ def test_odd(odd, none):
     assert mixed.columns == odd.columns and mixed.count() > 0
     assert mixing.mix_documents(odd, Target(max_epochs=3, budget_share=2.5)).count() > odd.count()
     assert mixing.mix_documents(none, Target(max_epochs=1)).count() == 0
+
+
+def test_repeated_rows_at_the_cut(spark):
+    """Equal rows are taken as far as the budget goes, and their tokens sum to it."""
+    df = spark.createDataFrame([("a", "x y z", "en", "s")] * 50 + [("b", "u v", "en", "s"), (None, "w w w w", "en", "s")], "doc_id string, text string, lang string, source string")
+    for budget in (1, 3, 76, 100, 155, 156):
+        rows = mixing.select(df, Target(budget_tokens=budget, max_epochs=1))[0].collect()
+        assert sum(r["take_tokens"] for r in rows) == budget and sum(r["take_tokens"] < r["n_tokens"] for r in rows) <= 1
+        assert sum(r["doc_id"] == "a" for r in rows) <= 50
+
+
+def test_columns_of_any_names_come_back(spark, docs):
+    from pyspark.sql import functions as F
+
+    odd = docs.select("*", F.lit(1).alias("times"), F.lit(2).alias("copy"), F.lit(3).alias("p_domain"), F.lit(4).alias("domain"), F.lit(5).alias("row"), F.lit(6).alias("n_tokens"), F.lit(7).alias("t_id"), F.lit(8).alias("a.b"))
+    for epochs, share in ((1, 0.5), (3, 1.6)):
+        target = Target(budget_share=share, max_epochs=epochs)
+        got = mixing.mix_documents(odd, target)
+        assert got.columns == odd.columns and set(got.select("times", "copy", "p_domain", "domain", "row", "n_tokens", "t_id").distinct().collect()) == {(1, 2, 3, 4, 5, 6, 7)}
+        assert sorted(r["doc_id"] for r in got.collect()) == sorted(r["doc_id"] for r in mixing.mix_documents(docs, target).collect())
