@@ -95,7 +95,7 @@ def _key(fp, positions: tuple[int, ...]):
     return out
 
 
-def links(distinct: DataFrame, list_limit: int = 64) -> DataFrame:
+def links(distinct: DataFrame, list_limit: int = 16) -> DataFrame:
     """Links ``(a, b, shared)``, a < b, between the distinct longs of column ``fp``; ``shared``: positional bytes in common.
 
     Every link joins two fingerprints at most two bits apart, and any two that close are connected by links; pairs
@@ -153,7 +153,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return labels
 
 
-def near_duplicates(df: DataFrame, shingle: int = 3, list_limit: int = 64, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(df: DataFrame, shingle: int = 3, list_limit: int = 16, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``doc_id``, ``fp`` and ``component_id`` for every row.
 
     ``component_id`` is the smallest id reachable over links, its own included.  Equal texts share a fingerprint and so a
