@@ -202,6 +202,26 @@ class LineDedup:
         return common.annotate(df, run, {"kept_text": "string", "n_lines": "long", "n_dropped": "long"}, keep, self.text_col)
 
 
+    def clean(self, df: DataFrame) -> DataFrame:
+        """df itself, with what stays of each text in the text column; all other columns, whatever their names, are as they were.
+
+        A null text becomes an empty one.
+        """
+        folder, shards, least, names = self.folder, self.shards, self.min_docs, df.columns
+        at = names.index(self.text_col)
+
+        def run(batches):
+            for batch in batches:
+                for part in common.chunks(batch, names[at]):
+                    got = _kept(common.text_bytes(part.column(at)), folder, shards, least)
+                    columns = list(part.columns)
+                    columns[at] = pa.array([b"\n".join(x) for _, x in got], pa.binary()).cast(columns[at].type)
+                    yield pa.RecordBatch.from_arrays(columns, schema=part.schema)
+            common.release()
+
+        return df.mapInArrow(run, df.schema)
+
+
 def digests(df: DataFrame, min_docs: int = 10) -> DataFrame:
     """doc_id, n_lines, n_dropped, kept_sha256."""
     done = LineDedup(df, min_docs=min_docs).apply(df, ["doc_id"])
