@@ -12,6 +12,7 @@ import os
 import tempfile
 import uuid
 import zlib
+from collections import OrderedDict
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 from functools import lru_cache
@@ -216,16 +217,29 @@ def drop_file(uri: str) -> None:
         pass
 
 
-@lru_cache(maxsize=4096)
+#: Bytes of files from a remote store that a worker keeps; local ones are mapped, and cost nothing.
+KEPT_BYTES = 256 << 20
+_kept: OrderedDict[str, np.ndarray] = OrderedDict()
+
+
 def map_file(uri: str) -> np.ndarray:
-    """The file's bytes, memory-mapped; one in a remote store is fetched once per worker."""
+    """The file's bytes: memory-mapped from a shared folder that is mounted, fetched from any other store (and kept a while)."""
     where, path = pafs.FileSystem.from_uri(uri)
-    if not isinstance(where, pafs.LocalFileSystem):
-        local = os.path.join(tempfile.gettempdir(), uuid.uuid5(uuid.NAMESPACE_URL, uri).hex)
-        if not os.path.exists(local):
-            pafs.copy_files(path, f"{local}.{os.getpid()}", source_filesystem=where, destination_filesystem=pafs.LocalFileSystem())
-            os.replace(f"{local}.{os.getpid()}", local)
-        path = local
+    if isinstance(where, pafs.LocalFileSystem):
+        return _map_local(path)
+    if uri in _kept:
+        _kept.move_to_end(uri)
+        return _kept[uri]
+    with where.open_input_file(path) as f:
+        got = np.frombuffer(f.read(), np.uint8)
+    _kept[uri] = got
+    while len(_kept) > 1 and sum(len(x) for x in _kept.values()) > KEPT_BYTES:
+        _kept.popitem(last=False)
+    return got
+
+
+@lru_cache(maxsize=4096)
+def _map_local(path: str) -> np.ndarray:
     return np.memmap(path, dtype=np.uint8, mode="r") if os.path.getsize(path) else np.empty(0, np.uint8)
 
 
