@@ -63,31 +63,45 @@ class HashedNgramEncoder:
         counted = gram.groupBy(id_col, bucket.alias("bucket")).agg(F.sum(sign).cast("int").alias("weight"))
         return counted.where("weight != 0")
 
-    def block(self, texts: list[str | None]) -> np.ndarray:
-        cache: dict[str, tuple[int, int]] = {}
-        out = np.zeros((len(texts), self.dim))
+    def word(self, w: str) -> tuple[np.ndarray, np.ndarray]:
+        """Buckets and signs of one word's grams."""
+        hashes = [hashlib.md5(g.encode()).hexdigest() for g in gram_list(w, self.ns)]
+        return np.array([int(h[:6], 16) % self.dim for h in hashes], np.int64), np.array([1.0 if not self.signed or int(h[6], 16) % 2 == 0 else -1.0 for h in hashes])
+
+    def block(self, texts: list[str | None], known: dict | None = None) -> np.ndarray:
+        """Texts as rows; a word is hashed once, and ``known`` remembers it for further blocks."""
+        known = {} if known is None else known
+        if len(known) > 100_000:
+            known.clear()
+        made, owner = [], []
         for i, t in enumerate(texts):
-            for g in gram_list(t or "", self.ns):
-                if (at := cache.get(g)) is None:
-                    h = hashlib.md5(g.encode()).hexdigest()
-                    at = cache[g] = int(h[:6], 16) % self.dim, (1 if int(h[6], 16) % 2 == 0 else -1) if self.signed else 1
-                out[i, at[0]] += at[1]
-        return out
+            for w in (t or "").lower().split(" "):
+                if w:
+                    got = known.get(w)
+                    if got is None:
+                        got = known[w] = self.word(w)
+                    made.append(got)
+                    owner.append(i)
+        if not made:
+            return np.zeros((len(texts), self.dim))
+        rows = np.repeat(np.array(owner), [len(a) for a, _ in made])
+        at = rows * self.dim + np.concatenate([a for a, _ in made])
+        return np.bincount(at, np.concatenate([s for _, s in made]), len(texts) * self.dim).reshape(len(texts), self.dim)
 
     def encode(self, df: DataFrame, id_col: str, text: str = "sentence", out: str = "vec") -> DataFrame:
         """(id, vec): the same counts, dense, in Arrow batches; whole numbers, so that cosines agree with the sparse form."""
-        return encode_blocks(df, id_col, text, out, self.block)
+        return encode_blocks(df, id_col, text, out, self.block, {})
 
 
-def encode_blocks(df: DataFrame, id_col: str, text: str, out: str, block) -> DataFrame:
-    """Apply ``block(list of texts) -> matrix`` to Arrow batches."""
+def encode_blocks(df: DataFrame, id_col: str, text: str, out: str, block, *state) -> DataFrame:
+    """Apply ``block(list of texts, *state) -> matrix`` to Arrow batches; each task has a copy of ``state`` of its own."""
     schema = T.StructType([df.schema[id_col], T.StructField(out, VECTOR)])
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for f in frames:
             for lo in range(0, len(f), 2048):  # a Python task's memory cannot spill
                 part = f.iloc[lo : lo + 2048]
-                yield pd.DataFrame({id_col: part[id_col], out: list(block(part[text].tolist()).astype(np.float32))})
+                yield pd.DataFrame({id_col: part[id_col], out: list(block(part[text].tolist(), *state).astype(np.float32))})
 
     return df.select(id_col, text).mapInPandas(run, schema)
 

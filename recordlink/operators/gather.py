@@ -49,16 +49,32 @@ def _size(ref: DataFrame) -> tuple[int, int]:
 def knn_exact(q: DataFrame, ref: DataFrame, k: int = 5, metric: str = "cosine", exclude_self: bool = False, broadcast_bytes: int = BROADCAST_BYTES, block_rows: int = BLOCK_ROWS) -> DataFrame:
     """The k most similar reference rows of every query.
 
-    The reference's size is measured: a small one goes to every task and nothing is shuffled; a larger one is dealt with the
-    queries to a grid of blocks, each of which keeps k a query before the merge.
+    The reference is computed once and its size measured.  One of at most ``broadcast_bytes`` goes through the driver, which holds
+    it twice for a moment, to every task; a larger one is dealt with the queries to a grid of blocks, each of which
+    keeps k a query before the merge.  Both give the same rows.
     """
     _check(k)
+    ref = once(ref.select("rid", "vec"))
     n, d = _size(ref)
     if n * d * 8 <= broadcast_bytes:
         return _knn_broadcast(q, ref, k, metric, exclude_self)
     return _knn_grid(q, ref, n, k, metric, exclude_self, block_rows)
 
 
+def once(df: DataFrame) -> DataFrame:
+    """df computed into the shared folder, unless it already lies in files or checkpoints: encoders run once."""
+    plan = df._jdf.queryExecution().optimizedPlan()
+    while plan.children().size() == 1 and plan.nodeName() == "Project":
+        plan = plan.children().apply(0)
+    return df if plan.children().isEmpty() else settle(df)
+
+
+def spread(df: DataFrame, by: str) -> DataFrame:
+    """Rows dealt to all cores: few bytes, which Spark would keep in one or two partitions, can be much work."""
+    spark = df.sparkSession
+    return df.repartition(max(2 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions", "200"))), by)
+
+
 def _knn_broadcast(q: DataFrame, ref: DataFrame, k: int, metric: str, exclude_self: bool) -> DataFrame:
     rows = ref.select("rid", "vec").toPandas()
     shared = q.sparkSession.sparkContext.broadcast((rows["rid"].to_numpy(np.int64), matrix(rows["vec"])))
@@ -72,7 +88,7 @@ def _knn_broadcast(q: DataFrame, ref: DataFrame, k: int, metric: str, exclude_se
                     s = block_similarity(matrix(part["vec"]), r, metric)
                     yield _frame(block_top(part["qid"].to_numpy(np.int64), rid, s, k, exclude_self))
 
-    return q.select("qid", "vec").mapInPandas(run, CANDS)
+    return spread(q.select("qid", "vec"), "qid").mapInPandas(run, CANDS)
 
 
 def _frame(cols: tuple[np.ndarray, ...]) -> pd.DataFrame:
@@ -113,15 +129,30 @@ def knn_sql(q: DataFrame, ref: DataFrame, k: int = 5, metric: str = "cosine", ex
     return rank_top(pairs.select("qid", "rid", F.round(similarity(F.col("qv"), F.col("rv"), metric), 9).alias("sim")), k)
 
 
+#: Pairs of a key that one task may make; a key with more is dealt to several.
+PAIRS_PER_PART = 1 << 20
+
+
+def pairs_by_key(a: DataFrame, b: DataFrame, key: str, a_id: str = "qid", pairs: int = PAIRS_PER_PART) -> DataFrame:
+    """The equi-join of two posting tables on ``key``, keys that stand in many rows of both sides split: the rows of a are dealt
+    to as many parts as the key's pairs need, and each part meets the key's rows of b.  Counts are joined, not collected."""
+    n = a.groupBy(key).agg(F.count("*").alias("_a")).join(b.groupBy(key).agg(F.count("*").alias("_b")), key)
+    parts = n.select(key, F.least(F.ceil(F.col("_a") * F.col("_b") / pairs), F.col("_a")).cast("int").alias("_parts"))
+    left = a.join(parts, key).withColumn("_part", F.pmod(F.xxhash64(a_id), F.col("_parts")).cast("int")).drop("_parts")
+    right = b.join(parts, key).withColumn("_part", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))).drop("_parts")
+    spark = a.sparkSession
+    wide = max(2 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
+    return left.repartition(wide, key, "_part").join(right.hint("shuffle_hash"), [key, "_part"]).drop("_part")
+
+
 def knn_sparse(qpost: DataFrame, rpost: DataFrame, k: int = 5, key: str = "bucket", weight: str = "weight") -> DataFrame:
     """Cosine over sparse rows (id, key, weight): an equi-join on the key, so only pairs with a common key are seen."""
     _check(k)
+    qpost, rpost = once(qpost), once(rpost)
     norm = lambda df, i: df.groupBy(i).agg(F.sum(F.col(weight) * F.col(weight)).cast("double").alias(f"{i}_norm"))
     a = qpost.select("qid", key, F.col(weight).alias("qw"))
     b = rpost.select("rid", key, F.col(weight).alias("rw"))
-    spark = qpost.sparkSession
-    spread = max(2 * spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions", "200")))
-    dots = a.repartition(spread, key).join(b, key).groupBy("qid", "rid").agg(F.sum(F.col("qw") * F.col("rw")).cast("double").alias("d"))
+    dots = pairs_by_key(a, b, key).groupBy("qid", "rid").agg(F.sum(F.col("qw") * F.col("rw")).cast("double").alias("d"))
     full = dots.join(norm(qpost, "qid"), "qid").join(norm(rpost, "rid"), "rid")
     return rank_top(full.select("qid", "rid", F.round(F.col("d") / F.sqrt(F.col("qid_norm") * F.col("rid_norm")), 9).alias("sim")), k)
 
@@ -187,18 +218,21 @@ class CellIndex:
     """k-means cells over the reference; a query visits its nearest ones.  With all cells visited it is exact."""
 
     def __init__(self, centres: np.ndarray, table: DataFrame) -> None:
-        self.centres, self.table = centres, table
+        self.centres, self.table, self.inner = centres, table, None
 
     @classmethod
     def fit(cls, ref: DataFrame, cells: int = 32, seed: int = 7, sample: int = 20_000) -> CellIndex:
+        ref = once(ref)
         centres = kmeans(sample_vectors(ref, sample, seed), cells, seed)
-        return cls(centres, _cells(ref, "rid", centres, 1))
+        return cls(centres, settle(_cells(ref, "rid", centres, 1)))
 
     def query(self, q: DataFrame, k: int = 5, probes: int = 4, metric: str = "cosine", inner: str = "exact", **forest) -> DataFrame:
         _check(k)
-        p = _cells(q, "qid", self.centres, probes)
+        p = _cells(spread(q, "qid"), "qid", self.centres, probes)
         if inner == "forest":
-            return Forest.fit(self.table, **forest).query(p, k, within="cell")
+            if self.inner is None:
+                self.inner = Forest.fit(self.table, **forest)
+            return self.inner.query(p, k, within="cell")
         a, b, keys = _salted(p, self.table, ["cell"])
         return merge_top(_cell_top(a, b, keys, k, metric), k)
 
@@ -212,8 +246,9 @@ class PivotIndex:
 
     @classmethod
     def fit(cls, ref: DataFrame, pivots: int = 32, seed: int = 7, sample: int = 20_000) -> PivotIndex:
+        ref = once(ref)
         centres = kmeans(sample_vectors(ref, sample, seed), pivots, seed)
-        table = _cells(ref, "rid", centres, 1)
+        table = settle(_cells(ref, "rid", centres, 1))
         radius = np.zeros(len(centres))
         distance = F.sqrt(F.greatest(F.lit(0.0), 2 - 2 * F.col("near")))
         for r in table.groupBy("cell").agg(F.max(distance).alias("r")).collect():  # a row a pivot
@@ -222,8 +257,9 @@ class PivotIndex:
 
     def query(self, q: DataFrame, k: int = 5) -> DataFrame:
         _check(k)
-        a, b, keys = _salted(_cells(q, "qid", self.pivots, 1), self.table, ["cell"])
-        first = merge_top(_cell_top(a, b, keys, k, "cosine"), k)
+        q = once(q)
+        a, b, keys = _salted(_cells(spread(q, "qid"), "qid", self.pivots, 1), self.table, ["cell"])
+        first = settle(merge_top(_cell_top(a, b, keys, k, "cosine"), k))
         kth = first.groupBy("qid").agg(F.when(F.count("*") >= k, F.min("sim")).alias("least"))
         more = self._open_cells(q.join(kth, "qid", "left"))
         a, b, keys = _salted(more, self.table, ["cell"])
@@ -251,22 +287,33 @@ class PivotIndex:
         return q.select("qid", "vec", "least").mapInPandas(run, schema)
 
 
+#: Trees and centres go to every task; more bytes than this are refused rather than broadcast.
+MODEL_BYTES = 128 << 20
+
+
 class Forest:
     """Trees of random hyperplanes between two sampled rows; a query visits, in each tree, the leaves it misses least."""
 
-    def __init__(self, trees: list[list[tuple]], table: DataFrame) -> None:
+    def __init__(self, trees: list[Tree], table: DataFrame) -> None:
         self.trees, self.table = trees, table
 
     @classmethod
-    def fit(cls, ref: DataFrame, trees: int = 10, leaf: int = 64, seed: int = 7, sample: int = 20_000) -> Forest:
-        """The splits come from a bounded sample; leaves are sized for the whole table by its share in the sample."""
+    def fit(cls, ref: DataFrame, trees: int = 10, leaf: int = 64, seed: int = 7, sample: int = 20_000, least: int = 8) -> Forest:
+        """The splits come from a bounded sample; leaves are sized for the whole table by its share in the sample.
+
+        A leaf holds ``least`` sampled rows at least, which bounds a tree to sample / least leaves whatever the table's size;
+        larger tables have larger leaves (or get a larger ``sample``).
+        """
+        ref = once(ref)
         x = sample_vectors(ref, sample, seed)
         n = ref.count()
-        least = max(1.0, leaf * len(x) / max(1, n))
+        size = max(float(least) if n > len(x) else 1.0, leaf * len(x) / max(1, n))
         rng = np.random.default_rng(seed)
-        grown = [_grow(x, least, rng) for _ in range(trees)]
+        grown = [Tree.grow(x, size, rng) for _ in range(trees)]
+        if sum(t.normals.nbytes for t in grown) > MODEL_BYTES:
+            raise ValueError("the trees take more than MODEL_BYTES: a smaller sample, fewer trees or a larger least")
         keep = [c for c in ("cell",) if c in ref.columns]
-        return cls(grown, _route(ref, "rid", grown, 1, keep))
+        return cls(grown, settle(_route(ref, "rid", grown, 1, keep)))
 
     def query(self, q: DataFrame, k: int = 5, probes: int = 4, metric: str = "cosine", within: str | None = None) -> DataFrame:
         _check(k)
@@ -275,81 +322,112 @@ class Forest:
         return merge_top(_cell_top(a, b, keys, k, metric), k)
 
 
-def _grow(x: np.ndarray, leaf: float, rng: np.random.Generator) -> list[tuple]:
-    """Nodes (normal, offset, left, right); a leaf has no normal."""
-    nodes: list[tuple] = []
-
-    def make(rows: np.ndarray, depth: int) -> int:
-        at = len(nodes)
-        nodes.append((None, 0.0, -1, -1))
-        if len(rows) <= leaf or depth > 40 or len(rows) < 2:
-            return at
-        for _ in range(3):
-            i, j = rng.choice(len(rows), 2, replace=False)
-            normal = x[rows[i]] - x[rows[j]]
-            size = np.linalg.norm(normal)
-            if size > 1e-9:
-                break
-        else:
-            return at
-        normal = normal / size
-        value = x[rows] @ normal
-        offset = float(np.median(value))
-        left = value <= offset
-        if left.all() or not left.any():
-            return at
-        nodes[at] = (normal, offset, make(rows[left], depth + 1), make(rows[~left], depth + 1))
-        return at
-
-    if len(x):
-        make(np.arange(len(x)), 0)
-    return nodes
-
-
-def _leaves(nodes: list[tuple], x: np.ndarray, probes: int) -> tuple[np.ndarray, np.ndarray]:
-    """(row, leaf): the ``probes`` leaves of each row with the least distance beyond split planes on the way."""
-    if not nodes:
-        return np.arange(len(x)), np.zeros(len(x), np.int64)
-    rows, leaves, costs = [], [], []
-    stack = [(0, np.arange(len(x)), np.zeros(len(x)))]
-    while stack:
-        node, own, cost = stack.pop()
-        normal, offset, left, right = nodes[node]
-        if normal is None:
-            rows.append(own)
-            leaves.append(np.full(len(own), node))
-            costs.append(cost)
-            continue
-        side = x[own] @ normal - offset
-        for child, miss in ((left, np.maximum(side, 0)), (right, np.maximum(-side, 0))):
-            on = (side <= 0 if child == left else side > 0) | (probes > 1)
-            if on.any():
-                stack.append((child, own[on], cost[on] + miss[on]))
-    row, leaf, cost = np.concatenate(rows), np.concatenate(leaves), np.concatenate(costs)
-    order = np.lexsort((leaf, cost, row))
-    row, leaf = row[order], leaf[order]
-    rank = np.arange(len(row)) - np.searchsorted(row, np.arange(len(x)))[row]
-    return row[rank < probes], leaf[rank < probes]
-
-
-def _route(df: DataFrame, id_col: str, trees: list[list[tuple]], probes: int, keep: list[str]) -> DataFrame:
-    shared = df.sparkSession.sparkContext.broadcast(trees)
+class Tree:
+    """Nodes in arrays: ``normals`` and ``offsets`` of the inner ones, children as left and right (-1: a leaf)."""
+
+    def __init__(self, normals: np.ndarray, offsets: np.ndarray, left: np.ndarray, right: np.ndarray) -> None:
+        self.normals, self.offsets, self.left, self.right = normals, offsets, left, right
+
+    @classmethod
+    def grow(cls, x: np.ndarray, leaf: float, rng: np.random.Generator) -> Tree:
+        normals, offsets, left, right = [], [], [], []
+        todo = [(np.arange(len(x)), 0, None)]
+        while todo:
+            rows, depth, parent = todo.pop()
+            at = len(left)
+            if parent is not None:
+                (left if parent[1] else right)[parent[0]] = at
+            normals.append(None)
+            offsets.append(0.0)
+            left.append(-1)
+            right.append(-1)
+            if len(rows) <= leaf or len(rows) < 2 or depth > 40:
+                continue
+            for _ in range(3):
+                i, j = rng.choice(len(rows), 2, replace=False)
+                normal = x[rows[i]] - x[rows[j]]
+                size = np.linalg.norm(normal)
+                if size > 1e-9:
+                    break
+            else:
+                continue
+            normal = (normal / size).astype(np.float32)
+            value = x[rows] @ normal
+            offset = float(np.median(value))
+            low = value <= offset
+            if low.all() or not low.any():
+                continue
+            normals[at], offsets[at] = normal, offset
+            todo += [(rows[low], depth + 1, (at, True)), (rows[~low], depth + 1, (at, False))]
+        width = x.shape[1] if x.ndim == 2 else 0
+        return cls(np.array([np.zeros(width, np.float32) if n is None else n for n in normals]), np.array(offsets), np.array(left), np.array(right))
+
+    def leaves(self, x: np.ndarray, probes: int) -> tuple[np.ndarray, np.ndarray]:
+        """(row, leaf): the ``probes`` leaves of each row with the least distance beyond split planes on the way, best first.
+
+        Going to the nearer side costs nothing, so each of the descents ends at the next best leaf; the sides not taken wait with
+        their costs, and only the nodes on the way are looked at.
+        """
+        n = len(x)
+        every = np.arange(n)
+        rows, found = [], []
+        wait_node, wait_cost = np.full((n, 0), -1), np.full((n, 0), np.inf)
+        node, cost, live = np.zeros(n, np.int64), np.zeros(n), every
+        for turn in range(probes):
+            if turn:
+                if not wait_cost.shape[1]:
+                    break
+                pick = wait_cost.argmin(1)
+                cost = wait_cost[every, pick]
+                live = np.flatnonzero(np.isfinite(cost))
+                if not len(live):
+                    break
+                node = wait_node[every, pick]
+                wait_cost[every, pick] = np.inf
+            new_node, new_cost = [], []
+            on = live[self.left[node[live]] >= 0]
+            while len(on):
+                at = node[on]
+                side = np.einsum("ij,ij->i", x[on], self.normals[at]) - self.offsets[at]
+                low = side <= 0
+                node[on] = np.where(low, self.left[at], self.right[at])
+                other, price = np.full(n, -1), np.full(n, np.inf)
+                other[on], price[on] = np.where(low, self.right[at], self.left[at]), cost[on] + np.abs(side)
+                new_node.append(other)
+                new_cost.append(price)
+                on = on[self.left[node[on]] >= 0]
+            rows.append(live)
+            found.append(node[live].copy())
+            if new_node and turn + 1 < probes:
+                wait_node = np.concatenate([wait_node, np.stack(new_node, 1)], axis=1)
+                wait_cost = np.concatenate([wait_cost, np.stack(new_cost, 1)], axis=1)
+                if wait_cost.shape[1] > probes:  # no more can be taken
+                    best = np.argpartition(wait_cost, probes - 1, axis=1)[:, :probes]
+                    wait_node, wait_cost = np.take_along_axis(wait_node, best, 1), np.take_along_axis(wait_cost, best, 1)
+        return np.concatenate(rows), np.concatenate(found)
+
+
+def _route(df: DataFrame, id_col: str, trees: list[Tree], probes: int, keep: list[str]) -> DataFrame:
+    shared = df.sparkSession.sparkContext.broadcast([(t.normals, t.offsets, t.left, t.right) for t in trees])  # at most MODEL_BYTES
     schema = T.StructType([df.schema[id_col], df.schema["vec"], *(df.schema[c] for c in keep), T.StructField("tree", T.IntegerType()), T.StructField("leaf", T.IntegerType())])
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            if not len(f):
-                continue
-            x = unit(matrix(f["vec"]))
-            for t, nodes in enumerate(shared.value):
-                row, leaf = _leaves(nodes, x, probes)
-                yield pd.DataFrame({id_col: f[id_col].to_numpy()[row], "vec": f["vec"].to_numpy()[row]} | {c: f[c].to_numpy()[row] for c in keep} | {"tree": np.int32(t), "leaf": leaf.astype(np.int32)})
+        for whole in frames:
+            for lo in range(0, len(whole), 2048):
+                f = whole.iloc[lo : lo + 2048]
+                x = unit(matrix(f["vec"]))
+                for t, arrays in enumerate(shared.value):
+                    row, leaf = Tree(*arrays).leaves(x, probes)
+                    yield pd.DataFrame({id_col: f[id_col].to_numpy()[row], "vec": f["vec"].to_numpy()[row]} | {c: f[c].to_numpy()[row] for c in keep} | {"tree": np.int32(t), "leaf": leaf.astype(np.int32)})
 
-    return df.select(id_col, "vec", *keep).mapInPandas(run, schema)
+    return spread(df.select(id_col, "vec", *keep), id_col).mapInPandas(run, schema)
 
 
 def lsh_candidates(q: DataFrame, ref: DataFrame, k: int = 5, bucket: float = 0.5, tables: int = 8, reach: float = 1.2, seed: int = 7) -> DataFrame:
-    """Spark ML's random-projection hashing: pairs within ``reach`` that share a bucket in some table, re-ranked by cosine."""
+    """Spark ML's random-projection hashing: pairs within ``reach`` that share a bucket in some table, re-ranked by cosine.
+
+    A query that finds fewer than k so is searched exactly.
+    """
     from pyspark.ml.feature import BucketedRandomProjectionLSH
     from pyspark.ml.functions import array_to_vector
 
@@ -359,7 +437,14 @@ def lsh_candidates(q: DataFrame, ref: DataFrame, k: int = 5, bucket: float = 0.5
     norm = lambda df, i: df.select(i, array_to_vector(scaled).alias("features"))
     model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=seed).fit(norm(ref, "rid"))
     pairs = model.approxSimilarityJoin(norm(q, "qid"), norm(ref, "rid"), reach, "d")
-    return rerank(pairs.select(F.col("datasetA.qid").alias("qid"), F.col("datasetB.rid").alias("rid")), q, ref, k)
+    found = settle(rerank(pairs.select(F.col("datasetA.qid").alias("qid"), F.col("datasetB.rid").alias("rid")), q, ref, k))
+    return _filled(found, q, k, lambda rest: knn_exact(rest, ref, k))
+
+
+def _filled(found: DataFrame, q: DataFrame, k: int, more) -> DataFrame:
+    """Candidates whose queries have fewer than k of them get those of ``more(queries)`` instead."""
+    enough = found.groupBy("qid").agg(F.count("*").alias("n")).where(F.col("n") >= k).select("qid")
+    return found.join(enough, "qid", "left_semi").select("qid", "rid", "rank", "sim").unionByName(more(q.join(enough, "qid", "left_anti").select("qid", "vec")))
 
 
 class DensityIndex:
@@ -367,11 +452,12 @@ class DensityIndex:
     are one cluster; other rows near a core join its nearest core's cluster, the rest are noise (-1)."""
 
     def __init__(self, labels: DataFrame, ref: DataFrame) -> None:
-        self.labels, self.ref = labels, ref
+        self.labels, self.ref, self.forest, self.inside = labels, ref, None, None
 
     @classmethod
     def fit(cls, ref: DataFrame, eps: float, min_pts: int, pivots: int = 16, seed: int = 7) -> DensityIndex:
         """eps: Euclidean distance of unit vectors."""
+        ref = once(ref.select("rid", "vec"))
         pairs = settle(eps_pairs(ref, eps, pivots, seed))
         degree = pairs.groupBy("a").agg(F.count("*").alias("n"))
         core = settle(degree.where(F.col("n") >= min_pts).select("a"))
@@ -385,13 +471,19 @@ class DensityIndex:
         return cls(settle(labels), ref)
 
     def query(self, q: DataFrame, k: int = 5, trees: int = 8, leaf: int = 64, probes: int = 4) -> DataFrame:
-        """Search in the cluster of the nearest row (by the forest), by the forest within it; noise is a cluster."""
-        forest = Forest.fit(self.ref, trees, leaf)
-        near = forest.query(q, 1, probes).join(self.labels, "rid").select("qid", F.col("cluster").alias("cell"))
-        table = self.ref.join(self.labels, "rid").select("rid", "vec", F.col("cluster").alias("cell"))
-        p = q.join(near, "qid").select("qid", "vec", "cell")
-        inside = Forest(forest.trees, _route(table, "rid", forest.trees, 1, ["cell"]))
-        return inside.query(p, k, probes, within="cell")
+        """Search in the cluster of the nearest row (by the forest), by the forest within it; noise is a cluster.
+
+        A query that finds fewer than k there takes the forest's of all clusters, and if these are too few, the exact ones.
+        """
+        if self.forest is None:
+            self.forest = Forest.fit(self.ref, trees, leaf)
+            table = self.ref.join(self.labels, "rid").select("rid", "vec", F.col("cluster").alias("cell"))
+            self.inside = Forest(self.forest.trees, settle(_route(table, "rid", self.forest.trees, 1, ["cell"])))
+        q = once(q.select("qid", "vec"))
+        wide = settle(self.forest.query(q, k, probes))
+        near = wide.where("rank = 1").join(self.labels, "rid").select("qid", F.col("cluster").alias("cell"))
+        found = settle(self.inside.query(q.join(near, "qid").select("qid", "vec", "cell"), k, probes, within="cell"))
+        return _filled(found, q, k, lambda rest: _filled(wide.join(rest.select("qid"), "qid", "left_semi"), rest, k, lambda last: knn_exact(last, self.ref, k)))
 
 
 def eps_pairs(ref: DataFrame, eps: float, pivots: int = 16, seed: int = 7) -> DataFrame:

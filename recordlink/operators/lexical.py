@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..schema import RecordSchema
-from .gather import rank_top
+from .gather import once, pairs_by_key, rank_top
 
 
 def spread_count(df: DataFrame) -> int:
@@ -38,13 +38,13 @@ def lexical_search(q: DataFrame, ref: DataFrame, k: int = 5, scorer: str = "bm25
     cut = trigrams if scorer == "trigram" else words
     qt = q.select("qid", F.explode(cut(F.col(text))).alias("term")).groupBy("qid", "term").agg(F.count("*").alias("qtf"))
     rt = ref.select("rid", F.explode(cut(F.col(text))).alias("term")).groupBy("rid", "term").agg(F.count("*").alias("tf"))
-    qt = qt.repartition(spread_count(q), "term")
+    qt, rt = once(qt), once(rt)
     n = ref.agg(F.count("*").cast("double").alias("n"))
     df = rt.groupBy("term").agg(F.count("*").cast("double").alias("df")).join(F.broadcast(n))
     if df_share is not None:
         df = df.where(F.col("df") <= F.col("n") * df_share)
     if scorer in ("overlap", "trigram"):
-        common = qt.join(rt, "term") if df_share is None else qt.join(rt, "term").join(df.select("term"), "term")
+        common = pairs_by_key(qt if df_share is None else qt.join(df.select("term"), "term"), rt, "term")
         pairs = common.groupBy("qid", "rid").agg(F.count("*").cast("double").alias("c"))
         if scorer == "overlap":
             return rank_top(pairs.select("qid", "rid", F.col("c").alias("sim")), k)
@@ -56,14 +56,14 @@ def lexical_search(q: DataFrame, ref: DataFrame, k: int = 5, scorer: str = "bm25
         mean = F.broadcast(length.agg(F.avg("len").alias("mean")))
         idf = df.select("term", F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5)).alias("idf"))
         post = rt.join(length, "rid").join(mean).select("rid", "term", (F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("len") / F.col("mean")))).alias("w"))
-        scored = qt.join(idf, "term").join(post, "term").groupBy("qid", "rid").agg(F.round(F.sum(F.col("qtf") * F.col("idf") * F.col("w")), 9).alias("sim"))
+        scored = pairs_by_key(qt.join(idf, "term"), post, "term").groupBy("qid", "rid").agg(F.round(F.sum(F.col("qtf") * F.col("idf") * F.col("w")), 9).alias("sim"))
         return rank_top(scored, k)
     idf = df.select("term", (F.log((1 + F.col("n")) / (1 + F.col("df"))) + 1).alias("idf"))
     qw = qt.join(idf, "term").select("qid", "term", (F.col("qtf") * F.col("idf")).alias("qw"))
     rw = rt.join(idf, "term").select("rid", "term", (F.col("tf") * F.col("idf")).alias("rw"))
     qn = qw.groupBy("qid").agg(F.sqrt(F.sum(F.col("qw") * F.col("qw"))).alias("qn"))
     rn = rw.groupBy("rid").agg(F.sqrt(F.sum(F.col("rw") * F.col("rw"))).alias("rn"))
-    dots = qw.join(rw, "term").groupBy("qid", "rid").agg(F.sum(F.col("qw") * F.col("rw")).alias("d"))
+    dots = pairs_by_key(qw, rw, "term").groupBy("qid", "rid").agg(F.sum(F.col("qw") * F.col("rw")).alias("d"))
     return rank_top(dots.join(qn, "qid").join(rn, "rid").select("qid", "rid", F.round(F.col("d") / (F.col("qn") * F.col("rn")), 9).alias("sim")), k)
 
 
@@ -90,11 +90,12 @@ def joint_query(q: DataFrame, ref: DataFrame, keys: tuple[str, ...] = ("email",
             union = part if union is None else union.unionByName(part)
         out = union.groupBy("qid", "rid").agg((F.sum("hit") / F.lit(float(len(keys)))).alias("sim"))
     elif mode == "ladder":
-        out, left = None, q
+        every = None
         for i, on in enumerate(steps):
-            found = equal(left, on).withColumn("sim", F.lit(1.0 - i / len(steps)))
-            out = found if out is None else out.unionByName(found)
-            left = left.join(found.select("qid").distinct(), "qid", "left_anti")
+            found = equal(q, on).withColumn("step", F.lit(i))
+            every = found if every is None else every.unionByName(found)
+        first = every.withColumn("least", F.min("step").over(Window.partitionBy("qid"))).where("step = least")
+        out = first.select("qid", "rid", (1.0 - F.col("step") / len(steps)).alias("sim"))
     else:
         raise ValueError("mode is all, any or ladder")
     w = Window.partitionBy("qid").orderBy(F.desc("sim"), "rid")
@@ -118,20 +119,22 @@ def brute_score(q: DataFrame, ref: DataFrame, schema: RecordSchema, k: int = 1,
 
 
 def edit_join(a: DataFrame, b: DataFrame, col: str, max_dist: int, q: int = 2, a_id: str = "a_id", b_id: str = "b_id") -> DataFrame:
-    """(a_id, b_id, d): all pairs whose values are within ``max_dist`` edits, exactly, without comparing all pairs.
+    """(a_id, b_id, d): all pairs whose values are within ``max_dist`` edits, exactly, without comparing all pairs; nulls and blanks
+    match nothing.
 
     An edit destroys at most q of a value's q-grams (padded, numbered by occurrence).  So near values share one of the
     q * max_dist + 1 rarest grams of either; values too short for that many meet by length.
     """
     size = q * max_dist + 1
+    a, b = (once(d.where(F.coalesce(F.col(col), F.lit("")) != "").select(i, col)) for d, i in ((a, a_id), (b, b_id)))
 
     def grams(df: DataFrame, i: str) -> DataFrame:
-        df = df.select(F.col(i), F.coalesce(F.col(col), F.lit("")).alias("_v"))
-        pad = F.concat(F.repeat(F.lit("\u0001"), F.lit(q - 1)), "_v", F.repeat(F.lit("\u0002"), F.lit(q - 1)))
+        df = df.select(F.col(i), F.col(col).alias("v"))
+        pad = F.concat(F.repeat(F.lit("\u0001"), F.lit(q - 1)), "v", F.repeat(F.lit("\u0002"), F.lit(q - 1)))
         each = F.transform(F.sequence(F.lit(1), F.char_length(pad) - (q - 1)), lambda j: F.substring(pad, j, F.lit(q)))
-        g = df.select(i, F.col("_v").alias("v"), F.explode(F.when(F.char_length(pad) >= q, each).otherwise(F.array(F.lit("")))).alias("g"))
-        w = Window.partitionBy(i, "g").orderBy("g")
-        return g.withColumn("g", F.concat("g", F.lit("#"), F.row_number().over(w)))
+        whole = df.withColumn("each", F.when(F.char_length(pad) >= q, each).otherwise(F.array(F.lit(""))))
+        numbered = F.transform("each", lambda g, j: F.concat(g, F.lit("#"), F.size(F.filter(F.slice("each", F.lit(1), j + 1), lambda x: x == g))))
+        return once(whole.select(i, "v", F.explode(numbered).alias("g")))
 
     ga, gb = grams(a, a_id), grams(b, b_id)
     freq = ga.select("g").unionByName(gb.select("g")).groupBy("g").agg(F.count("*").alias("f"))

@@ -2,30 +2,53 @@
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..schema import RecordSchema
 
 
-def sentence(schema: RecordSchema, missing: str = "keep", lower: tuple[str, ...] = ("status",)) -> Column:
-    """``username U, email E, ...``: every field named, in the schema's order, those in ``lower`` in lower case.
+#: Fixed value: the sentence of a user record, each value in its place.
+PROSE = "The username {username} with email {email} and domain {domain} on {servername} has {status} status."
+
+
+def default_template(schema: RecordSchema) -> str:
+    """PROSE for records of its five fields; for others a clause ``name value`` for each field."""
+    return PROSE if set(schema.names) == set(re.findall(r"{(\w+)}", PROSE)) else ", ".join(f"{n} {{{n}}}" for n in schema.names)
+
 
-    A blank or null value keeps its name with nothing after it (``keep``) or drops out (``skip``).
+def sentence(schema: RecordSchema, missing: str = "keep", template: str | None = None, lower: tuple[str, ...] = ("status",)) -> Column:
+    """The template with the fields' values for their names in braces, those of ``lower`` in lower case.
+
+    A blank or null value leaves the words around it in place (``keep``), or takes the words before it along (``skip``), so that
+    no gap is left either way.
     """
     if missing not in ("keep", "skip"):
         raise ValueError("missing is keep or skip")
+    pieces = re.split(r"{(\w+)}", template or default_template(schema))
+    if unknown := set(pieces[1::2]) - set(schema.names):
+        raise ValueError(f"the template names no fields of the schema: {sorted(unknown)}")
     parts = []
-    for n in schema.names:
-        value = F.coalesce(F.col(n).cast("string"), F.lit(""))
-        value = F.lower(value) if n in lower else value
-        part = F.concat(F.lit(f"{n} "), value)
-        parts.append(part if missing == "keep" else F.when(value != "", part))
-    return F.concat_ws(", ", *parts)
-
-
-def serialize_records(df: DataFrame, schema: RecordSchema, missing: str = "keep", out: str = "sentence") -> DataFrame:
-    return schema.check(df).withColumn(out, sentence(schema, missing))
+    for text, name in zip(pieces[::2], [*pieces[1::2], None], strict=True):
+        text = text.strip(" ")
+        if name is None:
+            parts += [F.lit(text)] if text else []
+            continue
+        value = F.coalesce(F.col(name).cast("string"), F.lit(""))
+        value = F.lower(value) if name in lower else value
+        there = value != ""
+        if missing == "keep":
+            parts += ([F.lit(text)] if text else []) + [F.when(there, value)]
+        else:
+            parts.append(F.when(there, F.concat(F.lit(f"{text} " if text else ""), value)))
+    # A comma or stop that begins a clause stands at the word before it.
+    return F.regexp_replace(F.concat_ws(" ", *parts), r" ([,.;])(?= |$)", "$1")
+
+
+def serialize_records(df: DataFrame, schema: RecordSchema, missing: str = "keep", out: str = "sentence", template: str | None = None) -> DataFrame:
+    return schema.check(df).withColumn(out, sentence(schema, missing, template))
 
 
 def serialize_values(df: DataFrame, schema: RecordSchema, out: str = "sentence") -> DataFrame:

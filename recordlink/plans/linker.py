@@ -8,12 +8,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators import gather as G
+from ..operators.gather import once
 from ..operators.encode import HashedNgramEncoder, TfidfEncoder
 from ..operators.lexical import brute_score, joint_query, lexical_search
 from ..operators.serialize import serialize_records, serialize_values
 from ..operators.tag import tag_pairs
 from ..operators.verify import attach_fields, composite_score, select_best, select_nearest
 from ..schema import RecordSchema
+from ..sources.shared import settle
 
 GATHERERS = ("knn", "pruned", "forest", "ivf", "density", "lsh", "lexical", "joint", "brute_cosine", "brute_score")
 #: Rows up to which the reference is searched flat; above, cells are searched.
@@ -28,7 +30,7 @@ def choose_gatherer(rows: int, exact: bool = True) -> str:
 @dataclass
 class Linker:
     """``encoder``: HashedNgramEncoder, TfidfEncoder, PretrainedEncoder or ProjectedEncoder; ``gatherer``: a name of GATHERERS,
-    "auto" or None (verify every pair); ``verify``: False takes the nearest candidate; ``options`` go to the gatherer."""
+    "auto" or None (verify every pair); ``sentence``: "full" (``template``, or the schema's own) or "values"; ``verify``: False takes the nearest candidate; ``options`` go to the gatherer."""
 
     schema: RecordSchema
     encoder: object = field(default_factory=HashedNgramEncoder)
@@ -38,14 +40,15 @@ class Linker:
     accept: float | None = None
     missing: str = "zero"
     sentence: str = "full"
+    template: str | None = None
     options: dict = field(default_factory=dict)
 
     def _sentences(self, df: DataFrame) -> DataFrame:
-        return serialize_records(df, self.schema) if self.sentence == "full" else serialize_values(df, self.schema)
+        return serialize_records(df, self.schema, template=self.template) if self.sentence == "full" else serialize_values(df, self.schema)
 
     def fit(self, ref: DataFrame, path: str | None = None) -> Linker:
-        """Encode and index the reference once; ``path`` keeps its vectors as Parquet."""
-        self.ref = self.schema.check(ref)
+        """Encode and index the reference once, into the shared folder; ``path`` keeps its vectors as Parquet."""
+        self.ref = ref = once(self.schema.check(ref))
         name = self.gatherer
         if name == "auto":
             name = choose_gatherer(ref.count())
@@ -63,7 +66,7 @@ class Linker:
         if path:
             vectors.write.mode("overwrite").parquet(path)
             vectors = ref.sparkSession.read.parquet(path)
-        self.vectors = vectors
+        self.vectors = vectors if path else settle(vectors)  # encoded once, whatever reads it
         kinds = {"pruned": G.PivotIndex, "forest": G.Forest, "ivf": G.CellIndex, "density": G.DensityIndex}
         if name in kinds:
             own = {k: v for k, v in self.options.items() if k in ("cells", "pivots", "trees", "leaf", "seed", "sample", "eps", "min_pts")}
@@ -80,7 +83,7 @@ class Linker:
         s = self._sentences(queries)
         if name == "lexical":
             return lexical_search(s, self.ref_text, self.k, **{k: v for k, v in o.items() if k in ("scorer", "df_share")})
-        q = self.encoder.encode(s, "qid")
+        q = self.encoder.encode(G.spread(s.select("qid", "sentence"), "qid"), "qid")
         if name == "knn":
             return G.knn_exact(q, self.vectors, self.k)
         if name == "brute_cosine":
@@ -96,7 +99,7 @@ class Linker:
 
     def link(self, queries: DataFrame, multi: bool = False) -> DataFrame:
         """(qid, rid, score, sim, tag, fields) for every query; rid is null for an unlinked one."""
-        self.schema.check(queries)
+        queries = once(self.schema.check(queries))
         cands = self.gather(queries)
         best = select_best(self.score(cands, queries)) if self.verify else select_nearest(cands)
         if self.accept is not None:
