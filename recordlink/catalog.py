@@ -20,6 +20,7 @@ from .operators.lexical import brute_score, edit_join, joint_query, lexical_sear
 from .operators.serialize import serialize_generic, serialize_records, serialize_values
 from .operators.tag import audit, tag_pairs
 from .operators.verify import attach_fields, composite_score, explain_pair, mutual_best, select_best, select_nearest
+from .plans import experiments as E
 from .plans import measures as M
 from .plans import truth as TR
 from .plans.linker import Linker, link_sql
@@ -32,7 +33,9 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
 FIELDS = USER.names
-ENCODER = HashedNgramEncoder(dim=256)
+#: The searching encoder, and the separate one behind the truth.
+ENCODER = HashedNgramEncoder(dim=512)
+TRUTH_ENCODER = HashedNgramEncoder(dim=1024, ns=(3, 4, 5))
 
 
 def query(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
@@ -51,8 +54,6 @@ REF, SRV = f"ref AS ({X.duck(X.reference())})", f"srv AS ({X.duck(X.light())})"
 REF_H, SRV_H = f"ref AS ({X.duck(X.reference(2, 3))})", f"srv AS ({X.duck(X.heavy())})"
 BOTH = f"{REF}, {SRV}"
 BOTH_H = f"{REF_H}, {SRV_H}"
-#: Each query with its own row and the next one: a small set of pairs that any engine can list.
-PAIRS = "pairs AS (SELECT s.qid, (s.qid - 10000000 + o.d) % n.n AS rid FROM srv s CROSS JOIN (SELECT 0 AS d UNION ALL SELECT 1) o CROSS JOIN (SELECT count(*) AS n FROM ref) n)"
 
 
 def _sim_sql(a: str, b: str, norm: str = "maxlen") -> str:
@@ -71,24 +72,33 @@ DIFFER = ", ".join(f"CASE WHEN s.{n} <> r.{n} THEN '{n}' END" for n in FIELDS)
 TAGGED = f"tagged AS (SELECT s.qid, b.rid, b.score, CASE WHEN b.rid IS NULL THEN [] ELSE list_filter([{DIFFER}], lambda x: x IS NOT NULL) END AS fields FROM srv s LEFT JOIN best b ON b.qid = s.qid LEFT JOIN ref r ON r.rid = b.rid)"
 TAG = "CASE WHEN rid IS NULL THEN 'unlinked' WHEN len(fields) = 0 THEN 'consistent' ELSE 'contradiction:' || fields[1] END"
 VALUES = "lower(email) || ' ' || lower(username) || ' ' || lower(domain) || ' ' || lower(servername) || ' ' || lower(status)"
+PROSE = "concat_ws(' ', 'The username', nullif(username, ''), 'with email', nullif(email, ''), 'and domain', nullif(domain, ''), 'on', nullif(servername, ''), 'has', nullif(lower(status), ''), 'status.')"
 
 
-def _postings_sql(source: str, i: str, text: str, name: str, dim: int = ENCODER.dim) -> str:
-    each = " , ".join(f"list_transform(generate_series(1, greatest(length(p) - {n} + 1, 1)), lambda i: substr(p, i, {n}))" for n in ENCODER.ns)
+def _postings_sql(source: str, i: str, text: str, name: str, encoder: HashedNgramEncoder = ENCODER) -> str:
+    each = " , ".join(f"list_transform(generate_series(1, greatest(length(p) - {n} + 1, 1)), lambda i: substr(p, i, {n}))" for n in encoder.ns)
     return f"""{name}_w AS (SELECT {i}, '#' || w || '#' AS p FROM (SELECT {i}, unnest(string_split(lower({text}), ' ')) AS w FROM {source}) WHERE w <> ''),
-{name} AS (SELECT {i}, bucket, weight FROM (SELECT {i}, (('0x' || substr(h, 1, 6))::BIGINT % {dim})::INT AS bucket,
+{name} AS MATERIALIZED (SELECT {i}, bucket, weight FROM (SELECT {i}, (('0x' || substr(h, 1, 6))::BIGINT % {encoder.dim})::INT AS bucket,
     sum(CASE WHEN ('0x' || substr(h, 7, 1))::BIGINT % 2 = 0 THEN 1 ELSE -1 END)::INT AS weight
   FROM (SELECT {i}, md5(g) AS h FROM (SELECT {i}, unnest(list_concat({each})) AS g FROM {name}_w)) GROUP BY 1, 2) WHERE weight <> 0)"""
 
 
-SPARSE = f"""{_postings_sql("srv", "qid", VALUES, "qp")}, {_postings_sql("ref", "rid", VALUES, "rp")},
+def _sims_sql(text: str, encoder: HashedNgramEncoder = ENCODER) -> str:
+    """``sims``: the cosine of every query and reference row with a bucket in common."""
+    return f"""{_postings_sql("srv", "qid", text, "qp", encoder)}, {_postings_sql("ref", "rid", text, "rp", encoder)},
 qn AS (SELECT qid, sum(weight * weight)::DOUBLE AS n FROM qp GROUP BY 1), rn AS (SELECT rid, sum(weight * weight)::DOUBLE AS n FROM rp GROUP BY 1),
-sims AS (SELECT d.qid, d.rid, round(d.d / sqrt(qn.n * rn.n), 9) AS sim FROM (
+sims AS MATERIALIZED (SELECT d.qid, d.rid, round(d.d / sqrt(qn.n * rn.n), 9) AS sim FROM (
   SELECT qid, rid, sum(qp.weight * rp.weight)::DOUBLE AS d FROM qp JOIN rp USING (bucket) GROUP BY 1, 2) d JOIN qn USING (qid) JOIN rn USING (rid))"""
 
 
 def _knn_sql(k: int) -> str:
-    return f"knn AS (SELECT qid, rid, rank::INT AS rank, sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM sims) WHERE rank <= {k})"
+    return f"knn AS MATERIALIZED (SELECT qid, rid, rank::INT AS rank, sim FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM sims) WHERE rank <= {k})"
+
+
+#: Over the values alone, for the sparse search; over sentences, for everything else.
+SPARSE_VALUES, SPARSE = _sims_sql(VALUES), _sims_sql(PROSE)
+#: The five gathered candidates of each query.
+PAIRS = f"{SPARSE}, {_knn_sql(5)}, pairs AS (SELECT qid, rid FROM knn)"
 
 
 def _ref(spark: SparkSession, d: str) -> DataFrame:
@@ -99,10 +109,15 @@ def _srv(spark: SparkSession, d: str) -> DataFrame:
     return X.srv_users(spark, d)
 
 
+def _dense(s: SparkSession, d: str, hard: bool = False, encoder=ENCODER) -> tuple[DataFrame, DataFrame]:
+    """(qid, vec) and (rid, vec) of the workload's sentences."""
+    q, r = X.srv_users(s, d, hard), X.ref_users(s, d, hard)
+    return encoder.encode(G.spread(serialize_records(q, USER), "qid"), "qid"), encoder.encode(G.spread(serialize_records(r, USER), "rid"), "rid")
+
+
 def _pairs(spark: SparkSession, d: str) -> DataFrame:
     """The SQL's PAIRS."""
-    srv, n = _srv(spark, d), read_table(spark, d, "customer").agg(F.count("*").alias("n"))
-    return srv.select("qid", F.explode(F.array(F.lit(0), F.lit(1))).alias("o")).join(F.broadcast(n)).select("qid", F.pmod(F.col("qid") - 10_000_000 + F.col("o"), F.col("n")).alias("rid"))
+    return G.knn_exact(*_dense(spark, d), 5).select("qid", "rid")
 
 
 def _scored(spark: SparkSession, d: str, schema=USER, **kw) -> DataFrame:
@@ -115,11 +130,14 @@ query("fx_reference", X.duck(X.reference()))(_ref)
 query("fx_servers_light", X.duck(X.light()))(_srv)
 query("fx_servers_heavy", X.duck(X.heavy()))(lambda s, d: X.srv_users(s, d, hard=True))
 
-_named = ", ', ', ".join(f"'{n} ', {f'lower({n})' if n == 'status' else n}" for n in FIELDS)
-_skipped = ", ".join(f"CASE WHEN {n} <> '' THEN '{n} ' || {f'lower({n})' if n == 'status' else n} END" for n in FIELDS)
-query("ser_keep_missing", f"WITH {SRV} SELECT qid, concat({_named}) AS sentence FROM srv")(lambda s, d: serialize_records(_srv(s, d), USER).select("qid", "sentence"))
-query("ser_skip_missing", f"WITH {SRV} SELECT qid, concat_ws(', ', {_skipped}) AS sentence FROM srv")(lambda s, d: serialize_records(_srv(s, d), USER, "skip").select("qid", "sentence"))
-query("ser_field_subset", f"WITH {SRV} SELECT qid, concat('domain ', domain, ', email ', email) AS sentence FROM srv")(lambda s, d: serialize_records(_srv(s, d), USER.select("domain", "email")).select("qid", "sentence"))
+_skipped = "concat_ws(' ', 'The username ' || nullif(username, ''), 'with email ' || nullif(email, ''), 'and domain ' || nullif(domain, ''), 'on ' || nullif(servername, ''), 'has ' || nullif(lower(status), ''), 'status.')"
+query("ser_keep_missing", f"WITH {SRV} SELECT qid, {PROSE} AS sentence FROM srv")(lambda s, d: serialize_records(_srv(s, d), USER).select("qid", "sentence"))
+query("ser_skip_missing", f"WITH {SRV} SELECT qid, {_skipped} AS sentence FROM srv")(lambda s, d: serialize_records(_srv(s, d), USER, "skip").select("qid", "sentence"))
+query("ser_template", f"WITH {SRV} SELECT qid, 'Account ' || email || ' (' || username || ') at ' || domain || '.' AS sentence FROM srv WHERE email <> ''")(
+    lambda s, d: serialize_records(_srv(s, d).where("email <> ''"), USER, template="Account {email} ({username}) at {domain}.").select("qid", "sentence")
+)
+query("ser_values", f"WITH {SRV} SELECT qid, {VALUES} AS sentence FROM srv")(lambda s, d: serialize_values(_srv(s, d), USER).select("qid", "sentence"))
+query("ser_field_subset", f"WITH {SRV} SELECT qid, concat('domain ', domain, ', email', CASE WHEN email <> '' THEN ' ' || email ELSE '' END) AS sentence FROM srv")(lambda s, d: serialize_records(_srv(s, d), USER.select("domain", "email")).select("qid", "sentence"))
 query("ser_generic_parts", "SELECT p_partkey, concat_ws(', ', 'p_name ' || p_name, 'p_brand ' || p_brand, 'p_type ' || p_type, 'p_size ' || p_size) AS sentence FROM part")(
     lambda s, d: serialize_generic(read_table(s, d, "part"), ["p_name", "p_brand", "p_type", "p_size"]).select("p_partkey", "sentence")
 )
@@ -207,15 +225,35 @@ def ivf_all(s: SparkSession, d: str) -> DataFrame:
     return _six(G.CellIndex.fit(r, 8).query(q, 3, probes=8))
 
 
-@query("forest_full_leaf", PLANTED_TOP)
-def forest_full(s: SparkSession, d: str) -> DataFrame:
+@query("forest_all_leaves", PLANTED_TOP)
+def forest_all(s: SparkSession, d: str) -> DataFrame:
+    """Trees with many splits, every leaf visited: exact."""
     q, r = _vecs(s, d)
-    return _six(G.Forest.fit(r, trees=2, leaf=1_000_000).query(q, 3))
+    return _six(G.Forest.fit(r, trees=2, leaf=40).query(q, 3, probes=1000))
 
 
 query("ivf_probes2")(lambda s, d: G.CellIndex.fit(_vecs(s, d)[1], 16).query(_vecs(s, d)[0], 5, probes=2))
 query("ivf_forest_inner")(lambda s, d: G.CellIndex.fit(_vecs(s, d)[1], 8).query(_vecs(s, d)[0], 5, probes=2, inner="forest", trees=4, leaf=64))
 query("forest_default")(lambda s, d: G.Forest.fit(_vecs(s, d)[1]).query(_vecs(s, d)[0], 5))
+APPROXIMATE = {
+    "ivf": lambda q, r: G.CellIndex.fit(r, 16).query(q, 1, probes=8),
+    "ivf_forest": lambda q, r: G.CellIndex.fit(r, 8).query(q, 1, probes=6, inner="forest", trees=8, leaf=64),
+    "forest": lambda q, r: G.Forest.fit(r).query(q, 1, probes=8),
+    "lsh": lambda q, r: G.lsh_candidates(q, r, 1),
+    "density": lambda q, r: G.DensityIndex.fit(r, eps=1.15, min_pts=4).query(q, 1, probes=8),
+}
+
+
+@query("approx_recall_floor", " UNION ALL ".join(f"SELECT '{m}' AS method, true AS reached, (SELECT count(*) FROM embeddings) AS answered" for m in APPROXIMATE))
+def approx_floor(s: SparkSession, d: str) -> DataFrame:
+    """Does each approximate gatherer find at least nine tenths of the exact nearest rows, and answer every query?"""
+    q, r = (G.once(x) for x in _vecs(s, d))
+    exact, out = G.once(G.knn_exact(q, r, 1)), None
+    for m, run in APPROXIMATE.items():
+        got = G.once(run(q, r))
+        one = M.index_recall(got, exact, (1,)).select(F.lit(m).alias("method"), (F.col("recall") >= 0.9).alias("reached")).join(got.agg(F.countDistinct("qid").alias("answered")))
+        out = one if out is None else out.unionByName(one)
+    return out
 query("lsh_join")(lambda s, d: G.lsh_candidates(*_vecs(s, d), 5))
 
 
@@ -225,26 +263,25 @@ def density_query(s: SparkSession, d: str) -> DataFrame:
     return G.DensityIndex.fit(r, eps=1.15, min_pts=4).query(q, 5)
 
 
-#: Clusters of planted copies and originals together: components of the pairs within eps, min_pts 2.
+#: Clusters of planted copies and originals together: cores have two others within eps, the rest are borders or noise.
 @query(
     "density_clusters_labels",
     f"""WITH RECURSIVE {PLANTED_SQL}, v AS (SELECT vec_id AS id, embedding::DOUBLE[] AS x FROM embeddings UNION ALL SELECT qid, vec FROM p),
-e AS (SELECT a.id AS a, b.id AS b FROM v a JOIN v b ON a.id <> b.id AND round(sqrt(greatest(2 - 2 * list_cosine_similarity(a.x, b.x), 0)), 6) <= 0.6),
-walk(node, root) AS (SELECT DISTINCT a, a FROM e UNION SELECT e.b, w.root FROM walk w JOIN e ON e.a = w.node)
-SELECT v.id AS rid, coalesce(min(w.root), -1) AS cluster FROM v LEFT JOIN walk w ON w.node = v.id GROUP BY v.id""",
+n AS MATERIALIZED (SELECT a.id AS a, b.id AS b, round(sqrt(greatest(2 - 2 * list_cosine_similarity(a.x, b.x), 0)), 6) AS d FROM v a JOIN v b ON a.id <> b.id AND round(sqrt(greatest(2 - 2 * list_cosine_similarity(a.x, b.x), 0)), 6) <= 0.8),
+core AS MATERIALIZED (SELECT a AS id FROM n GROUP BY a HAVING count(*) >= 2),
+e AS MATERIALIZED (SELECT a, b FROM n WHERE a IN (FROM core) AND b IN (FROM core)),
+walk(node, root) AS (SELECT id, id FROM core UNION SELECT e.b, w.root FROM walk w JOIN e ON e.a = w.node),
+named AS (SELECT node AS id, min(root) AS cluster FROM walk GROUP BY 1),
+border AS (SELECT n.a AS id, arg_min(named.cluster, (n.d, n.b)) AS cluster FROM n JOIN named ON named.id = n.b WHERE n.a NOT IN (FROM core) GROUP BY 1)
+SELECT v.id AS rid, coalesce(named.cluster, border.cluster, -1) AS cluster FROM v LEFT JOIN named ON named.id = v.id LEFT JOIN border ON border.id = v.id""",
 )
 def density_labels(s: SparkSession, d: str) -> DataFrame:
     q, r = _vecs(s, d)
     every = r.select("rid", F.col("vec").cast("array<double>").alias("vec")).unionByName(q.select(F.col("qid").alias("rid"), "vec"))
-    return G.DensityIndex.fit(every, eps=0.6, min_pts=2).labels
-
+    return G.DensityIndex.fit(every, eps=0.8, min_pts=3).labels
 
-query("knn_sparse_users", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")(lambda s, d: _six(G.knn_sparse(_postings(s, d, "q"), _postings(s, d, "r"), 5)))
 
-
-def _dense(s: SparkSession, d: str, hard: bool = False) -> tuple[DataFrame, DataFrame]:
-    q, r = X.srv_users(s, d, hard), X.ref_users(s, d, hard)
-    return ENCODER.encode(serialize_values(q, USER), "qid"), ENCODER.encode(serialize_values(r, USER), "rid")
+query("knn_sparse_users", f"WITH {BOTH}, {SPARSE_VALUES}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")(lambda s, d: _six(G.knn_sparse(_postings(s, d, "q"), _postings(s, d, "r"), 5)))
 
 
 query("knn_dense_users", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")(lambda s, d: _six(G.knn_exact(*_dense(s, d), 5)))
@@ -265,12 +302,12 @@ def _texts(s: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
     return serialize_values(_srv(s, d), USER), serialize_values(_ref(s, d), USER)
 
 
-def _lex_sql(scorer: str, k: int = 5) -> str:
+def _lex_ctes(scorer: str, text: str = VALUES) -> str:
     def terms(source: str, i: str) -> str:
         if scorer == "trigram":
-            t = f"'  ' || {VALUES} || ' '"
+            t = f"'  ' || {text} || ' '"
             return f"(SELECT {i}, unnest(list_transform(generate_series(1, length({t}) - 2), lambda j: substr({t}, j, 3))) AS term FROM {source})"
-        return f"(SELECT {i}, unnest(string_split_regex({VALUES}, '[^a-z0-9]+')) AS term FROM {source})"
+        return f"(SELECT {i}, unnest(string_split_regex(lower({text}), '[^a-z0-9]+')) AS term FROM {source})"
 
     base = f"""qt AS (SELECT qid, term, count(*) AS qtf FROM {terms("srv", "qid")} WHERE term <> '' GROUP BY 1, 2),
 rt AS (SELECT rid, term, count(*) AS tf FROM {terms("ref", "rid")} WHERE term <> '' GROUP BY 1, 2), n AS (SELECT count(*)::DOUBLE AS n FROM ref),
@@ -281,14 +318,21 @@ df AS (SELECT term, count(*)::DOUBLE AS df FROM rt GROUP BY 1)"""
         "bm25": "l AS (SELECT rid, sum(tf)::DOUBLE AS len FROM rt GROUP BY 1), m AS (SELECT avg(len) AS mean FROM l), sims AS (SELECT qid, rt.rid, round(sum(qtf * ln(1 + (n - df + 0.5) / (df + 0.5)) * tf * 2.2::DOUBLE / (tf + 1.2::DOUBLE * (0.25::DOUBLE + 0.75::DOUBLE * len / mean))), 9) AS sim FROM qt JOIN rt USING (term) JOIN df USING (term) JOIN l ON l.rid = rt.rid CROSS JOIN m CROSS JOIN n GROUP BY 1, 2)",
         "tfidf": "i AS (SELECT term, ln((1 + n) / (1 + df)) + 1 AS idf FROM df CROSS JOIN n), qw AS (SELECT qid, term, qtf * idf AS w FROM qt JOIN i USING (term)), rw AS (SELECT rid, term, tf * idf AS w FROM rt JOIN i USING (term)), a AS (SELECT qid, sqrt(sum(w * w)) AS n FROM qw GROUP BY 1), b AS (SELECT rid, sqrt(sum(w * w)) AS n FROM rw GROUP BY 1), c AS (SELECT qid, rid, sum(qw.w * rw.w) AS d FROM qw JOIN rw USING (term) GROUP BY 1, 2), sims AS (SELECT qid, rid, round(d / (a.n * b.n), 9) AS sim FROM c JOIN a USING (qid) JOIN b USING (rid))",
     }[scorer]
-    return f"WITH {BOTH}, {base}, {own}, {_knn_sql(k)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn"
+    return f"{base}, {own}"
+
+
+def _lex_sql(scorer: str, k: int = 5) -> str:
+    return f"WITH {BOTH}, {_lex_ctes(scorer)}, {_knn_sql(k)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn"
 
 
 for _scorer in ("bm25", "tfidf", "overlap", "trigram"):
     query(f"lex_{_scorer}", _lex_sql(_scorer))(lambda s, d, x=_scorer: _six(lexical_search(*_texts(s, d), 5, x)))
 
 
-@query("bench_lexical_docs")
+_DOCS = "srv AS (SELECT item_id AS qid, text FROM benchmark), ref AS (SELECT doc_id AS rid, text FROM documents)"
+
+
+@query("bench_lexical_docs", f"WITH {_DOCS}, {_lex_ctes('bm25', 'text')}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")
 def bench_lexical(s: SparkSession, d: str) -> DataFrame:
     """Benchmark passages as queries against whole documents, by BM25."""
     q = read_table(s, d, "benchmark").select(F.col("item_id").alias("qid"), F.col("text").alias("sentence"))
@@ -303,13 +347,11 @@ _ANY = " UNION ALL ".join(f"SELECT qid, rid FROM srv s JOIN ref r ON s.{n} = r.{
 query("joint_all", f"WITH {BOTH}, sims AS (SELECT qid, rid, 1.0::DOUBLE AS sim FROM srv s JOIN ref r ON {_EQ}) {_RANK}")(lambda s, d: _six(joint_query(_srv(s, d), _ref(s, d), mode="all")))
 ANY_SQL = f"any_sims AS (SELECT qid, rid, count(*) / 3.0::DOUBLE AS sim FROM ({_ANY}) GROUP BY 1, 2)"
 query("joint_any", f"WITH {BOTH}, {ANY_SQL}, sims AS (SELECT * FROM any_sims) {_RANK}")(lambda s, d: _six(joint_query(_srv(s, d), _ref(s, d), _KEYS, "any")))
-query(
-    "joint_ladder",
-    f"""WITH {BOTH}, a AS (SELECT qid, rid FROM srv s JOIN ref r ON s.email = r.email AND s.email <> ''),
+LADDER = """a AS (SELECT qid, rid FROM srv s JOIN ref r ON s.email = r.email AND s.email <> ''),
 b AS (SELECT qid, rid FROM srv s JOIN ref r ON s.username = r.username AND s.domain = r.domain AND s.username <> '' AND s.domain <> '' WHERE qid NOT IN (SELECT qid FROM a)),
 c AS (SELECT qid, rid FROM srv s JOIN ref r ON s.domain = r.domain AND s.servername = r.servername AND s.domain <> '' AND s.servername <> '' WHERE qid NOT IN (SELECT qid FROM a) AND qid NOT IN (SELECT qid FROM b)),
-sims AS (SELECT *, 1.0::DOUBLE AS sim FROM a UNION ALL SELECT *, 1 - 1 / 3.0::DOUBLE FROM b UNION ALL SELECT *, 1 - 2 / 3.0::DOUBLE FROM c) {_RANK}""",
-)(lambda s, d: _six(joint_query(_srv(s, d), _ref(s, d), mode="ladder")))
+sims AS (SELECT *, 1.0::DOUBLE AS sim FROM a UNION ALL SELECT *, 1 - 1 / 3.0::DOUBLE FROM b UNION ALL SELECT *, 1 - 2 / 3.0::DOUBLE FROM c)"""
+query("joint_ladder", f"WITH {BOTH}, {LADDER} {_RANK}")(lambda s, d: _six(joint_query(_srv(s, d), _ref(s, d), mode="ladder")))
 
 query(
     "brute_score_top1",
@@ -318,7 +360,7 @@ query(
 query("brute_cosine_over_08", f"WITH {PLANTED_SQL}, {_NEAR}, t AS (SELECT * FROM s WHERE sim > 0.8) SELECT qid, rid, (row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid))::INT AS rank, round(sim, 9) AS sim FROM t")(
     lambda s, d: _six(G.brute_cosine(*_vecs(s, d), threshold=0.8))
 )
-query("edit_join_q2", f"WITH {BOTH} SELECT qid, rid, levenshtein(s.username, r.username)::INT AS d FROM srv s JOIN ref r ON abs(length(s.username) - length(r.username)) <= 2 WHERE levenshtein(s.username, r.username) <= 2")(
+query("edit_join_q2", f"WITH {BOTH} SELECT qid, rid, levenshtein(s.username, r.username)::INT AS d FROM srv s JOIN ref r ON abs(length(s.username) - length(r.username)) <= 2 WHERE levenshtein(s.username, r.username) <= 2 AND s.username <> '' AND r.username <> ''")(
     lambda s, d: edit_join(_srv(s, d), _ref(s, d), "username", 2, a_id="qid", b_id="rid")
 )
 
@@ -352,11 +394,11 @@ def _score_out(df: DataFrame) -> DataFrame:
 
 CUSTOM = {"email": 0.2, "username": 0.2, "domain": 0.2, "servername": 0.2, "status": 0.2}
 _there = {n: f"(s.{n} <> '' AND r.{n} <> '')" for n in FIELDS}
-_top = " + ".join(f"CASE WHEN {_there[n]} THEN {w}::DOUBLE * {_sim_sql(f's.{n}', f'r.{n}')} ELSE 0 END" for n, w in WEIGHTS.items())
-_low = " + ".join(f"CASE WHEN {_there[n]} THEN {w}::DOUBLE ELSE 0 END" for n, w in WEIGHTS.items())
+_top_sum = " + ".join(f"CASE WHEN {_there[n]} THEN {w}::DOUBLE * {_sim_sql(f's.{n}', f'r.{n}')} ELSE 0 END" for n, w in WEIGHTS.items())
+_low_sum = " + ".join(f"CASE WHEN {_there[n]} THEN {w}::DOUBLE ELSE 0 END" for n, w in WEIGHTS.items())
 query("score_default", f"WITH {BOTH}, {PAIRS}, {SCORED} {_SCORE}")(lambda s, d: _score_out(_scored(s, d)))
 query("score_custom_weights", f"WITH {BOTH}, {PAIRS}, {SCORED.replace(_score_sql(WEIGHTS), _score_sql(CUSTOM))} {_SCORE}")(lambda s, d: _score_out(_scored(s, d, USER.with_weights(CUSTOM))))
-query("score_missing_renorm", f"WITH {BOTH}, {PAIRS}, {SCORED.replace(_score_sql(WEIGHTS), f'({_top}) / ({_low})')} {_SCORE}")(lambda s, d: _score_out(_scored(s, d, missing="renormalize")))
+query("score_missing_renorm", f"WITH {BOTH}, {PAIRS}, {SCORED.replace(_score_sql(WEIGHTS), f'({_top_sum}) / ({_low_sum})')} {_SCORE}")(lambda s, d: _score_out(_scored(s, d, missing="renormalize")))
 query("score_pruned", f"WITH {BOTH}, {PAIRS}, {SCORED} {_SCORE} WHERE score >= 0.7 - 1e-12")(lambda s, d: _score_out(_scored(s, d, prune=0.7).where("score is not null")))
 
 query("best_match", f"WITH {BOTH}, {PAIRS}, {SCORED}, {BEST} SELECT qid, rid, round(score, 9) AS score FROM best")(lambda s, d: _score_out(select_best(_scored(s, d))))
@@ -382,23 +424,19 @@ def _link_out(df: DataFrame) -> DataFrame:
 
 
 def _linker(s: SparkSession, d: str, **kw) -> Linker:
-    return Linker(USER, ENCODER, sentence="values", **kw).fit(_ref(s, d))
+    return Linker(USER, kw.pop("encoder", ENCODER), **kw).fit(_ref(s, d))
 
 
-query("link_full", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}, {TAGGED} {_LINK_OUT}")(lambda s, d: _link_out(_linker(s, d).link(_srv(s, d))))
+LINK_FULL = f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}, {TAGGED} {_LINK_OUT}"
+query("link_full", LINK_FULL)(lambda s, d: _link_out(_linker(s, d).link(_srv(s, d))))
 query(
     "link_accept",
     f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST.replace('WHERE rn = 1', 'WHERE rn = 1 AND score >= 0.75')}, {TAGGED} {_LINK_OUT}",
 )(lambda s, d: _link_out(_linker(s, d, accept=0.75).link(_srv(s, d))))
 query("link_no_verify", f"WITH {BOTH}, {SPARSE}, {_knn_sql(1)}, best AS (SELECT qid, rid, sim AS score, sim FROM knn), {TAGGED} {_LINK_OUT}")(lambda s, d: _link_out(_linker(s, d, verify=False).link(_srv(s, d))))
 _TF_SIMS = "sims AS (SELECT qid, rid, round(d / sqrt(qn * rn), 9) AS sim FROM (SELECT qid, rid, sum(qw.w * rw.w) AS d FROM qw JOIN rw USING (term) GROUP BY 1, 2) JOIN (SELECT qid, sum(w * w) AS qn FROM qw GROUP BY 1) USING (qid) JOIN (SELECT rid, sum(w * w) AS rn FROM rw GROUP BY 1) USING (rid))"
-
-
-@query("link_tfidf", f"WITH {BOTH}, {TFIDF}, {_TF_SIMS}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST} SELECT qid, rid, round(score, 9) AS score FROM best")
-def link_tfidf(s: SparkSession, d: str) -> DataFrame:
-    q, r = _tfidf(s, d)
-    cands = G.knn_sparse(q, r, 5, "term", "w")
-    return _score_out(select_best(composite_score(attach_fields(cands, _srv(s, d), _ref(s, d), USER), USER)))
+TFIDF_PROSE = TFIDF.replace(VALUES, f"lower({PROSE})")
+query("link_tfidf", f"WITH {BOTH}, {TFIDF_PROSE}, {_TF_SIMS}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}, {TAGGED} {_LINK_OUT}")(lambda s, d: _link_out(_linker(s, d, encoder=TfidfEncoder()).link(_srv(s, d))))
 
 
 @query("link_sql", f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST} SELECT qid, rid, round(score, 9) AS score FROM best")
@@ -406,8 +444,26 @@ def link_by_sql(s: SparkSession, d: str) -> DataFrame:
     return _score_out(link_sql(G.knn_exact(*_dense(s, d), 5), _srv(s, d), _ref(s, d)))
 
 
-for _g, _o in (("pruned", {"pivots": 16}), ("ivf", {"cells": 16, "probes": 4}), ("forest", {"trees": 6}), ("lexical", {"df_share": 0.05}), ("joint", {"mode": "ladder"})):
-    query(f"link_{_g}")(lambda s, d, g=_g, o=_o: _link_out(_linker(s, d, gatherer=g, options=o).link(_srv(s, d))))
+_LINKERS = {
+    "pruned": ({"pivots": 16}, LINK_FULL),
+    "brute_cosine": ({}, LINK_FULL),
+    "joint": ({"mode": "ladder"}, f"WITH {BOTH}, {LADDER}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}, {TAGGED} {_LINK_OUT}"),
+    "lexical": ({"scorer": "bm25"}, f"WITH {BOTH}, {_lex_ctes('bm25', PROSE)}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}, {TAGGED} {_LINK_OUT}"),
+    "ivf": ({"cells": 16, "probes": 4}, None),
+    "ivf_forest": ({"cells": 16, "probes": 4, "inner": "forest"}, None),
+    "forest": ({"trees": 6}, None),
+    "density": ({"eps": 0.55, "min_pts": 3}, None),
+    "lsh": ({}, None),
+}
+for _g, (_o, _sql) in _LINKERS.items():
+    query(f"link_{_g}", _sql)(lambda s, d, g=_g.removesuffix("_forest"), o=_o: _link_out(_linker(s, d, gatherer=g, options=o).link(_srv(s, d))))
+
+
+@query("link_finetuned")
+def link_finetuned(s: SparkSession, d: str) -> DataFrame:
+    """The pipeline behind the fine-tuned head, on the heavy workload, whose training half it has seen."""
+    q, r = G.once(X.srv_users(s, d, True)), G.once(X.ref_users(s, d, True))
+    return _link_out(Linker(USER, E.finetuned(s, q, r, ENCODER)[0]).fit(r).link(q))
 
 
 # ------------------------------------------------------------------ tags and audits
@@ -454,12 +510,29 @@ query("audit_cube", f"{_AUDIT} SELECT servername, status, {_counts} FROM a GROUP
 
 # ------------------------------------------------------------------ truth and loss
 
-_TRUTH_SQL = f"knn AS (SELECT qid, rid, sim FROM sims WHERE sim > 0.8), {_CAND_SCORED}, {_CAND_BEST}, {TAGGED}"
+_TRUTH_SQL = f"knn AS MATERIALIZED (SELECT qid, rid, sim FROM sims WHERE sim > 0.8), {_CAND_SCORED}, {_CAND_BEST}, {TAGGED}"
 
 
-@query("truth_exhaustive", f"WITH {BOTH}, {SPARSE}, {_TRUTH_SQL} SELECT qid, rid AS truth_rid, {TAG} AS truth_tag FROM tagged")
+@query("truth_exhaustive", f"WITH {BOTH}, {_sims_sql(PROSE, TRUTH_ENCODER)}, {_TRUTH_SQL} SELECT qid, rid AS truth_rid, {TAG} AS truth_tag FROM tagged")
 def truth_users(s: SparkSession, d: str) -> DataFrame:
-    return TR.exhaustive_truth(TR.exhaustive_pairs(*_dense(s, d)), _srv(s, d), _ref(s, d), USER)
+    """By an encoder of its own, not the one that searches."""
+    return TR.exhaustive_truth(TR.exhaustive_pairs(*_dense(s, d, encoder=TRUTH_ENCODER)), _srv(s, d), _ref(s, d), USER)
+
+
+@query("truth_finetuned")
+def truth_finetuned(s: SparkSession, d: str) -> DataFrame:
+    """The same after the truth's encoder is fine-tuned on the heavy workload's training half."""
+    q, r = G.once(X.srv_users(s, d, True)), G.once(X.ref_users(s, d, True))
+    e = E.finetuned(s, q, r, HashedNgramEncoder(dim=256, ns=(3, 4, 5)))[0]
+    a, b = e.encode(serialize_records(q, USER), "qid"), e.encode(serialize_records(r, USER), "rid")
+    return TR.exhaustive_truth(TR.exhaustive_pairs(a, b), q, r, USER)
+
+
+@query("loss_curve")
+def loss_curve(s: SparkSession, d: str) -> DataFrame:
+    """The training loss by step, and its running mean."""
+    q, r = G.once(X.srv_users(s, d, True)), G.once(X.ref_users(s, d, True))
+    return M.loss_smooth(E.finetuned(s, q, r, HashedNgramEncoder(dim=128))[1])
 
 
 THRESHOLDS = (0.5, 0.6, 0.7, 0.8, 0.9)
@@ -526,9 +599,25 @@ def index_recall(s: SparkSession, d: str) -> DataFrame:
 
 query("m_prf_micro", f"{_HLINKS}, {_CONF}, c AS (SELECT {_CONF_COLS} FROM x) SELECT *, {_PRF} FROM c")(lambda s, d: M.prf(M.link_confusion(_heavy_links(s, d), X.srv_users(s, d, True))))
 query("m_prf_by_op", f"{_HLINKS}, {_CONF}, c AS (SELECT op, {_CONF_COLS} FROM x GROUP BY op) SELECT *, {_PRF} FROM c")(lambda s, d: M.prf(M.link_confusion(_heavy_links(s, d), X.srv_users(s, d, True), ["op"])))
-query("m_prf_macro", f"{_HLINKS}, {_CONF}, c AS (SELECT op, {_CONF_COLS} FROM x GROUP BY op), m AS (SELECT {_PRF.replace('round(', '(').replace(', 6)', ')')} FROM c) SELECT round(avg(accuracy), 6) AS accuracy, round(avg(precision), 6) AS precision, round(avg(recall), 6) AS recall, round(avg(f1), 6) AS f1 FROM m")(
-    lambda s, d: M.prf(M.link_confusion(_heavy_links(s, d), X.srv_users(s, d, True), ["op"]), "macro")
+_TT = f"""tt AS (SELECT s.qid, s.truth_rid, CASE WHEN s.truth_rid IS NULL THEN [] ELSE list_filter([{DIFFER}], lambda x: x IS NOT NULL) END AS tf FROM srv s LEFT JOIN ref r ON r.rid = s.truth_rid),
+pt AS (SELECT tt.qid, tt.truth_rid, t.rid, CASE WHEN tt.truth_rid IS NULL THEN 'unlinked' WHEN len(tf) = 0 THEN 'consistent' ELSE 'contradiction:' || tf[1] END AS truth_tag,
+  {TAG.replace("rid", "t.rid").replace("fields", "t.fields")} AS tag FROM tt JOIN tagged t USING (qid)),
+g AS (SELECT *, rid IS NOT DISTINCT FROM truth_rid AND tag = truth_tag AS good FROM pt),
+k AS (SELECT good, tag AS found, truth_tag AS true_tag, unnest(list_distinct([tag, truth_tag])) AS tag FROM g),
+c AS (SELECT tag, sum((true_tag = tag)::INT)::BIGINT AS n, sum((found = tag AND good)::INT)::BIGINT AS tp, sum((found = tag AND NOT good)::INT)::BIGINT AS fp, sum((true_tag = tag AND NOT good)::INT)::BIGINT AS fn FROM k GROUP BY 1),
+m AS (SELECT *, CASE WHEN tp + fp > 0 THEN tp / (tp + fp)::DOUBLE ELSE 0 END AS precision, CASE WHEN tp + fn > 0 THEN tp / (tp + fn)::DOUBLE ELSE 0 END AS recall, CASE WHEN 2 * tp + fp + fn > 0 THEN 2 * tp / (2 * tp + fp + fn)::DOUBLE ELSE 0 END AS f1 FROM c)"""
+
+
+def _heavy_tag_prf(s: SparkSession, d: str) -> DataFrame:
+    q, r = X.srv_users(s, d, True), X.ref_users(s, d, True)
+    true = tag_pairs(q.where("truth_rid is not null").select("qid", F.col("truth_rid").alias("rid"), F.lit(1.0).alias("score")), q, r, USER)
+    return M.tag_prf(tag_pairs(_heavy_links(s, d), q, r, USER), true.select("qid", F.col("rid").alias("truth_rid"), F.col("tag").alias("truth_tag")))
+
+
+query("m_prf_by_tag", f"{_HLINKS}, {TAGGED}, {_TT} SELECT tag, n, tp, fp, fn, round(precision, 6) AS precision, round(recall, 6) AS recall, round(f1, 6) AS f1 FROM m")(
+    lambda s, d: _heavy_tag_prf(s, d).select("tag", "n", "tp", "fp", "fn", *[F.round(c, 6).alias(c) for c in ("precision", "recall", "f1")])
 )
+query("m_prf_macro", f"{_HLINKS}, {TAGGED}, {_TT} SELECT count(*) AS classes, round(avg(precision), 6) AS precision, round(avg(recall), 6) AS recall, round(avg(f1), 6) AS f1 FROM m")(lambda s, d: M.macro(_heavy_tag_prf(s, d)))
 query("m_pair_prf", f"{_HEAVY}, c AS (SELECT count(*) FILTER (t.truth_rid = k.rid) AS tp, count(*) AS found FROM knn k JOIN srv t USING (qid)), t AS (SELECT count(*) AS total FROM {_KNOWN}) SELECT tp::BIGINT AS tp, (found - tp)::BIGINT AS fp, (total - tp)::BIGINT AS fn, round(tp / found::DOUBLE, 6) AS precision, round(tp / total::DOUBLE, 6) AS recall FROM c CROSS JOIN t")(
     lambda s, d: M.pair_prf(_heavy_cands(s, d), X.srv_users(s, d, True))
 )
@@ -563,14 +652,134 @@ query("m_limit_ratio", "SELECT m::BIGINT AS m, round((log2(m) + 125) / (m * 26.0
 
 
 
-@query("m_frontier", "SELECT 'a' AS method, 0.9::DOUBLE AS recall, 1.0::DOUBLE AS seconds UNION ALL SELECT 'b', 0.95, 2.0")
+_FOUND = "t.truth_rid IS NOT NULL"
+_FRONT = f"""f AS (SELECT 'knn@' || ks.k AS method, count(*) FILTER (k.rid = t.truth_rid) / (SELECT count(*) FROM srv WHERE truth_rid IS NOT NULL)::DOUBLE AS recall, count(*)::DOUBLE AS pairs
+  FROM knn k JOIN srv t USING (qid) JOIN (SELECT unnest([1, 5, 10, 20, 50]) AS k) ks ON k.rank <= ks.k GROUP BY ks.k
+  UNION ALL SELECT 'joint', count(*) FILTER (j.rid = t.truth_rid) / (SELECT count(*) FROM srv WHERE truth_rid IS NOT NULL)::DOUBLE, count(*)::DOUBLE FROM ladder j JOIN srv t USING (qid)
+  UNION ALL SELECT 'all', 1.0, ((SELECT count(*) FROM srv) * (SELECT count(*) FROM ref))::DOUBLE)"""
+
+
+@query(
+    "m_frontier",
+    f"{_HEAVY}, {LADDER.replace('sims AS', 'ladder AS')}, {_FRONT} SELECT method, round(recall, 6) AS recall, pairs FROM f WHERE NOT EXISTS (SELECT 1 FROM f o WHERE o.recall >= f.recall AND o.pairs <= f.pairs AND (o.recall > f.recall OR o.pairs < f.pairs))",
+)
 def frontier(s: SparkSession, d: str) -> DataFrame:
-    return M.frontier(s.createDataFrame([("a", 0.9, 1.0), ("b", 0.95, 2.0), ("c", 0.85, 3.0), ("d", 0.95, 2.5)], "method string, recall double, seconds double"))
+    """Recall beside the pairs left to verify: exact search at each k, the joint query, all pairs."""
+    truth, cands = G.once(X.srv_users(s, d, True)), G.once(_heavy_cands(s, d))
+    ref = X.ref_users(s, d, True)
+    each = cands.select("qid", "rid", F.explode(F.array(*[F.struct(F.lit(f"knn@{k}").alias("method"), F.lit(k).alias("k")) for k in M.KS])).alias("m"), "rank").where("rank <= m.k").select("m.method", "qid", "rid")
+    every = each.unionByName(joint_query(truth, ref, mode="ladder").select(F.lit("joint").alias("method"), "qid", "rid"))
+    known = truth.select("qid", "truth_rid")
+    n = known.agg(F.count("truth_rid").alias("n"), F.count("*").alias("q"))
+    got = every.join(known, "qid").groupBy("method").agg(F.sum((F.coalesce(F.col("rid") == F.col("truth_rid"), F.lit(False))).cast("long")).alias("hits"), F.count("*").cast("double").alias("pairs"))
+    rows = got.join(n).select("method", (F.col("hits") / F.col("n")).alias("recall"), "pairs")
+    whole = n.join(ref.agg(F.count("*").alias("m"))).select(F.lit("all").alias("method"), F.lit(1.0).alias("recall"), (F.col("q") * F.col("m")).cast("double").alias("pairs"))
+    return M.frontier(G.once(rows.unionByName(whole)), "pairs").withColumn("recall", F.round("recall", 6))
 
 
 @query("m_region_map")
 def region_map(s: SparkSession, d: str) -> DataFrame:
-    return M.region_map(_emb(s, d, "rid"), "rid")
+    """Twelve queries and their five nearest, on two principal components."""
+    q, r = (G.once(x) for x in _dense(s, d))
+    return M.region_map(G.once(G.knn_exact(q, r, 5)), q, r)
+
+
+# ------------------------------------------------------------------ experiments: see plans.experiments
+
+_ROW = "'{w}' AS workload, '{m}' AS method, '{v}' AS variant, {k}::INT AS k, '{n}' AS measure, round(({x})::DOUBLE, 6) AS value"
+
+
+def _row(w: str, m: str, v: str, k: int | str, n: str, x: str, rest: str = "") -> str:
+    return f"SELECT {_ROW.format(w=w, m=m, v=v, k=k, n=n, x=x)} {rest}"
+
+
+_HITS = "count(*) FILTER (c.rid = t.truth_rid) / (SELECT count(*) FROM srv WHERE truth_rid IS NOT NULL)::DOUBLE"
+
+
+def _top(sims: str, k: int = 5) -> str:
+    return f"(SELECT qid, rid, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM {sims} QUALIFY rank <= {k})"
+
+
+_W1 = f"""WITH {BOTH_H}, {SPARSE}, {LADDER.replace("sims AS", "ladder AS")}, {_lex_ctes("bm25", PROSE).replace("sims AS", "lex AS")},
+brute AS (SELECT qid, r.rid, round({_score_sql(WEIGHTS)}, 9) AS sim FROM srv s CROSS JOIN ref r) """ + " UNION ALL ".join(
+    _row("w1", m, "planted", 5, n, x, f"FROM {_top(t)} c JOIN srv t USING (qid)")
+    for m, t in (("joint", "ladder"), ("lexical", "lex"), ("knn", "sims"), ("pruned", "sims"), ("brute_cosine", "sims"), ("brute_score", "brute"))
+    for n, x in (("recall", _HITS), ("pairs", "count(*)"))
+)
+query("w1_retrieval", _W1)(lambda s, d: E.w1_recall(s, d, ("joint", "lexical", "knn", "pruned", "brute_cosine", "brute_score"), encoder=ENCODER))
+query("w1_approximate")(lambda s, d: E.w1_recall(s, d, ("kmeans_ann", "forest", "density_ann", "lsh"), encoder=ENCODER))
+query("w2_frozen", f"{_HEAVY}, held AS (SELECT qid, truth_rid FROM srv WHERE NOT train AND truth_rid IS NOT NULL), ks AS (SELECT unnest([1, 5, 10, 20, 50])::INT AS k) SELECT 'w2' AS workload, 'knn' AS method, 'frozen' AS variant, ks.k, 'recall' AS measure, round(count(*) FILTER (knn.rank <= ks.k) / count(*)::DOUBLE, 6) AS value FROM held CROSS JOIN ks LEFT JOIN knn ON knn.qid = held.qid AND knn.rid = held.truth_rid GROUP BY ks.k")(
+    lambda s, d: E.w2_frozen(s, d, ENCODER)
+)
+query("w2_finetune")(lambda s, d: E.w2_finetune(s, d))
+
+
+#: CTEs up to ``best`` of each pipeline.
+_PIPE = {
+    "hashed": f"{SPARSE}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}",
+    "tfidf-word": f"{TFIDF_PROSE}, {_TF_SIMS}, {_knn_sql(5)}, {_CAND_SCORED}, {_CAND_BEST}",
+    "nearest": f"{SPARSE}, {_knn_sql(1)}, best AS (SELECT qid, rid FROM knn)",
+}
+_PIPE["verified"] = _PIPE["hashed"]
+_PIPE["verified-renormalized"] = _PIPE["hashed"].replace(_score_sql(WEIGHTS), f"({_top_sum}) / ({_low_sum})")
+
+
+def _judged(w: str, method: str, variant: str) -> str:
+    """Accuracy, precision, recall and F1 of a pipeline on a workload."""
+    inner = f"WITH {BOTH_H if variant == 'heavy' else BOTH}, {_PIPE[method]}, {_CONF}, c AS (SELECT {_CONF_COLS} FROM x), p AS (SELECT {_PRF} FROM c) SELECT unnest(['accuracy', 'precision', 'recall', 'f1']) AS measure, unnest([accuracy, precision, recall, f1]) AS value FROM p"
+    return f"SELECT '{w}' AS workload, '{method}' AS method, '{variant}' AS variant, 5::INT AS k, measure, value FROM ({inner})"
+
+
+def _all_judged(w: str, methods: tuple[str, ...]) -> str:
+    return " UNION ALL ".join(_judged(w, m, v) for v in ("light", "heavy") for m in methods)
+
+
+query("w3_encoder", _all_judged("w3", ("hashed", "tfidf-word")))(lambda s, d: E.w3_encoder(s, d, {"hashed": ENCODER, "tfidf-word": TfidfEncoder()}))
+query("w3_char_tfidf")(lambda s, d: E.w3_encoder(s, d, {"tfidf-char": TfidfEncoder("char")}))
+query(
+    "w4_verify",
+    f"WITH r AS ({_all_judged('w4', ('nearest', 'verified', 'verified-renormalized'))}) SELECT * FROM r UNION ALL SELECT 'w4', 'gain', variant, 5::INT, 'points', round(100 * (max(value) FILTER (method = 'verified') - max(value) FILTER (method = 'nearest')), 4) FROM r WHERE measure = 'f1' GROUP BY variant",
+)(lambda s, d: E.w4_verify(s, d, ENCODER))
+_W5 = f"""WITH {BOTH_H}, {SPARSE}, {_knn_sql(5)}, n AS (SELECT count(*)::DOUBLE AS n FROM ref), c AS (SELECT count(*)::DOUBLE AS c FROM knn)
+SELECT 'w5' AS workload, method, 'stand-in' AS variant, 5::INT AS k, measure, value FROM (
+  SELECT unnest(['encoding', 'search', 'verification', 'total', 'verification_quadratic']) AS method, 'model_ours' AS measure, unnest([2 * n * 589824, round(n * log2(n), 3), n * 125, round(2 * n * 589824 + n * (log2(n) + 125), 3), n * 3125]) AS value FROM n
+  UNION ALL SELECT unnest(['encoding', 'search', 'verification', 'total', 'verification_quadratic']), 'model_brute', unnest([2 * n * 589824, n * n, n * n * 25, 2 * n * 589824 + n * n * 26, n * n * 625]) FROM n
+  UNION ALL SELECT 'knn', 'pairs_verified', c FROM c UNION ALL SELECT 'knn', 'reduction', round(1 - c / (n * n), 9) FROM c CROSS JOIN n
+  UNION ALL SELECT 'limit', 'ratio', round((log2(n) + 125) / (n * 26), 12) FROM n)"""
+query("w5_scaling", _W5)(lambda s, d: E.w5_cost(s, d, ENCODER))
+_W6_T = [0.5, 0.6, 0.7, 0.8, 0.9]
+query(
+    "w6_truth",
+    f"""WITH {BOTH_H}, {_sims_sql(PROSE, TRUTH_ENCODER)}, t AS (SELECT unnest({_W6_T}::DOUBLE[]) AS threshold),
+c AS (SELECT threshold, count(*) AS pairs, count(*) FILTER (p.truth_rid = s.rid) AS good FROM sims s JOIN t ON s.sim > t.threshold JOIN srv p USING (qid) GROUP BY 1),
+r AS (SELECT threshold, round(good / pairs::DOUBLE, 6) AS precision, round(good / (SELECT count(*) FROM srv WHERE truth_rid IS NOT NULL)::DOUBLE, 6) AS recall FROM c)
+SELECT 'w6' AS workload, 'exhaustive' AS method, 'cosine > ' || threshold AS variant, NULL::INT AS k, unnest(['precision', 'recall']) AS measure, unnest([precision, recall]) AS value FROM r""",
+)(lambda s, d: E.w6_frozen(s, d, TRUTH_ENCODER, tuple(_W6_T)))
+query("w6_finetuned")(lambda s, d: E.w6_truth(s, d))
+query(
+    "w7_regions",
+    f"WITH {BOTH}, {SPARSE}, {_knn_sql(5)}, q AS (SELECT qid FROM srv ORDER BY md5(qid::VARCHAR), qid LIMIT 12) SELECT 'w7' AS workload, 'region' AS method, qid::VARCHAR AS variant, count(*)::INT AS k, 'mean_distance' AS measure, round(avg(1 - sim), 6) AS value FROM knn JOIN q USING (qid) GROUP BY qid",
+)(lambda s, d: E.w7_regions(s, d, encoder=ENCODER))
+query("w8_serialize", "SELECT 'The username lee.k with email and domain lee.example.org on server7 has active status.' AS sentence, 'The username lee.k and domain lee.example.org on server7 has active status.' AS skipped")(lambda s, d: E.w8_serialize(s))
+query("w9_audit", f"{LINK_FULL.replace(_LINK_OUT, '')} , a AS (SELECT t.qid, {TAG.replace('rid', 't.rid').replace('fields', 't.fields')} AS tag, s.servername FROM tagged t JOIN srv s USING (qid)) SELECT servername, {_counts} FROM a GROUP BY 1")(
+    lambda s, d: E.w9_audit(s, d, encoder=ENCODER).withColumn("rate", F.round("rate", 6))
+)
+query(
+    "w10_vectors",
+    f"WITH {PLANTED_SQL}, {_NEAR}, r AS (SELECT qid, rid, row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid) AS rank FROM s), ks AS (SELECT unnest([1, 5, 10])::INT AS k) SELECT 'w10' AS workload, 'knn' AS method, 'planted' AS variant, k, 'recall' AS measure, round(count(*) FILTER (r.rid = p.truth_rid) / (SELECT count(*) FROM p)::DOUBLE, 6) AS value FROM ks JOIN r ON r.rank <= ks.k JOIN p USING (qid) GROUP BY k",
+)(lambda s, d: E.w10_vectors(s, d))
+query("w10_transfer")(lambda s, d: E.w10_transfer(s, d))
+query("doc_exact_copies", "SELECT doc_id, first_id, copies FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY md5(text)) AS first_id, count(*) OVER (PARTITION BY md5(text)) AS copies FROM documents) WHERE copies > 1")(lambda s, d: R.exact_copies(read_table(s, d, "documents"), "doc_id", "text"))
+_DOC = HashedNgramEncoder(dim=256)
+query(
+    "doc_near_copies",
+    f"""WITH {_postings_sql("documents", "doc_id", "text", "dp", _DOC)}, n AS (SELECT doc_id, sum(weight * weight)::DOUBLE AS n FROM dp GROUP BY 1),
+s AS (SELECT a.doc_id AS qid, b.doc_id AS rid, round(sum(a.weight * b.weight)::DOUBLE / sqrt(any_value(x.n) * any_value(y.n)), 9) AS sim FROM dp a JOIN dp b ON a.bucket = b.bucket AND a.doc_id <> b.doc_id JOIN n x ON x.doc_id = a.doc_id JOIN n y ON y.doc_id = b.doc_id GROUP BY 1, 2)
+SELECT qid, rid, (row_number() OVER (PARTITION BY qid ORDER BY sim DESC, rid))::INT AS rank, sim FROM s WHERE sim > 0.97""",
+)(lambda s, d: E.near_documents(s, d, _DOC, 0.97))
+query("bench_in_docs", "SELECT item_id, doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text)")(
+    lambda s, d: R.containing(read_table(s, d, "documents").select("doc_id", "text"), read_table(s, d, "benchmark").select("item_id", F.col("text").alias("passage")), "text", "passage").select("item_id", "doc_id")
+)
 
 
 # ------------------------------------------------------------------ surrounding operators

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ..functions.vectors import matrix, unit
+from ..sources.shared import settle
 
 VECTOR = T.ArrayType(T.FloatType(), False)
 
@@ -109,10 +110,11 @@ def encode_blocks(df: DataFrame, id_col: str, text: str, out: str, block, *state
 class TfidfEncoder:
     """Bag of words (or of character n-grams): term counts times inverse document frequency, unit length."""
 
-    def __init__(self, tokenizer: str = "word", ns: tuple[int, ...] = (3, 4), smooth: bool = True) -> None:
+    def __init__(self, tokenizer: str = "word", ns: tuple[int, ...] = (3, 4), smooth: bool = True, vocab_size: int | None = None, hash_dim: int = 4096) -> None:
+        """``vocab_size``: only the terms of most reference rows (ties by name); ``hash_dim``: the dense form's dimensions."""
         if tokenizer not in ("word", "char"):
             raise ValueError("tokenizer is word or char")
-        self.tokenizer, self.ns, self.smooth = tokenizer, ns, smooth
+        self.tokenizer, self.ns, self.smooth, self.vocab_size, self.hash_dim = tokenizer, ns, smooth, vocab_size, hash_dim
         self.idf: DataFrame | None = None
 
     def terms(self, df: DataFrame, id_col: str, text: str = "sentence") -> DataFrame:
@@ -125,7 +127,10 @@ class TfidfEncoder:
         n = df.agg(F.count("*").alias("n"))
         counts = self.terms(df, id_col, text).groupBy("term").agg(F.count("*").alias("df"))
         plus = 1 if self.smooth else 0
-        self.idf = counts.join(F.broadcast(n)).select("term", (F.log((F.col("n") + plus) / (F.col("df") + plus)) + 1).alias("idf"))
+        idf = counts.join(F.broadcast(n)).select("term", "df", (F.log((F.col("n") + plus) / (F.col("df") + plus)) + 1).alias("idf"))
+        if self.vocab_size is not None:
+            idf = idf.orderBy(F.desc("df"), "term").limit(self.vocab_size)
+        self.idf = settle(idf.select("term", "idf"))
         return self
 
     def sparse(self, df: DataFrame, id_col: str, text: str = "sentence") -> DataFrame:
@@ -136,8 +141,9 @@ class TfidfEncoder:
         norm = raw.groupBy(id_col).agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("norm"))
         return raw.join(norm, id_col).select(id_col, "term", (F.col("w") / F.col("norm")).alias("w"))
 
-    def hashed(self, df: DataFrame, id_col: str, dim: int = 4096, text: str = "sentence") -> DataFrame:
+    def hashed(self, df: DataFrame, id_col: str, dim: int | None = None, text: str = "sentence") -> DataFrame:
         """(id, vec): the sparse form in a hashed term space, for gatherers of dense vectors."""
+        dim = dim or self.hash_dim
         s = self.sparse(df, id_col, text).select(id_col, F.pmod(F.xxhash64("term"), F.lit(dim)).cast("int").alias("b"), "w")
         s = s.groupBy(id_col, "b").agg(F.sum("w").alias("w")).groupBy(id_col).agg(F.map_from_entries(F.collect_list(F.struct("b", "w"))).alias("m"))
         every = df.select(id_col).join(s, id_col, "left")

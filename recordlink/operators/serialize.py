@@ -32,19 +32,15 @@ def sentence(schema: RecordSchema, missing: str = "keep", template: str | None =
         raise ValueError(f"the template names no fields of the schema: {sorted(unknown)}")
     parts = []
     for text, name in zip(pieces[::2], [*pieces[1::2], None], strict=True):
-        text = text.strip(" ")
         if name is None:
-            parts += [F.lit(text)] if text else []
+            parts.append(F.lit(text))
             continue
         value = F.coalesce(F.col(name).cast("string"), F.lit(""))
         value = F.lower(value) if name in lower else value
-        there = value != ""
-        if missing == "keep":
-            parts += ([F.lit(text)] if text else []) + [F.when(there, value)]
-        else:
-            parts.append(F.when(there, F.concat(F.lit(f"{text} " if text else ""), value)))
-    # A comma or stop that begins a clause stands at the word before it.
-    return F.regexp_replace(F.concat_ws(" ", *parts), r" ([,.;])(?= |$)", "$1")
+        own = F.concat(F.lit(" "), value) if text.endswith(" ") else value  # the blank goes with the value
+        words = F.lit(text.removesuffix(" "))
+        parts += [words, F.when(value != "", own).otherwise("")] if missing == "keep" else [F.when(value != "", F.concat(words, own)).otherwise("")]
+    return F.trim(F.concat(*parts))
 
 
 def serialize_records(df: DataFrame, schema: RecordSchema, missing: str = "keep", out: str = "sentence", template: str | None = None) -> DataFrame:

@@ -8,11 +8,11 @@ from __future__ import annotations
 
 import time
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..operators import gather as G
-from ..operators.encode import HashedNgramEncoder, TfidfEncoder, project
+from ..operators.encode import HashedNgramEncoder, ProjectedEncoder, TfidfEncoder, project
 from ..operators.serialize import serialize_records, serialize_values
 from ..operators.tag import audit
 from ..operators.verify import attach_fields, composite_score, select_best, select_nearest
@@ -27,12 +27,13 @@ from .linker import Linker
 OUT = "workload string, method string, variant string, k int, measure string, value double"
 METHODS = {
     "joint": {"gatherer": "joint", "options": {"mode": "ladder"}},
-    "kmeans_ann": {"gatherer": "ivf", "options": {"cells": 32, "probes": 3, "inner": "exact"}},
-    "lexical": {"gatherer": "lexical", "options": {"scorer": "bm25", "df_share": 0.05}},
+    "kmeans_ann": {"gatherer": "ivf", "options": {"cells": 32, "probes": 3, "inner": "forest", "trees": 8}},
+    "lexical": {"gatherer": "lexical", "options": {"scorer": "bm25"}},
     "knn": {"gatherer": "knn"},
     "pruned": {"gatherer": "pruned", "options": {"pivots": 32}},
     "forest": {"gatherer": "forest", "options": {"trees": 10, "leaf": 64, "probes": 1}},
     "density_ann": {"gatherer": "density", "options": {"eps": 0.55, "min_pts": 3, "pivots": 16}},
+    "lsh": {"gatherer": "lsh"},
     "brute_cosine": {"gatherer": "brute_cosine"},
     "brute_score": {"gatherer": "brute_score"},
 }
@@ -57,11 +58,7 @@ def w1_retrieval(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = AL
     rows, took = [], {}
     for m in methods:
         began = time.perf_counter()
-        linker = Linker(USER, encoder or HashedNgramEncoder(), k=k, sentence="values", **METHODS[m]).fit(r)
-        if hasattr(linker, "vectors"):
-            linker.vectors = settle(linker.vectors)
-        if getattr(linker.index, "table", None) is not None:
-            linker.index.table = settle(linker.index.table)
+        linker = Linker(USER, encoder or HashedNgramEncoder(), k=k, **METHODS[m]).fit(r)
         fit = time.perf_counter() - began
         run_noop(linker.gather(q))  # warm-up
         began = time.perf_counter()
@@ -75,6 +72,31 @@ def w1_retrieval(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = AL
     return _table(spark, rows)
 
 
+def w1_recall(spark: SparkSession, sf_dir: str, methods: tuple[str, ...] = ALL, k: int = 5, encoder=None) -> DataFrame:
+    """Recall at k and candidate pairs of each gatherer on the heavy workload, without times."""
+    q, r = _workload(spark, sf_dir)
+    rows = []
+    for m in methods:
+        cands = settle(Linker(USER, encoder or HashedNgramEncoder(), k=k, **METHODS[m]).fit(r).gather(q))
+        rows += [("w1", m, "planted", k, "recall", float(M.recall_at_k(cands, q, (k,)).first()["recall"])), ("w1", m, "planted", k, "pairs", float(cands.count()))]
+    return _table(spark, rows)
+
+
+def finetuned(spark: SparkSession, q: DataFrame, r: DataFrame, base, **kw) -> tuple[ProjectedEncoder, DataFrame]:
+    """(base with a head fitted on the records' training half, loss curve)."""
+    a, b = settle(base.encode(serialize_records(q, USER), "qid")), settle(base.encode(serialize_records(r, USER), "rid"))
+    _, w, curve, _ = _train(spark, a, b, q, base.dim, **{"epochs": 2, **kw})
+    return ProjectedEncoder(base, w), curve
+
+
+def w2_frozen(spark: SparkSession, sf_dir: str, encoder, ks: tuple[int, ...] = M.KS) -> DataFrame:
+    """Exact search with the frozen encoder, on held-out queries."""
+    s, ref = _workload(spark, sf_dir)
+    cands = G.knn_exact(encoder.encode(serialize_records(s, USER), "qid"), encoder.encode(serialize_records(ref, USER), "rid"), max(ks))
+    found = M.recall_at_k(cands, s.where("not train"), ks)
+    return found.select(F.lit("w2").alias("workload"), F.lit("knn").alias("method"), F.lit("frozen").alias("variant"), "k", F.lit("recall").alias("measure"), F.col("recall").alias("value"))
+
+
 def _train(spark: SparkSession, q: DataFrame, r: DataFrame, truth: DataFrame, dim: int, **kw) -> tuple:
     """The head fitted on the training half; a validation slice of it picks among settings by recall at 1, not by loss."""
     pairs = settle(TR.mine_pairs(truth, q, r))
@@ -95,7 +117,7 @@ def w2_finetune(spark: SparkSession, sf_dir: str, ks: tuple[int, ...] = M.KS, di
     """Exact and approximate search, frozen and fine-tuned, on held-out queries."""
     s, ref = _workload(spark, sf_dir)
     e = HashedNgramEncoder(dim=dim)
-    q, r = settle(e.encode(serialize_values(s, USER), "qid")), settle(e.encode(serialize_values(ref, USER), "rid"))
+    q, r = settle(e.encode(serialize_records(s, USER), "qid")), settle(e.encode(serialize_records(ref, USER), "rid"))
     _, w, curve, chosen = _train(spark, q, r, s, dim, epochs=2)
     held = s.where("not train")
     rows = [("w2", "loss", str(chosen), None, "start", float(curve.orderBy("step").first()["loss"])), ("w2", "loss", str(chosen), None, "end", float(curve.orderBy(F.desc("step")).first()["loss"]))]
@@ -103,6 +125,8 @@ def w2_finetune(spark: SparkSession, sf_dir: str, ks: tuple[int, ...] = M.KS, di
     for variant, a, b in (("frozen", own, r), ("fine-tuned", settle(project(own, "qid", w)), settle(project(r, "rid", w)))):
         for m, cands in (("knn", G.knn_exact(a, b, max(ks))), ("forest", G.Forest.fit(b, trees=10, leaf=64).query(a, max(ks), probes=1))):
             rows += [("w2", m, variant, x["k"], "recall", float(x["recall"])) for x in M.recall_at_k(cands, held, ks).collect()]
+    value = {(m, v, k): x for _, m, v, k, n, x in rows if n == "recall"}
+    rows += [("w2", m, "gain", k, "points", round(100 * (x - value[m, "frozen", k]), 4)) for (m, v, k), x in value.items() if v == "fine-tuned"]
     return _table(spark, rows)
 
 
@@ -111,30 +135,43 @@ def _judge(links: DataFrame, truth: DataFrame) -> dict[str, float]:
     return {n: float(r[n]) for n in ("accuracy", "precision", "recall", "f1")}
 
 
-def w3_encoder(spark: SparkSession, sf_dir: str, accept: float | None = None) -> DataFrame:
+def w3_encoder(spark: SparkSession, sf_dir: str, encoders: dict | None = None, accept: float | None = None) -> DataFrame:
     """The pipeline with the hashed encoder, word TF-IDF and character TF-IDF, on both workloads."""
     rows = []
     for hard in (False, True):
         q, r = _workload(spark, sf_dir, hard)
-        for name, e in (("stand-in hashed-768", HashedNgramEncoder()), ("tfidf-word", TfidfEncoder()), ("tfidf-char", TfidfEncoder("char"))):
-            links = Linker(USER, e, k=5, accept=accept, sentence="values").fit(r).link(q)
+        for name, e in (encoders or {"hashed-768": HashedNgramEncoder(), "tfidf-word": TfidfEncoder(), "tfidf-char": TfidfEncoder("char")}).items():
+            links = Linker(USER, e, k=5, accept=accept).fit(r).link(q)
             rows += [("w3", name, "heavy" if hard else "light", 5, n, v) for n, v in _judge(links, q).items()]
     return _table(spark, rows)
 
 
 def w4_verify(spark: SparkSession, sf_dir: str, encoder=None) -> DataFrame:
-    """With and without verification of the five nearest."""
+    """With and without verification of the five nearest, and the points of F1 that it adds."""
     rows = []
     for hard in (False, True):
         q, r = _workload(spark, sf_dir, hard)
         e = encoder or HashedNgramEncoder()
-        cands = settle(G.knn_exact(e.encode(serialize_values(q, USER), "qid"), e.encode(serialize_values(r, USER), "rid"), 5))
-        made = {"nearest": select_nearest(cands), "verified": select_best(composite_score(attach_fields(cands, q, r, USER), USER))}
-        made["verified-renormalized"] = select_best(composite_score(attach_fields(cands, q, r, USER), USER, missing="renormalize"))
+        cands = settle(G.knn_exact(e.encode(serialize_records(q, USER), "qid"), e.encode(serialize_records(r, USER), "rid"), 5))
+        pairs = settle(attach_fields(cands, q, r, USER))
+        made = {"nearest": select_nearest(cands), "verified": select_best(composite_score(pairs, USER)), "verified-renormalized": select_best(composite_score(pairs, USER, missing="renormalize"))}
         for name, links in made.items():
             rows += [("w4", name, "heavy" if hard else "light", 5, n, v) for n, v in _judge(links, q).items()]
     f1 = {(m, v): x for _, m, v, _, n, x in rows if n == "f1"}
-    rows += [("w4", "gain", v, 5, "points", 100 * (f1["verified", v] - f1["nearest", v])) for v in ("light", "heavy")]
+    rows += [("w4", "gain", v, 5, "points", round(100 * (f1["verified", v] - f1["nearest", v]), 4)) for v in ("light", "heavy")]
+    return _table(spark, rows)
+
+
+def w5_cost(spark: SparkSession, sf_dir: str, encoder=None) -> DataFrame:
+    """The cost model at the workload's size beside the pairs that the search left to verify."""
+    q, r = _workload(spark, sf_dir)
+    n = r.count()
+    rows = []
+    for x in M.cost_model(spark, n, n).collect():
+        rows += [("w5", x["stage"], "stand-in", 5, "model_ours", float(x["ours"])), ("w5", x["stage"], "stand-in", 5, "model_brute", float(x["brute"]))]
+    o = M.observed_cost(Linker(USER, encoder or HashedNgramEncoder()).fit(r).gather(q), q.count(), n).first()
+    rows += [("w5", "knn", "stand-in", 5, "pairs_verified", float(o["pairs"])), ("w5", "knn", "stand-in", 5, "reduction", float(o["reduction"]))]
+    rows.append(("w5", "limit", "stand-in", 5, "ratio", float(M.limit_ratio(spark, (n,)).first()["ratio"])))
     return _table(spark, rows)
 
 
@@ -146,7 +183,7 @@ def w5_scaling(spark: SparkSession, sf_dirs: list[str]) -> DataFrame:
         n = m = r.count()
         for x in M.cost_model(spark, n, m).collect():
             rows += [("w5", x["stage"], d, 5, "model_ours", float(x["ours"])), ("w5", x["stage"], d, 5, "model_brute", float(x["brute"]))]
-        linker = Linker(USER, HashedNgramEncoder(), sentence="values").fit(r)
+        linker = Linker(USER, HashedNgramEncoder()).fit(r)
         began = time.perf_counter()
         cands = settle(linker.gather(q))
         rows.append(("w5", "knn", d, 5, "gather_s", time.perf_counter() - began))
@@ -160,7 +197,7 @@ def w6_truth(spark: SparkSession, sf_dir: str, dim: int = 256, threshold: float
     """The exhaustive truth by a fine-tuned encoder, against the planted one; its loss curve; a sweep of thresholds."""
     s, ref = _workload(spark, sf_dir)
     e = HashedNgramEncoder(dim=dim, ns=(3, 4, 5))
-    q, r = settle(e.encode(serialize_values(s, USER), "qid")), settle(e.encode(serialize_values(ref, USER), "rid"))
+    q, r = settle(e.encode(serialize_records(s, USER), "qid")), settle(e.encode(serialize_records(ref, USER), "rid"))
     _, w, curve, chosen = _train(spark, q, r, s, dim, epochs=2)
     rows = [("w6", "loss", str(chosen), x["step"], "loss", float(x["loss"])) for x in curve.orderBy("step").collect()]
     pairs = settle(G.brute_cosine(project(q, "qid", w), project(r, "rid", w), threshold=0.5))
@@ -172,11 +209,34 @@ def w6_truth(spark: SparkSession, sf_dir: str, dim: int = 256, threshold: float
     return _table(spark, rows)
 
 
-def w7_regions(spark: SparkSession, sf_dir: str, sample: int | None = 12) -> DataFrame:
+def w6_frozen(spark: SparkSession, sf_dir: str, encoder, thresholds: tuple[float, ...]) -> DataFrame:
+    """Exhaustive pairs by a second encoder as it is, against the planted truth, by threshold."""
+    s, ref = _workload(spark, sf_dir)
+    pairs = G.brute_cosine(encoder.encode(serialize_records(s, USER), "qid"), encoder.encode(serialize_records(ref, USER), "rid"), threshold=min(thresholds))
+    rows = TR.truth_sweep(pairs, s, thresholds).collect()
+    return _table(spark, [("w6", "exhaustive", f"cosine > {x['threshold']}", None, n, float(x[n])) for x in rows for n in ("precision", "recall")])
+
+
+def near_documents(spark: SparkSession, sf_dir: str, encoder, threshold: float) -> DataFrame:
+    """Whole documents whose vectors are nearer than a threshold: pairs both ways, ranked by document."""
+    docs = read_table(spark, sf_dir, "documents").select("doc_id", F.col("text").alias("sentence"))
+    v = settle(encoder.encode(G.spread(docs, "doc_id"), "doc_id"))
+    pairs = G.brute_cosine(v.withColumnRenamed("doc_id", "qid"), v.withColumnRenamed("doc_id", "rid"), threshold=threshold).where("qid <> rid")
+    return pairs.withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy(F.desc("sim"), "rid"))).withColumn("sim", F.round("sim", 9))
+
+
+def w10_vectors(spark: SparkSession, sf_dir: str, ks: tuple[int, ...] = (1, 5, 10)) -> DataFrame:
+    """Recall of exact search on noisy copies of the embeddings."""
+    q, r = settle(X.planted_vectors(spark, sf_dir)), read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("rid"), F.col("embedding").alias("vec"))
+    found = M.recall_at_k(G.knn_exact(q, r, max(ks)), q, ks)
+    return found.select(F.lit("w10").alias("workload"), F.lit("knn").alias("method"), F.lit("planted").alias("variant"), "k", F.lit("recall").alias("measure"), F.col("recall").alias("value"))
+
+
+def w7_regions(spark: SparkSession, sf_dir: str, sample: int | None = 12, encoder=None) -> DataFrame:
     """How tight the regions of a few queries and their five nearest are."""
     q, r = _workload(spark, sf_dir, False)
-    e = HashedNgramEncoder()
-    cands = G.knn_exact(e.encode(serialize_values(q, USER), "qid"), e.encode(serialize_values(r, USER), "rid"), 5)
+    e = encoder or HashedNgramEncoder()
+    cands = G.knn_exact(e.encode(serialize_records(q, USER), "qid"), e.encode(serialize_records(r, USER), "rid"), 5)
     return _table(spark, [("w7", "region", str(x["qid"]), int(x["neighbours"]), "mean_distance", float(x["mean_distance"])) for x in M.region_tightness(cands, sample).collect()])
 
 
@@ -186,10 +246,10 @@ def w8_serialize(spark: SparkSession) -> DataFrame:
     return serialize_records(serialize_records(df, USER), USER, "skip", "skipped").select("sentence", "skipped")
 
 
-def w9_audit(spark: SparkSession, sf_dir: str, by: tuple[str, ...] = ("servername",)) -> DataFrame:
+def w9_audit(spark: SparkSession, sf_dir: str, by: tuple[str, ...] = ("servername",), encoder=None) -> DataFrame:
     """Contradictions of the light workload by server."""
     q, r = _workload(spark, sf_dir, False)
-    tags = Linker(USER, HashedNgramEncoder(), sentence="values").fit(r).link(q)
+    tags = Linker(USER, encoder or HashedNgramEncoder()).fit(r).link(q)
     return audit(tags, q, by)
 
 

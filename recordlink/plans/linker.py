@@ -62,15 +62,23 @@ class Linker:
             return self
         if isinstance(self.encoder, TfidfEncoder):
             self.encoder.fit(s, "rid")
+            if name == "knn":  # in the term space itself, without hashing
+                self.vectors = settle(self.encoder.sparse(s, "rid"))
+                return self
         vectors = self.encoder.encode(s, "rid")
         if path:
             vectors.write.mode("overwrite").parquet(path)
             vectors = ref.sparkSession.read.parquet(path)
         self.vectors = vectors if path else settle(vectors)  # encoded once, whatever reads it
-        kinds = {"pruned": G.PivotIndex, "forest": G.Forest, "ivf": G.CellIndex, "density": G.DensityIndex}
+        kinds = {
+            "pruned": (G.PivotIndex, ("pivots", "seed", "sample")),
+            "forest": (G.Forest, ("trees", "leaf", "seed", "sample", "least")),
+            "ivf": (G.CellIndex, ("cells", "seed", "sample")),
+            "density": (G.DensityIndex, ("eps", "min_pts", "pivots", "seed")),
+        }
         if name in kinds:
-            own = {k: v for k, v in self.options.items() if k in ("cells", "pivots", "trees", "leaf", "seed", "sample", "eps", "min_pts")}
-            self.index = kinds[name].fit(vectors, **own)
+            index, names = kinds[name]
+            self.index = index.fit(self.vectors, **{k: v for k, v in self.options.items() if k in names})
         return self
 
     def gather(self, queries: DataFrame) -> DataFrame:
@@ -83,6 +91,8 @@ class Linker:
         s = self._sentences(queries)
         if name == "lexical":
             return lexical_search(s, self.ref_text, self.k, **{k: v for k, v in o.items() if k in ("scorer", "df_share")})
+        if isinstance(self.encoder, TfidfEncoder) and name == "knn":
+            return G.knn_sparse(self.encoder.sparse(s, "qid"), self.vectors, self.k, "term", "w")
         q = self.encoder.encode(G.spread(s.select("qid", "sentence"), "qid"), "qid")
         if name == "knn":
             return G.knn_exact(q, self.vectors, self.k)
@@ -92,7 +102,8 @@ class Linker:
             return G.lsh_candidates(q, self.vectors, self.k, **{k: v for k, v in o.items() if k in ("bucket", "tables", "reach")})
         if name == "pruned":
             return self.index.query(q, self.k)
-        return self.index.query(q, self.k, **{k: v for k, v in o.items() if k in ("probes", "inner")})
+        inside = ("trees", "leaf") if o.get("inner") == "forest" or name == "density" else ()
+        return self.index.query(q, self.k, **{k: v for k, v in o.items() if k in ("probes", "inner", *inside)})
 
     def score(self, cands: DataFrame, queries: DataFrame) -> DataFrame:
         return composite_score(attach_fields(cands, queries, self.ref, self.schema), self.schema, missing=self.missing)

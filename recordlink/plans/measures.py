@@ -9,6 +9,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..sources.shared import settle
+
 KS = (1, 5, 10, 20, 50)
 
 
@@ -131,14 +133,19 @@ def region_tightness(cands: DataFrame, sample: int | None = 12) -> DataFrame:
     return df.groupBy("qid").agg(F.count("*").alias("neighbours"), F.round(F.avg(1 - F.col("sim")), 6).alias("mean_distance"))
 
 
-def region_map(vectors: DataFrame, id_col: str) -> DataFrame:
-    """(id, x, y): two principal components."""
+def region_map(cands: DataFrame, queries: DataFrame, ref: DataFrame, sample: int = 12) -> DataFrame:
+    """(qid, id, x, y, mean_distance): sampled queries and their candidates on two principal components of these few vectors, with the
+    mean cosine distance of each query's region."""
     from pyspark.ml.feature import PCA
     from pyspark.ml.functions import array_to_vector, vector_to_array
 
-    v = vectors.select(id_col, array_to_vector(F.col("vec").cast("array<double>")).alias("f"))
-    p = PCA(k=2, inputCol="f", outputCol="p").fit(v).transform(v).select(id_col, vector_to_array("p").alias("p"))
-    return p.select(id_col, F.col("p")[0].alias("x"), F.col("p")[1].alias("y"))
+    regions = region_tightness(cands, sample).select("qid", "mean_distance")
+    own = regions.join(queries.select("qid", "vec"), "qid").select("qid", F.col("qid").alias("id"), "vec", "mean_distance")
+    near = cands.join(regions, "qid").join(ref.select("rid", "vec"), "rid").select("qid", F.col("rid").alias("id"), "vec", "mean_distance")
+    both = own.unionByName(near)
+    v = settle(both.select("qid", "id", "mean_distance", array_to_vector(F.col("vec").cast("array<double>")).alias("f")))
+    p = PCA(k=2, inputCol="f", outputCol="p").fit(v).transform(v).select("qid", "id", vector_to_array("p").alias("p"), "mean_distance")
+    return p.select("qid", "id", F.col("p")[0].alias("x"), F.col("p")[1].alias("y"), "mean_distance")
 
 
 def finetune_gain(recalls: DataFrame) -> DataFrame:
@@ -162,11 +169,31 @@ def errors_by_drift(links: DataFrame, cands: DataFrame, truth: DataFrame, op: st
     return df.groupBy(op).agg(F.count("*").alias("n"), F.sum((linkable & ~there).cast("long")).alias("missed_gather"), F.sum((linkable & there & ~right).cast("long")).alias("missed_verify"), F.sum((~linkable & F.col("rid").isNotNull()).cast("long")).alias("false_links"))
 
 
-def frontier(results: DataFrame) -> DataFrame:
-    """Of (method, recall, seconds), those that no other beats in one without losing in the other."""
+def frontier(results: DataFrame, cost: str = "seconds") -> DataFrame:
+    """Of (method, recall, cost), those that no other beats in one without losing in the other; a row a method, few rows."""
     a, b = results.alias("a"), results.alias("b")
-    better = (F.col("b.recall") >= F.col("a.recall")) & (F.col("b.seconds") <= F.col("a.seconds")) & ((F.col("b.recall") > F.col("a.recall")) | (F.col("b.seconds") < F.col("a.seconds")))
-    return a.join(b, better, "left_anti")
+    ra, rb, ca, cb = F.col("a.recall"), F.col("b.recall"), F.col(f"a.{cost}"), F.col(f"b.{cost}")
+    return a.join(b, (rb >= ra) & (cb <= ca) & ((rb > ra) | (cb < ca)), "left_anti")
+
+
+def tag_prf(tags: DataFrame, truth: DataFrame) -> DataFrame:
+    """(tag, n, tp, fp, fn, precision, recall, f1) for each class of tags, from (qid, rid, tag) and (qid, truth_rid, truth_tag).
+
+    A query counts for its class where both its row and its tag are right (or it is rightly left unlinked).
+    """
+    t = truth.select("qid", "truth_rid", "truth_tag").join(tags.select("qid", "rid", "tag"), "qid")
+    good = F.col("rid").eqNullSafe(F.col("truth_rid")) & (F.col("tag") == F.col("truth_tag"))
+    rows = t.select(good.alias("good"), F.array_distinct(F.array("tag", "truth_tag")).alias("both"), F.col("tag").alias("found"), F.col("truth_tag").alias("true"))
+    each = rows.select("good", "found", "true", F.explode("both").alias("tag"))
+    own, real = F.col("found") == F.col("tag"), F.col("true") == F.col("tag")
+    c = each.groupBy("tag").agg(F.sum(real.cast("long")).alias("n"), F.sum((own & F.col("good")).cast("long")).alias("tp"), F.sum((own & ~F.col("good")).cast("long")).alias("fp"), F.sum((real & ~F.col("good")).cast("long")).alias("fn"))
+    div = lambda a, b: F.when(b > 0, a / b).otherwise(0.0)
+    return c.withColumns({"precision": div(F.col("tp"), F.col("tp") + F.col("fp")), "recall": div(F.col("tp"), F.col("tp") + F.col("fn")), "f1": div(2 * F.col("tp"), 2 * F.col("tp") + F.col("fp") + F.col("fn"))})
+
+
+def macro(prfs: DataFrame) -> DataFrame:
+    """The mean over classes of a table with precision, recall and f1."""
+    return prfs.agg(F.count("*").alias("classes"), *[F.round(F.avg(n), 6).alias(n) for n in ("precision", "recall", "f1")])
 
 
 def loss_smooth(curve: DataFrame, width: int = 5) -> DataFrame:

@@ -15,7 +15,7 @@ from ..operators.gather import brute_cosine
 from ..operators.tag import tag_pairs
 from ..operators.verify import attach_fields, composite_score, select_best
 from ..schema import RecordSchema
-from ..sources.shared import settle
+from ..sources.shared import shared_folder
 
 
 def exhaustive_pairs(q: DataFrame, ref: DataFrame, threshold: float = 0.8) -> DataFrame:
@@ -84,7 +84,7 @@ def mine_pairs(truth: DataFrame, queries: DataFrame, ref: DataFrame, train: str
 def assign_batches(pairs: DataFrame, size: int = 64, seed: int = 7) -> DataFrame:
     """``batch`` by hashed order: within hash buckets of about a thousand rows, so that no task sorts all pairs."""
     buckets = max(1, pairs.count() // 1024)
-    df = pairs.withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "qid"), F.lit(buckets)))
+    df = pairs.select("qid", F.col("anchor").cast("array<float>").alias("anchor"), F.col("positive").cast("array<float>").alias("positive")).withColumn("bucket", F.pmod(F.xxhash64(F.lit(seed), "qid"), F.lit(buckets)))
     w = Window.partitionBy("bucket").orderBy(F.xxhash64(F.lit(seed + 1), "qid"), "qid")
     df = df.withColumn("row", F.row_number().over(w) - 1)
     return df.withColumn("batch", F.col("bucket") * 100_000 + F.floor(F.col("row") / size)).drop("bucket", "row")
@@ -93,18 +93,26 @@ def assign_batches(pairs: DataFrame, size: int = 64, seed: int = 7) -> DataFrame
 def finetune(pairs: DataFrame, dim: int, epochs: int = 1, size: int = 64, rate: float = 0.5, scale: float = 20.0, seed: int = 7, parallel: int = 1) -> tuple[np.ndarray, DataFrame]:
     """(w, loss curve): a square matrix after the frozen encoder, from the identity, by plain gradient steps.
 
-    A step takes ``parallel`` batches in one job: tasks send back one gradient each, their mean moves w, and w (dim x dim
-    numbers) goes out again.  Batches too small to hold a negative are skipped.
+    A step takes about ``parallel`` batches in one job: tasks send back one gradient each, their mean moves w, and w (dim x dim
+    numbers) goes out again.  Pairs are written once, a folder a step, so that a step reads its own alone.  Batches too small to
+    hold a negative are skipped.
     """
     spark = pairs.sparkSession
-    batched = settle(assign_batches(pairs, size, seed).repartition("batch").sortWithinPartitions("batch", "qid"))
-    ids = sorted(r["batch"] for r in batched.groupBy("batch").agg(F.count("*").alias("n")).where("n > 1").select("batch").collect())
-    order = np.random.default_rng(seed).permutation(len(ids))
-    w, curve, step = np.eye(dim), [], 0
+    batched = assign_batches(pairs, size, seed)
+    whole = batched.groupBy("batch").agg(F.count("*").alias("n")).where("n > 1").select("batch")
+    total = whole.count()
+    if not total:
+        return np.eye(dim), spark.createDataFrame([], "step int, loss double")
+    # Batches in hashed order, so many a step; the ranks are made in hash buckets, so that no task sorts all batches.
+    steps = -(-total // parallel)
+    step = F.pmod(F.xxhash64(F.lit(seed + 2), "batch"), F.lit(steps)) if parallel > 1 else F.row_number().over(Window.orderBy(F.xxhash64(F.lit(seed + 2), "batch"), "batch")) - 1
+    path = shared_folder(spark, "training")
+    batched.join(whole.withColumn("step", step.cast("int")), "batch").repartition("step").sortWithinPartitions("batch", "qid").write.partitionBy("step").parquet(path)
+    data = spark.read.schema("qid long, anchor array<float>, positive array<float>, batch long, step int").parquet(path)
+    w, curve, at = np.eye(dim), [], 0
     schema = T.StructType([T.StructField("loss", T.DoubleType()), T.StructField("grad", T.BinaryType())])
     for _ in range(epochs):
-        for lo in range(0, len(order), parallel):
-            chosen = [ids[i] for i in order[lo : lo + parallel]]
+        for k in range(steps):
             shared = spark.sparkContext.broadcast(w)
 
             def run(frames: Iterator[pd.DataFrame], shared=shared) -> Iterator[pd.DataFrame]:
@@ -114,11 +122,12 @@ def finetune(pairs: DataFrame, dim: int, epochs: int = 1, size: int = 64, rate:
                         loss, g = batch_loss(unit(matrix(f["anchor"])), unit(matrix(f["positive"])), shared.value, scale)
                         yield pd.DataFrame({"loss": [loss], "grad": [g.tobytes()]})
 
-            got = batched.where(F.col("batch").isin(chosen)).mapInPandas(run, schema).collect()
+            got = data.where(F.col("step") == k).mapInPandas(run, schema).collect()  # a gradient a batch of the step
             shared.unpersist()
-            w = w - rate * sum(np.frombuffer(r["grad"]).reshape(dim, dim) for r in got) / max(1, len(got))
-            curve.append((step, float(np.mean([r["loss"] for r in got]))))
-            step += 1
+            if got:
+                w = w - rate * sum(np.frombuffer(r["grad"]).reshape(dim, dim) for r in got) / len(got)
+                curve.append((at, float(np.mean([r["loss"] for r in got]))))
+                at += 1
     return w, spark.createDataFrame(curve, "step int, loss double")
 
 

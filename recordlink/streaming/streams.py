@@ -123,16 +123,28 @@ def stream_interval_join(a: DataFrame, b: DataFrame, on: str, within: str, water
 
 
 def collect_stream(df: DataFrame, name: str, mode: str = "append", state_store: bool = False) -> DataFrame:
-    """Run a stream over what is there into a memory table, and give the table."""
+    """Run a stream over what is there; give what it wrote, as Parquet in the shared folder, a folder an epoch.
+
+    A repeated epoch overwrites its own folder.  In ``complete`` mode each epoch is the whole result, and the last one counts.
+    """
     spark = df.sparkSession
     key = "spark.sql.streaming.stateStore.providerClass"
     before = spark.conf.get(key, None)
+    out, epochs = shared_folder(spark, name), []
+
+    def sink(batch: DataFrame, epoch: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/epoch={epoch}")
+        epochs.append(epoch)
+
     if state_store:
         spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
-        q = df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", shared_folder(spark, name)).trigger(availableNow=True).start()
+        q = df.writeStream.foreachBatch(sink).outputMode(mode).option("checkpointLocation", shared_folder(spark, f"{name}-progress")).trigger(availableNow=True).start()
         q.awaitTermination()
     finally:
         if state_store:
             spark.conf.set(key, before) if before else spark.conf.unset(key)
-    return spark.table(name)
+    if not epochs:
+        return spark.createDataFrame([], df.schema)
+    chosen = sorted(set(epochs)) if mode == "append" else [max(epochs)]
+    return spark.read.schema(df.schema).parquet(*[f"{out}/epoch={e}" for e in chosen])
