@@ -240,6 +240,7 @@ APPROXIMATE = {
     "ivf_forest": lambda q, r: G.CellIndex.fit(r, 8).query(q, 1, probes=6, inner="forest", trees=8, leaf=64),
     "forest": lambda q, r: G.Forest.fit(r).query(q, 1, probes=8),
     "lsh": lambda q, r: G.lsh_candidates(q, r, 1),
+    "hash": lambda q, r: G.HashIndex.fit(r).query(q, 1, probes=4),
     "density": lambda q, r: G.DensityIndex.fit(r, eps=1.15, min_pts=4).query(q, 1, probes=8),
 }
 
@@ -254,6 +255,7 @@ def approx_floor(s: SparkSession, d: str) -> DataFrame:
         one = M.index_recall(got, exact, (1,)).select(F.lit(m).alias("method"), (F.col("recall") >= 0.9).alias("reached")).join(got.agg(F.countDistinct("qid").alias("answered")))
         out = one if out is None else out.unionByName(one)
     return out
+query("hash_tables")(lambda s, d: G.HashIndex.fit(_vecs(s, d)[1]).query(_vecs(s, d)[0], 5))
 query("lsh_join")(lambda s, d: G.lsh_candidates(*_vecs(s, d), 5))
 
 
@@ -452,7 +454,7 @@ _LINKERS = {
     "ivf": ({"cells": 16, "probes": 4}, None),
     "ivf_forest": ({"cells": 16, "probes": 4, "inner": "forest"}, None),
     "forest": ({"trees": 6}, None),
-    "density": ({"eps": 0.55, "min_pts": 3}, None),
+    "density": ({"eps": 0.45, "min_pts": 3}, None),
     "lsh": ({}, None),
 }
 for _g, (_o, _sql) in _LINKERS.items():

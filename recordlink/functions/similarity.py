@@ -61,4 +61,4 @@ def register(spark: SparkSession) -> None:
     args = ", ".join(f"{s}{i} STRING" for s in "ab" for i in range(5))
     body = " + ".join(f"{w}D * field_similarity(a{i}, b{i})" for i, w in enumerate((0.40, 0.30, 0.15, 0.10, 0.05)))
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION composite_score({args}) RETURNS DOUBLE RETURN {body}")
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION serialize_record(email STRING, username STRING, domain STRING, servername STRING, status STRING) RETURNS STRING RETURN concat('email ', coalesce(email, ''), ', username ', coalesce(username, ''), ', domain ', coalesce(domain, ''), ', servername ', coalesce(servername, ''), ', status ', lower(coalesce(status, '')))")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION serialize_record(email STRING, username STRING, domain STRING, servername STRING, status STRING) RETURNS STRING RETURN concat_ws(' ', 'The username', nullif(username, ''), 'with email', nullif(email, ''), 'and domain', nullif(domain, ''), 'on', nullif(servername, ''), 'has', nullif(lower(status), ''), 'status.')")

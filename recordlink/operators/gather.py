@@ -423,21 +423,76 @@ def _route(df: DataFrame, id_col: str, trees: list[Tree], probes: int, keep: lis
     return spread(df.select(id_col, "vec", *keep), id_col).mapInPandas(run, schema)
 
 
+class HashIndex:
+    """Tables of codes: a bit is the side of a random plane, put at the median of a bounded sample, on which a vector lies.  Rows meet
+    a query where a table gives both the same code, or one that differs in the bits of the planes nearest to the query."""
+
+    def __init__(self, normals: np.ndarray, offsets: np.ndarray, ref: DataFrame, table: DataFrame) -> None:
+        self.normals, self.offsets, self.ref, self.table = normals, offsets, ref, table
+
+    @classmethod
+    def fit(cls, ref: DataFrame, tables: int = 8, bits: int | None = None, leaf: int = 64, seed: int = 7, sample: int = 20_000) -> HashIndex:
+        """``bits``: planes a table; by default as many as give codes of about ``leaf`` rows each."""
+        ref = once(ref.select("rid", "vec"))
+        x, n = sample_vectors(ref, sample, seed), ref.count()
+        bits = bits or int(np.clip(np.round(np.log2(max(2, n / leaf))), 1, 30))
+        normals = np.random.default_rng(seed).normal(size=(tables, bits, x.shape[1] if len(x) else 0)).astype(np.float32)
+        if normals.nbytes > MODEL_BYTES:
+            raise ValueError("the planes take more than MODEL_BYTES")
+        offsets = np.median(np.einsum("nd,tbd->ntb", x, normals), axis=0) if len(x) else np.zeros((tables, bits))
+        return cls(normals, offsets, ref, settle(_hashed(ref, "rid", normals, offsets, 1)))
+
+    def query(self, q: DataFrame, k: int = 5, probes: int = 3, metric: str = "cosine") -> DataFrame:
+        """A query that finds fewer than k rows so is searched exactly."""
+        _check(k)
+        q = once(q.select("qid", "vec"))
+        a, b, keys = _salted(_hashed(q, "qid", self.normals, self.offsets, probes), self.table, ["tree", "leaf"])
+        found = settle(merge_top(_cell_top(a, b, keys, k, metric), k))
+        return _filled(found, q, k, lambda rest: knn_exact(rest, self.ref, k, metric))
+
+
+def _hashed(df: DataFrame, id_col: str, normals: np.ndarray, offsets: np.ndarray, probes: int) -> DataFrame:
+    """(id, vec, tree, leaf): a row for each table and code."""
+    shared = df.sparkSession.sparkContext.broadcast((normals, offsets))  # at most MODEL_BYTES
+    schema = T.StructType([df.schema[id_col], df.schema["vec"], T.StructField("tree", T.IntegerType()), T.StructField("leaf", T.IntegerType())])
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        planes, at = shared.value
+        weight = 1 << np.arange(planes.shape[1])
+        for whole in frames:
+            for lo in range(0, len(whole), 2048):
+                f = whole.iloc[lo : lo + 2048]
+                x = unit(matrix(f["vec"]))
+                for t in range(len(planes)):
+                    side = x @ planes[t].T - at[t]
+                    code = (side > 0) @ weight
+                    near = np.argsort(np.abs(side), axis=1, kind="stable")[:, : probes - 1]
+                    codes = np.concatenate([code[:, None], code[:, None] ^ weight[near]], axis=1)
+                    take = np.repeat(np.arange(len(f)), codes.shape[1])
+                    yield pd.DataFrame({id_col: f[id_col].to_numpy()[take], "vec": f["vec"].to_numpy()[take], "tree": np.int32(t), "leaf": codes.ravel().astype(np.int32)})
+
+    return spread(df.select(id_col, "vec"), id_col).mapInPandas(run, schema)
+
+
 def lsh_candidates(q: DataFrame, ref: DataFrame, k: int = 5, bucket: float = 0.5, tables: int = 8, reach: float = 1.2, seed: int = 7) -> DataFrame:
-    """Spark ML's random-projection hashing: pairs within ``reach`` that share a bucket in some table, re-ranked by cosine.
+    """Spark ML's random-projection hashing: pairs within ``reach`` that share a bucket in some table, the nearest re-ranked by cosine.
 
-    A query that finds fewer than k so is searched exactly.
+    A query that finds fewer than k so is searched exactly.  Spark's join carries both vectors of every pair that meets, and its
+    buckets get wide against distances in many dimensions: HashIndex is the one for large tables.
     """
     from pyspark.ml.feature import BucketedRandomProjectionLSH
     from pyspark.ml.functions import array_to_vector
 
     _check(k)
+    ref = once(ref.select("rid", "vec"))
     size = F.sqrt(dot(F.col("vec"), F.col("vec")))
     scaled = F.transform("vec", lambda x: F.when(size > 0, x / size).otherwise(0.0).cast("double"))
     norm = lambda df, i: df.select(i, array_to_vector(scaled).alias("features"))
     model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=bucket, numHashTables=tables, seed=seed).fit(norm(ref, "rid"))
-    pairs = model.approxSimilarityJoin(norm(q, "qid"), norm(ref, "rid"), reach, "d")
-    found = settle(rerank(pairs.select(F.col("datasetA.qid").alias("qid"), F.col("datasetB.rid").alias("rid")), q, ref, k))
+    met = model.approxSimilarityJoin(norm(q, "qid"), norm(ref, "rid"), reach, "d").select(F.col("datasetA.qid").alias("qid"), F.col("datasetB.rid").alias("rid"), "d")
+    # Distances of unit vectors fall as cosines rise: only the nearest, with room for rounding, need the exact figure.
+    first = met.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("d", "rid"))).where(F.col("r") <= 2 * k)
+    found = settle(rerank(first.select("qid", "rid"), q, ref, k))
     return _filled(found, q, k, lambda rest: knn_exact(rest, ref, k))
 
 
@@ -524,9 +579,20 @@ def eps_pairs(ref: DataFrame, eps: float, pivots: int = 16, seed: int = 7) -> Da
 
 
 def rerank(cands: DataFrame, q: DataFrame, ref: DataFrame, k: int = 5, metric: str = "cosine") -> DataFrame:
-    """Exact similarities over given pairs, then the k best."""
+    """Exact similarities over given pairs, in blocks, then the k best."""
     pairs = cands.select("qid", "rid").distinct().join(ref.select("rid", F.col("vec").alias("rv")), "rid").join(q.select("qid", F.col("vec").alias("qv")), "qid")
-    return rank_top(pairs.select("qid", "rid", F.round(similarity(F.col("qv"), F.col("rv"), metric), 9).alias("sim")), k)
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for whole in frames:
+            for lo in range(0, len(whole), 2048):
+                f = whole.iloc[lo : lo + 2048]
+                a, b = matrix(f["qv"]), matrix(f["rv"])
+                if metric == "cosine":
+                    a, b = unit(a), unit(b)
+                s = -np.linalg.norm(a - b, axis=1) if metric == "euclidean" else np.einsum("ij,ij->i", a, b)
+                yield pd.DataFrame({"qid": f["qid"], "rid": f["rid"], "sim": np.round(s, 9)})
+
+    return rank_top(pairs.select("qid", "rid", "qv", "rv").mapInPandas(run, "qid long, rid long, sim double"), k)
 
 
 def union_candidates(*cands: DataFrame) -> DataFrame:

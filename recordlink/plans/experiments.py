@@ -32,7 +32,7 @@ METHODS = {
     "knn": {"gatherer": "knn"},
     "pruned": {"gatherer": "pruned", "options": {"pivots": 32}},
     "forest": {"gatherer": "forest", "options": {"trees": 10, "leaf": 64, "probes": 1}},
-    "density_ann": {"gatherer": "density", "options": {"eps": 0.55, "min_pts": 3, "pivots": 16}},
+    "density_ann": {"gatherer": "density", "options": {"eps": 0.45, "min_pts": 3, "pivots": 16}},
     "lsh": {"gatherer": "lsh"},
     "brute_cosine": {"gatherer": "brute_cosine"},
     "brute_score": {"gatherer": "brute_score"},
@@ -258,7 +258,7 @@ def w10_transfer(spark: SparkSession, sf_dir: str) -> DataFrame:
     q, r = settle(X.planted_vectors(spark, sf_dir)), read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("rid"), "embedding")
     r = r.withColumnRenamed("embedding", "vec")
     exact = settle(G.knn_exact(q, r, 10))
-    made = {"pruned": G.PivotIndex.fit(r).query(q, 10), "ivf": G.CellIndex.fit(r, 16).query(q, 10, probes=4), "forest": G.Forest.fit(r).query(q, 10), "lsh": G.lsh_candidates(q, r, 10)}
+    made = {"pruned": G.PivotIndex.fit(r).query(q, 10), "ivf": G.CellIndex.fit(r, 16).query(q, 10, probes=4), "forest": G.Forest.fit(r).query(q, 10), "lsh": G.lsh_candidates(q, r, 10), "hash": G.HashIndex.fit(r).query(q, 10)}
     rows = [("w10", "knn", "planted", x["k"], "recall", float(x["recall"])) for x in M.recall_at_k(exact, q, (1, 5, 10)).collect()]
     for m, c in made.items():
         c = settle(c)

@@ -74,6 +74,7 @@ class Linker:
             "pruned": (G.PivotIndex, ("pivots", "seed", "sample")),
             "forest": (G.Forest, ("trees", "leaf", "seed", "sample", "least")),
             "ivf": (G.CellIndex, ("cells", "seed", "sample")),
+            "lsh": (G.HashIndex, ("tables", "bits", "leaf", "seed", "sample")),
             "density": (G.DensityIndex, ("eps", "min_pts", "pivots", "seed")),
         }
         if name in kinds:
@@ -98,8 +99,6 @@ class Linker:
             return G.knn_exact(q, self.vectors, self.k)
         if name == "brute_cosine":
             return G.brute_cosine(q, self.vectors, self.k)
-        if name == "lsh":
-            return G.lsh_candidates(q, self.vectors, self.k, **{k: v for k, v in o.items() if k in ("bucket", "tables", "reach")})
         if name == "pruned":
             return self.index.query(q, self.k)
         inside = ("trees", "leaf") if o.get("inner") == "forest" or name == "density" else ()

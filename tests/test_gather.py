@@ -55,7 +55,7 @@ def test_ties_and_small_references(spark):
 def test_approximate_gatherers_find_most_and_only_exact_sims(both):
     q, r = both
     exact = {(a, c) for a, _, c in rows(G.knn_exact(q, r, 5))}
-    for cands in (G.DensityIndex.fit(r, 0.6, 3, pivots=5).query(q, 5), G.Forest.fit(r, trees=10, leaf=40).query(q, 5, probes=4), G.CellIndex.fit(r, 8).query(q, 5, probes=4), G.CellIndex.fit(r, 4).query(q, 5, probes=2, inner="forest", trees=6, leaf=40), G.lsh_candidates(q, r, 5, bucket=1.0, reach=2.0)):
+    for cands in (G.DensityIndex.fit(r, 0.6, 3, pivots=5).query(q, 5), G.Forest.fit(r, trees=10, leaf=40).query(q, 5, probes=4), G.CellIndex.fit(r, 8).query(q, 5, probes=4), G.CellIndex.fit(r, 4).query(q, 5, probes=2, inner="forest", trees=6, leaf=40), G.lsh_candidates(q, r, 5, bucket=1.0, reach=2.0), G.HashIndex.fit(r, leaf=40).query(q, 5)):
         got = {(a, c) for a, _, c in rows(cands)}
         assert len(got & exact) >= 0.6 * len(exact) and cands.count() == 5 * 80
 
@@ -123,6 +123,50 @@ def test_pretrained_encoder_contract(spark):
         PretrainedEncoder(dim=4, session=Fake).encode(df, "rid").collect()
 
 
+def _field(number, payload):
+    """A protobuf field: a number, or bytes with their length."""
+
+    def varint(n):
+        out = b""
+        while True:
+            out += bytes([n & 127 | (128 if n > 127 else 0)])
+            n >>= 7
+            if not n:
+                return out
+
+    return varint(number << 3) + varint(payload) if isinstance(payload, int) else varint(number << 3 | 2) + varint(len(payload)) + payload
+
+
+def tiny_model(table):
+    """An ONNX model of one node: the rows of an embedding table for (batch, length) token ids."""
+    dims = lambda *names: b"".join(_field(1, _field(2, n) if isinstance(n, bytes) else _field(1, n)) for n in names)
+    value = lambda name, kind, *names: _field(1, name) + _field(2, _field(1, _field(1, kind) + _field(2, dims(*names))))
+    weights = _field(1, table.shape[0]) + _field(1, table.shape[1]) + _field(2, 1) + _field(8, b"table") + _field(9, table.astype("<f4").tobytes())
+    node = _field(1, b"table") + _field(1, b"input_ids") + _field(2, b"hidden") + _field(4, b"Gather")
+    graph = _field(1, node) + _field(2, b"g") + _field(5, weights) + _field(11, value(b"input_ids", 7, b"n", b"t")) + _field(12, value(b"hidden", 1, b"n", b"t", table.shape[1]))
+    return _field(1, 8) + _field(7, graph) + _field(8, _field(2, 13))
+
+
+def test_a_real_model_file(spark, tmp_path):
+    """A small ONNX file and its tokenizer, through the runtime: mean-pooled token vectors at unit length, cut at max_tokens."""
+    tokenizers = pytest.importorskip("tokenizers")
+    pytest.importorskip("onnxruntime")
+    vocab = {"[PAD]": 0, "[UNK]": 1, "ada": 2, "love": 3, "bob": 4}
+    table = np.random.default_rng(1).normal(size=(5, 6)).astype(np.float32)
+    (tmp_path / "m.onnx").write_bytes(tiny_model(table))
+    t = tokenizers.Tokenizer(tokenizers.models.WordLevel(vocab, unk_token="[UNK]"))
+    t.pre_tokenizer = tokenizers.pre_tokenizers.Whitespace()
+    t.save(str(tmp_path / "t.json"))
+    texts = ["ada love", "bob", "zzz ada ada", "love bob ada ada ada", None]
+    df = spark.createDataFrame(list(enumerate(texts)), "rid long, sentence string")
+    e = PretrainedEncoder(str(tmp_path / "m.onnx"), str(tmp_path / "t.json"), dim=6, max_tokens=3)
+    got = {r["rid"]: np.array(r["vec"]) for r in e.encode(df, "rid").collect()}
+    for i, x in enumerate(texts):
+        own = [vocab.get(w, 1) for w in (x or "").split()][:3]
+        mean = table[own].mean(0) if own else np.zeros(6)
+        assert np.allclose(got[i], mean / max(np.linalg.norm(mean), 1e-12), atol=1e-6)
+
+
 def test_projection_store_and_quantization(spark, tmp_path):
     df = spark.createDataFrame([(1, "ada love"), (2, "bob")], "rid long, sentence string")
     base = HashedNgramEncoder(32)
@@ -198,6 +242,27 @@ def test_broadcast_models_have_a_bound(spark, monkeypatch):
         G.Forest.fit(vecs(spark, X, "rid"), trees=2, leaf=8)
 
 
+def test_rerank_gives_exact_similarities(both):
+    q, r = both
+    for metric in ("cosine", "dot", "euclidean"):
+        want = {(x["qid"], x["rid"]): x["sim"] for x in G.knn_exact(q, r, 4, metric).collect()}
+        again = {(x["qid"], x["rid"]): x["sim"] for x in G.rerank(G.knn_exact(q, r, 9, metric), q, r, 4, metric).collect()}
+        assert want.keys() == again.keys() and all(abs(want[k] - again[k]) < 1e-6 for k in want)
+
+
+def test_passages_and_copies(spark):
+    from recordlink.operators.relational import containing, exact_copies
+
+    texts = ["a b c d e f g h", "xx one two three four five six seven yy", "one two three four five six seven", "three four fiv", None, "a  b c d", "q a b c d e f g hq", ""]
+    passages = ["one two three four five six seven", "b c d e f g", "e four", "two three four", "a b", "z", " c d e ", "nowhere at all in these texts"]
+    t = spark.createDataFrame(list(enumerate(texts)), "i long, text string")
+    p = spark.createDataFrame(list(enumerate(passages)), "j long, passage string")
+    want = sorted((i, j) for i, x in enumerate(texts) for j, y in enumerate(passages) if x is not None and y in x)
+    assert sorted((r["i"], r["j"]) for r in containing(t, p, "text", "passage").collect()) == want and len(want) >= 8
+    c = exact_copies(spark.createDataFrame([(3, "x"), (1, "x"), (2, "y"), (5, None), (6, None)], "i long, text string"), "i", "text")
+    assert sorted(map(tuple, c.collect())) == [(1, 1, 2), (3, 1, 2)]
+
+
 def test_joint_query_never_matches_blanks(spark):
     cols = "long, email string, username string, domain string, servername string, status string"
     q = spark.createDataFrame([(1, "", "u", "d", "s", "A"), (2, None, "", "", "", "")], f"qid {cols}")
