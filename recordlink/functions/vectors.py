@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -38,6 +39,22 @@ def matrix(column: pd.Series, dim: int | None = None) -> np.ndarray:
     return np.stack(column.to_numpy()).astype(np.float64)
 
 
+def arrow_matrix(column: pa.Array | pa.ChunkedArray) -> np.ndarray:
+    """A block of vectors of one length, as Arrow lists, in double precision."""
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    n = len(column)
+    flat = column.flatten().to_numpy(zero_copy_only=False)
+    return flat.reshape(n, len(flat) // n if n else 0).astype(np.float64)
+
+
+def vectors_of(x: np.ndarray) -> pa.Array:
+    """Rows as Arrow lists in single precision, without nulls."""
+    flat = np.ascontiguousarray(x, dtype=np.float32).ravel()
+    offsets = np.arange(len(x) + 1, dtype=np.int32) * (x.shape[1] if len(x) else 0)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat), type=pa.list_(pa.field("element", pa.float32(), nullable=False)))
+
+
 def unit(x: np.ndarray) -> np.ndarray:
     n = np.linalg.norm(x, axis=1, keepdims=True)
     return x / np.where(n > 0, n, 1)

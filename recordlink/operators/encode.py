@@ -9,11 +9,12 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.vectors import matrix, unit
+from ..functions.vectors import matrix, unit, vectors_of
 from ..sources.shared import settle
 
 VECTOR = T.ArrayType(T.FloatType(), False)
@@ -98,13 +99,13 @@ def encode_blocks(df: DataFrame, id_col: str, text: str, out: str, block, *state
     """Apply ``block(list of texts, *state) -> matrix`` to Arrow batches; each task has a copy of ``state`` of its own."""
     schema = T.StructType([df.schema[id_col], T.StructField(out, VECTOR)])
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for f in frames:
-            for lo in range(0, len(f), 2048):  # a Python task's memory cannot spill
-                part = f.iloc[lo : lo + 2048]
-                yield pd.DataFrame({id_col: part[id_col], out: list(block(part[text].tolist(), *state).astype(np.float32))})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 2048):  # a Python task's memory cannot spill
+                part = whole.slice(lo, 2048)
+                yield pa.RecordBatch.from_arrays([part.column(0), vectors_of(block(part.column(1).to_pylist(), *state))], names=[id_col, out])
 
-    return df.select(id_col, text).mapInPandas(run, schema)
+    return df.select(id_col, text).mapInArrow(run, schema)
 
 
 class TfidfEncoder:

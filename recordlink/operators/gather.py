@@ -9,11 +9,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.vectors import block_similarity, block_top, dot, matrix, similarity, unit
+from ..functions.vectors import arrow_matrix, block_similarity, block_top, dot, matrix, similarity, unit
 from ..sources.shared import settle
 from .graph import connected
 
@@ -76,19 +77,21 @@ def spread(df: DataFrame, by: str) -> DataFrame:
 
 
 def _knn_broadcast(q: DataFrame, ref: DataFrame, k: int, metric: str, exclude_self: bool) -> DataFrame:
-    rows = ref.select("rid", "vec").toPandas()
-    shared = q.sparkSession.sparkContext.broadcast((rows["rid"].to_numpy(np.int64), matrix(rows["vec"])))
+    rows = ref.select("rid", "vec").toArrow()
+    shared = q.sparkSession.sparkContext.broadcast((rows["rid"].to_numpy().astype(np.int64), arrow_matrix(rows["vec"])))
 
-    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rid, r = shared.value
-        for f in frames:
-            for lo in range(0, len(f), 1024):
-                part = f.iloc[lo : lo + 1024]
-                if len(rid):
-                    s = block_similarity(matrix(part["vec"]), r, metric)
-                    yield _frame(block_top(part["qid"].to_numpy(np.int64), rid, s, k, exclude_self))
-
-    return spread(q.select("qid", "vec"), "qid").mapInPandas(run, CANDS)
+        y = unit(r) if metric == "cosine" else r  # once a task, not once a block
+        for whole in batches:
+            for lo in range(0, whole.num_rows if len(rid) else 0, 1024):
+                part = whole.slice(lo, 1024)
+                x = arrow_matrix(part.column(1))
+                s = np.round(unit(x) @ y.T, 9) if metric == "cosine" else block_similarity(x, y, metric)
+                got = block_top(part.column(0).to_numpy().astype(np.int64), rid, s, k, exclude_self)
+                yield pa.RecordBatch.from_arrays([pa.array(c) for c in got], names=["qid", "rid", "rank", "sim"])
+
+    return spread(q.select(F.col("qid").cast("long").alias("qid"), "vec"), "qid").mapInArrow(run, CANDS)
 
 
 def _frame(cols: tuple[np.ndarray, ...]) -> pd.DataFrame:
