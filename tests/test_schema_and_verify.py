@@ -118,4 +118,4 @@ def test_sentences(spark):
 def test_sql_functions(spark):
     register(spark)
     row = spark.sql("SELECT field_similarity('kitten', 'sitting') AS s, composite_score('a','b','c','d','e','a','b','c','d','x') AS c, serialize_record('', 'u', 'd', 's', 'Active') AS t").first()
-    assert abs(row["s"] - 4 / 7) < 1e-12 and abs(row["c"] - 0.95) < 1e-12 and row["t"] == "email , username u, domain d, servername s, status active"
+    assert abs(row["s"] - 4 / 7) < 1e-12 and abs(row["c"] - 0.95) < 1e-12 and row["t"] == "The username u with email and domain d on s has active status."
