@@ -16,7 +16,7 @@ from .functions.vectors import cosine
 from .operators import gather as G
 from .operators import relational as R
 from .operators.encode import HashedNgramEncoder, TfidfEncoder
-from .operators.lexical import brute_score, edit_join, joint_query, lexical_search
+from .operators.lexical import brute_score, edit_join, joint_query, lexical_search, minhash_search
 from .operators.serialize import serialize_generic, serialize_records, serialize_values
 from .operators.tag import audit, tag_pairs
 from .operators.verify import attach_fields, composite_score, explain_pair, mutual_best, select_best, select_nearest
@@ -334,6 +334,19 @@ for _scorer in ("bm25", "tfidf", "overlap", "trigram"):
 _DOCS = "srv AS (SELECT item_id AS qid, text FROM benchmark), ref AS (SELECT doc_id AS rid, text FROM documents)"
 
 
+_BANDS = ", ".join(f"'{t}:' || " + " || ".join(f"list_min(list_transform(w, lambda x: substr(md5('{t}:' || x), {i * 8 + 1}, 8)))" for i in range(4)) for t in range(24))
+
+
+def _bands_sql(source: str, i: str, name: str) -> str:
+    return f"{name} AS MATERIALIZED (SELECT {i}, w, unnest([{_BANDS}]) AS band FROM (SELECT {i}, list_distinct(list_filter(regexp_split_to_array({VALUES}, '[^a-z0-9]+'), lambda x: x <> '')) AS w FROM {source}) WHERE len(w) > 0)"
+
+
+query(
+    "minhash_words",
+    f"WITH {BOTH}, {_bands_sql('srv', 'qid', 'qb')}, {_bands_sql('ref', 'rid', 'rb')}, met AS (SELECT DISTINCT qid, rid, qb.w AS a, rb.w AS b FROM qb JOIN rb USING (band)), sims AS (SELECT qid, rid, round(len(list_intersect(a, b))::DOUBLE / (len(a) + len(b) - len(list_intersect(a, b))), 9) AS sim FROM met), {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn",
+)(lambda s, d: _six(minhash_search(serialize_values(_srv(s, d), USER), serialize_values(_ref(s, d), USER), 5)))
+
+
 @query("bench_lexical_docs", f"WITH {_DOCS}, {_lex_ctes('bm25', 'text')}, {_knn_sql(5)} SELECT qid, rid, rank, round(sim, 9) AS sim FROM knn")
 def bench_lexical(s: SparkSession, d: str) -> DataFrame:
     """Benchmark passages as queries against whole documents, by BM25."""
@@ -385,7 +398,23 @@ for _norm in ("maxlen", "sumlen", "metric"):
     query(f"sim_{_norm}", f"WITH {BOTH} SELECT qid, {', '.join(f'round({_sim_sql(f's.{n}', f'r.{n}', _norm)}, 6) AS {n}' for n in FIELDS)} {_TRUE}")(
         lambda s, d, norm=_norm: _true_pairs(s, d).select("qid", *_each(lambda a, b: F.round(field_similarity(a, b, norm), 6)))
     )
-query("sim_indel")(lambda s, d: _true_pairs(s, d).select("qid", *_each(lambda a, b: F.round(field_similarity(a, b, "indel"), 6))))
+
+
+def _lcs_sql(a: str, b: str) -> str:
+    """Row by row over a's characters: the best of a row's cells up to each column, kept as a running maximum."""
+    hits = f"list_transform(string_split({a}, ''), lambda c: list_transform(string_split({b}, ''), lambda e: (e = c)::BIGINT))"
+    cells = "list_transform(hit, lambda h, j: greatest(CASE WHEN h = 1 THEN 1 + coalesce(row[j - 1], 0) ELSE 0 END, row[j]))"
+    step = f"list_reduce({hits}, lambda row, hit: list_transform(range(1, len(hit) + 1), lambda i: list_max({cells}[1:i])), list_transform(string_split({b}, ''), lambda e: 0::BIGINT))"
+    return f"CASE WHEN {a} = '' OR {b} = '' THEN 0 ELSE list_max({step}) END"
+
+
+def _indel_sql(a: str, b: str) -> str:
+    return f"CASE WHEN {a} = '' AND {b} = '' THEN 1 ELSE 2 * ({_lcs_sql(a, b)})::DOUBLE / (length({a}) + length({b})) END"
+
+
+query("sim_indel", f"WITH {BOTH} SELECT qid, {', '.join(f'round({_indel_sql(f's.{n}', f'r.{n}')}, 6) AS {n}' for n in FIELDS)} {_TRUE}")(
+    lambda s, d: _true_pairs(s, d).select("qid", *_each(lambda a, b: F.round(field_similarity(a, b, "indel"), 6)))
+)
 
 _SCORE = "SELECT qid, rid, round(score, 9) AS score FROM scored"
 

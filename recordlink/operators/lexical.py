@@ -67,6 +67,27 @@ def lexical_search(q: DataFrame, ref: DataFrame, k: int = 5, scorer: str = "bm25
     return rank_top(dots.join(qn, "qid").join(rn, "rid").select("qid", "rid", F.round(F.col("d") / (F.col("qn") * F.col("rn")), 9).alias("sim")), k)
 
 
+def _bands(sentences: DataFrame, i: str, text: str, tables: int, rows: int) -> tuple[DataFrame, DataFrame]:
+    """(id and distinct words, id and band): a band joins the least hashes of the words under ``rows`` functions, four to an md5."""
+    sets = once(sentences.select(i, F.array_distinct(words(F.col(text))).alias("w")).where(F.size("w") > 0))
+    least = lambda n: F.array_min(F.transform("w", lambda x: F.substring(F.md5(F.concat(F.lit(f"{n // 4}:"), x).cast("binary")), n % 4 * 8 + 1, 8)))
+    bands = [F.concat(F.lit(f"{t}:"), *[least(t * rows + j) for j in range(rows)]) for t in range(tables)]
+    return sets, once(sets.select(i, F.explode(F.array(*bands)).alias("band")))
+
+
+def minhash_search(q: DataFrame, ref: DataFrame, k: int = 5, tables: int = 24, rows: int = 4, text: str = "sentence") -> DataFrame:
+    """The k reference sentences of highest Jaccard similarity of words among those that share a MinHash band with the query.
+
+    A pair of similarity j shares one of the ``tables`` bands of ``rows`` hashes with probability 1 - (1 - j^rows)^tables: 0.99 at
+    two thirds for the defaults.  Words that all sentences have (a template's) make all alike: pass the values alone.  Sentences without words match nothing; a query that shares no band has no row.
+    """
+    (qs, qb), (rs, rb) = _bands(q, "qid", text, tables, rows), _bands(ref, "rid", text, tables, rows)
+    met = pairs_by_key(qb, rb, "band").select("qid", "rid").distinct()
+    both = met.join(qs.withColumnRenamed("w", "a"), "qid").join(rs.withColumnRenamed("w", "b"), "rid")
+    common = F.size(F.array_intersect("a", "b")).cast("double")
+    return rank_top(both.select("qid", "rid", F.round(common / (F.size("a") + F.size("b") - common), 9).alias("sim")), k)
+
+
 def joint_query(q: DataFrame, ref: DataFrame, keys: tuple[str, ...] = ("email", "username", "domain", "servername", "status"), mode: str = "all", k: int | None = None, steps: tuple[tuple[str, ...], ...] = (("email",), ("username", "domain"), ("domain", "servername"))) -> DataFrame:
     """Candidates by equal fields: hash joins only, blanks never match.
 

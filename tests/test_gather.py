@@ -8,7 +8,7 @@ from recordlink.functions.vectors import block_similarity, block_top
 from recordlink.operators import gather as G
 from recordlink.operators.encode import HashedNgramEncoder, PretrainedEncoder, ProjectedEncoder, TfidfEncoder, quantize_int8, save_index
 from recordlink.operators.graph import connected
-from recordlink.operators.lexical import edit_join, joint_query
+from recordlink.operators.lexical import edit_join, joint_query, minhash_search
 
 RNG = np.random.default_rng(4)
 X = RNG.normal(size=(300, 16))
@@ -270,3 +270,14 @@ def test_joint_query_never_matches_blanks(spark):
     assert joint_query(q, r, mode="all").count() == 0
     assert rows(joint_query(q, r, mode="any")) == [(1, 1, 7)]
     assert rows(joint_query(q, r, mode="ladder")) == [(1, 1, 7)]
+
+
+def test_minhash_finds_similar_word_sets_and_no_blanks(spark):
+    rng = np.random.default_rng(3)
+    base = [{f"w{x}" for x in rng.choice(400, 12, replace=False)} for _ in range(60)]
+    near = [set(list(s)[:-2]) | {f"z{i}"} for i, s in enumerate(base)]  # ten of thirteen words in common
+    q = spark.createDataFrame([(i, " ".join(s)) for i, s in enumerate(near)] + [(900, None), (901, " ,. ")], "qid long, sentence string")
+    r = spark.createDataFrame([(i, " ".join(s)) for i, s in enumerate(base)] + [(900, ""), (901, None)], "rid long, sentence string")
+    got = {x["qid"]: (x["rid"], x["sim"]) for x in minhash_search(q, r, 1).collect()}
+    assert got == {i: (i, round(10 / 13, 9)) for i in range(60)}
+    assert minhash_search(q, r.where("false"), 2).count() == 0
