@@ -742,6 +742,7 @@ query("w1_approximate")(lambda s, d: E.w1_recall(s, d, ("kmeans_ann", "forest",
 query("w2_frozen", f"{_HEAVY}, held AS (SELECT qid, truth_rid FROM srv WHERE NOT train AND truth_rid IS NOT NULL), ks AS (SELECT unnest([1, 5, 10, 20, 50])::INT AS k) SELECT 'w2' AS workload, 'knn' AS method, 'frozen' AS variant, ks.k, 'recall' AS measure, round(count(*) FILTER (knn.rank <= ks.k) / count(*)::DOUBLE, 6) AS value FROM held CROSS JOIN ks LEFT JOIN knn ON knn.qid = held.qid AND knn.rid = held.truth_rid GROUP BY ks.k")(
     lambda s, d: E.w2_frozen(s, d, ENCODER)
 )
+query("w4_learned")(lambda s, d: E.w4_learned(s, d, ENCODER))
 query("w2_finetune")(lambda s, d: E.w2_finetune(s, d))
 
 

@@ -162,6 +162,18 @@ def w4_verify(spark: SparkSession, sf_dir: str, encoder=None) -> DataFrame:
     return _table(spark, rows)
 
 
+def w4_learned(spark: SparkSession, sf_dir: str, encoder=None) -> DataFrame:
+    """Held-out queries of the heavy workload, verified by the weighted mean and by a net trained on the other half's candidates."""
+    q, r = _workload(spark, sf_dir)
+    e = encoder or HashedNgramEncoder()
+    cands = settle(G.knn_exact(e.encode(serialize_records(q, USER), "qid"), e.encode(serialize_records(r, USER), "rid"), 5))
+    pairs, held = settle(attach_fields(cands, q, r, USER)), q.where("not train")
+    net = TR.LearnedSimilarity.fit(pairs.join(q.where("train").select("qid"), "qid", "left_semi"), q.where("train"), USER)
+    own = pairs.join(held.select("qid"), "qid", "left_semi")
+    made = {"weighted": select_best(composite_score(own, USER)), "learned": select_best(net.score(own))}
+    return _table(spark, [("w4", name, "held-out", 5, n, v) for name, links in made.items() for n, v in _judge(links, held).items()])
+
+
 def w5_cost(spark: SparkSession, sf_dir: str, encoder=None) -> DataFrame:
     """The cost model at the workload's size beside the pairs that the search left to verify."""
     q, r = _workload(spark, sf_dir)

@@ -10,12 +10,13 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..functions.similarity import field_similarity
 from ..functions.vectors import cosine, matrix, unit
 from ..operators.gather import brute_cosine
 from ..operators.tag import tag_pairs
 from ..operators.verify import attach_fields, composite_score, select_best
 from ..schema import RecordSchema
-from ..sources.shared import shared_folder
+from ..sources.shared import settle, shared_folder
 
 
 def exhaustive_pairs(q: DataFrame, ref: DataFrame, threshold: float = 0.8) -> DataFrame:
@@ -142,3 +143,41 @@ def learned_weights(scored: DataFrame, truth: DataFrame, schema: RecordSchema) -
     c = np.maximum(model.coefficients.toArray(), 0)
     c = c / c.sum() if c.sum() > 0 else np.full(len(c), 1 / len(c))
     return {n: float(x) for n, x in zip(schema.names, c, strict=True)}
+
+
+class LearnedSimilarity:
+    """A small net over the fields' similarities of a pair, the same for both orders of its sides, in place of the weighted mean."""
+
+    def __init__(self, model, schema: RecordSchema) -> None:
+        self.model, self.schema = model, schema
+
+    @classmethod
+    def fit(cls, pairs: DataFrame, truth: DataFrame, schema: RecordSchema, hidden: int = 8, seed: int = 7) -> LearnedSimilarity:
+        """From candidate pairs with both sides' fields (attach_fields); those that ``truth`` names are true, all others of its
+        queries false.  There must be some of both."""
+        from pyspark.ml.classification import MultilayerPerceptronClassifier
+
+        named = truth.select("qid", "truth_rid")
+        rows = settle(cls._features(pairs.join(named, "qid"), schema).withColumn("label", F.coalesce(F.col("rid") == F.col("truth_rid"), F.lit(False)).cast("double")).select("features", "label"))
+        if rows.select("label").distinct().count() < 2:
+            raise ValueError("true and false pairs are needed")
+        net = MultilayerPerceptronClassifier(layers=[4 * len(schema.names), hidden, 2], maxIter=60, seed=seed)
+        return cls(net.fit(rows), schema)
+
+    @staticmethod
+    def _features(pairs: DataFrame, schema: RecordSchema) -> DataFrame:
+        """By field: similarity under two norms, equality, and whether both sides have a value."""
+        from pyspark.ml.functions import array_to_vector
+
+        each = []
+        for n in schema.names:
+            a, b = (schema[n].normal(F.coalesce(F.col(f"{side}_{n}"), F.lit(""))) for side in "qr")
+            each += [field_similarity(a, b), field_similarity(a, b, "metric"), (a == b).cast("double"), ((a != "") & (b != "")).cast("double")]
+        return pairs.withColumn("features", array_to_vector(F.array(*each)))
+
+    def score(self, pairs: DataFrame) -> DataFrame:
+        """``pairs`` with ``score``, the net's probability that they are true."""
+        from pyspark.ml.functions import vector_to_array
+
+        done = self.model.transform(self._features(pairs, self.schema))
+        return done.withColumn("score", vector_to_array("probability")[1]).select(*[c for c in pairs.columns if c != "score"], "score")

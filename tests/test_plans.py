@@ -5,6 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from recordlink.operators.encode import HashedNgramEncoder
+from recordlink.operators.verify import attach_fields, select_best
 from recordlink.plans import experiments as E
 from recordlink.plans import measures as M
 from recordlink.plans import truth as TR
@@ -112,6 +113,24 @@ def test_learned_weights_sum_to_one(users):
     USER.with_weights(w)
 
 
+def test_learned_similarity(spark, users):
+    q, r = users
+    linker = Linker(USER, HashedNgramEncoder(128), sentence="values").fit(r)
+    pairs = attach_fields(linker.gather(q), q, r, USER)
+    net = TR.LearnedSimilarity.fit(pairs, q, USER)
+    scored = net.score(pairs)
+    assert scored.columns == [*pairs.columns, "score"] and scored.where("score not between 0 and 1").count() == 0
+    best = select_best(scored).join(q.where("truth_rid is not null").select("qid", "truth_rid"), "qid")
+    assert best.where("rid = truth_rid").count() >= 0.9 * best.count() > 0
+    swapped = pairs.select("qid", "rid", *[F.col(f"{'r' if s == 'q' else 'q'}_{n}").alias(f"{s}_{n}") for n in USER.names for s in "qr"])
+    a, b = ({(x["qid"], x["rid"]): x["score"] for x in net.score(p).collect()} for p in (pairs, swapped))
+    assert all(abs(a[k] - b[k]) < 1e-9 for k in a)
+    blank = spark.createDataFrame([(1, 2, *[None] * 10)], "qid long, rid long, " + ", ".join(f"{s}_{n} string" for n in USER.names for s in "qr"))
+    assert net.score(blank).count() == 1 and net.score(blank.where("false")).count() == 0
+    with pytest.raises(ValueError):
+        TR.LearnedSimilarity.fit(pairs.where("false"), q, USER)
+
+
 def test_small_experiments(spark, sf_dir):
     w1 = {(r["method"], r["measure"]): r["value"] for r in E.w1_retrieval(spark, sf_dir, ("joint", "knn", "lexical")).collect()}
     approximate = {(r["method"], r["measure"]): r["value"] for r in E.w1_recall(spark, sf_dir, ("kmeans_ann", "forest", "density_ann", "lsh")).collect()}
