@@ -42,8 +42,11 @@ def chunks(batch: pa.RecordBatch, text_col: str = "text", limit: int = CHUNK_BYT
 
 
 def texts(column: pa.Array) -> pa.Array:
-    """The texts as large strings, null as empty."""
-    return pc.fill_null(column.cast(pa.large_string()), "")
+    """The texts as large strings, null as empty.
+
+    A slice is copied first: Arrow's cast of one keeps its offset over a buffer of new offsets, and ``ascii_lower`` then reads beside it.
+    """
+    return pc.fill_null(pa.concat_arrays([column]).cast(pa.large_string()), "")
 
 
 def text_bytes(column: pa.Array) -> list[bytes]:

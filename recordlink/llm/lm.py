@@ -358,7 +358,7 @@ class TrieModel:
         spark = df.sparkSession
         self.train, self.id_col, self.text_col = train, id_col, text_col
         self.folder = common.shared_folder(spark, "lm")
-        src = df.select(F.col(id_col).alias("id"), F.col(text_col).cast("string").alias("text"))
+        src = df.select(F.col(id_col).cast("string").alias("id"), F.col(text_col).cast("string").alias("text"))
         runs = self._count_words(src, shard_tokens)
         if self.words_total + 2 >> 32:
             raise ValueError("more than 2^32 words: their ids would not fit")

@@ -169,6 +169,26 @@ def test_empty_table(none):
     assert got["n_tokens"].tolist() == [3, 1] and np.isfinite(got["score"]).all()
 
 
+def test_chunks_behind_the_first_are_scored_from_their_own_words(spark):
+    """A task cuts its rows at so many bytes; each slice gives what its rows give alone."""
+    rows = [(i, f"Word{i % 7} NEXT{i % 5} \u00c9t\u00e9 " * (i % 4 + 1)) for i in range(60)]
+    parts = list(lm.common.chunks(pa.RecordBatch.from_pylist([{"text": t} for _, t in rows]), limit=300))
+    assert len(parts) > 5
+    found = []
+    for p in parts:
+        t = lm.common.tokenize(p.column(0))
+        words = t.words.to_pylist()
+        found += [[words[c] for c in t.codes[a:b]] for a, b in zip(t.offsets, t.offsets[1:])]
+    assert found == [words_of(t) for _, t in rows]
+    df = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    brute = Brute([t for i, t in rows if not held(i)])
+    column = pa.array([t for _, t in rows]).slice(20, 30)
+    got = lm.TrieModel(df, train=(10, {0})).score_column(column)
+    for i, (_, t) in enumerate(rows[20:50]):
+        base, n, known = base_of(t, brute)
+        assert (got["n_tokens"][i], got["n_known"][i]) == (n, known) and math.isclose(got["base_score"][i], base, rel_tol=1e-9)
+
+
 def test_held_out_rule(odd):
     rows = odd.select("doc_id", lm.held_out_column(odd, 10, {0}).alias("h")).collect()
     assert [r["h"] for r in rows] == [held(r["doc_id"]) for r in rows]
