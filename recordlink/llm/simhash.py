@@ -69,12 +69,16 @@ def _text_fingerprint(text: bytes, shingle: int) -> int:
     return _majority(np.array([hashed(flat[a:b], SEED) for a, b in zip(starts, stops, strict=True)], ">u8"))
 
 
+def fingerprint_column(column: pa.Array, shingle: int = 3) -> pa.Array:
+    """Each text's fingerprint as a signed long; those without words have 0."""
+    return pa.array(np.array([_text_fingerprint(t, shingle) for t in common.text_bytes(column)], np.uint64).view(np.int64))
+
+
 def fingerprints(df: DataFrame, shingle: int = 3, id_cols: tuple[str, ...] = ("doc_id",), text_col: str = "text") -> DataFrame:
     """``id_cols`` and ``fp`` (the fingerprint as a signed long); texts without words have 0, null texts too."""
 
     def run(column: pa.Array) -> dict[str, pa.Array]:
-        made = np.array([_text_fingerprint(t, shingle) for t in common.text_bytes(column)], np.uint64)
-        return {"fp": pa.array(made.view(np.int64))}
+        return {"fp": fingerprint_column(column, shingle)}
 
     return common.annotate(df, run, {"fp": "long"}, list(id_cols), text_col)
 
