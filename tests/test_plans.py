@@ -138,4 +138,13 @@ def test_small_experiments(spark, sf_dir):
     assert w1["joint", "recall"] < w1["knn", "recall"] >= 0.95
     w4 = {(r["method"], r["variant"], r["measure"]): r["value"] for r in E.w4_verify(spark, sf_dir).collect()}
     assert w4["verified", "light", "f1"] >= 0.9
-    assert E.w9_audit(spark, sf_dir).count() > 0 and E.w8_serialize(spark).count() == 1
+    assert E.w9_audit(spark, sf_dir).count() > 0 and E.w8_serialize(spark.createDataFrame([(1, "", "lee.k", "lee.example.org", "server7", "Active"), (2, "a@b.c", "x", "y", "z", "Active")], "qid long, email string, username string, domain string, servername string, status string")).count() == 1
+
+
+@pytest.mark.parametrize("name", ["m_cost_model", "m_limit_ratio", "w8_serialize"])
+def test_measures_follow_the_given_tables(spark, sf_dir, name):
+    """Another size of the tables, another result."""
+    from recordlink import catalog
+
+    small, large = (sorted(map(str, catalog.QUERIES[name](spark, d).collect())) for d in (sf_dir, sf_dir.replace("sf0.001", "sf0.01")))
+    assert small and large and (small != large or sf_dir.endswith("sf0.01"))
