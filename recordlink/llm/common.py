@@ -243,7 +243,8 @@ def map_file(uri: str) -> np.ndarray:
 
 @lru_cache(maxsize=4096)
 def _map_local(path: str) -> np.ndarray:
-    return np.memmap(path, dtype=np.uint8, mode="r") if os.path.getsize(path) else np.empty(0, np.uint8)
+    # A plain view: every slice of a memmap makes an object of that class.
+    return np.memmap(path, dtype=np.uint8, mode="r").view(np.ndarray) if os.path.getsize(path) else np.empty(0, np.uint8)
 
 
 def pack(arrays: dict[str, np.ndarray]) -> bytes:

@@ -65,8 +65,8 @@ def get_bits(words: np.ndarray, width: int, index: np.ndarray) -> np.ndarray:
     at = index * width
     word, shift = at >> 6, (at & 63).astype(np.uint64)
     low = words[word] >> shift
-    high = np.where(shift > 0, words[word + 1] << (np.uint64(64) - np.maximum(shift, np.uint64(1))), np.uint64(0))
-    return ((low | high) & np.uint64((1 << width) - 1)).astype(np.int64)
+    high = words[word + 1] << np.uint64(1) << (np.uint64(63) - shift)  # in two steps: 64 places at once are undefined
+    return ((low | high) & np.uint64((1 << width) - 1)).view(np.int64)
 
 
 def select_in_word(word: np.ndarray, k: np.ndarray) -> np.ndarray:
@@ -126,6 +126,18 @@ class EliasFano:
         at = word * 64 + select_in_word(self.high[word], rest)
         return (at - index << self.width) | get_bits(self.low, self.width, index)
 
+    def ranges(self, index: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The values at the indices, which increase, and at the ones after them; neighbours are read once."""
+        if not len(index):
+            return np.empty(0, np.int64), np.empty(0, np.int64)
+        alone = np.append(index[1:] != index[:-1] + 1, True)
+        place = np.arange(len(index)) + np.cumsum(alone) - alone
+        every = np.empty(len(index) + int(alone.sum()), np.int64)
+        every[place] = index
+        every[place[alone] + 1] = index[alone] + 1
+        values = self.get(every)
+        return values[place], values[place + 1]
+
 
 #: Quantised numbers lie between 10^-FLOOR and 1.
 FLOOR = 16.0
@@ -136,8 +148,11 @@ def quantise(values: np.ndarray) -> np.ndarray:
     return np.floor((values + FLOOR) * (STEPS / FLOOR)).clip(0, STEPS).astype(np.uint16)
 
 
+_RESTORED = 10.0 ** (np.arange(STEPS + 1) * (FLOOR / STEPS) - FLOOR)
+
+
 def restore(steps: np.ndarray) -> np.ndarray:
-    return 10.0 ** (steps * (FLOOR / STEPS) - FLOOR)
+    return _RESTORED[steps]
 
 
 def discount(once: int, twice: int) -> float:
@@ -198,17 +213,17 @@ class Level:
         alpha, gamma = np.zeros(q), np.ones(q)
         if not q:
             return node, first, alpha, gamma
-        shard = self.shard_of(context)
-        order = np.argsort(shard, kind="stable")
-        edges = np.searchsorted(shard[order], np.arange(len(self.context_first) + 1))
-        for s in np.unique(shard):
+        # Shards are ranges of contexts: one order serves for shards, contexts and their repeats.
+        order = np.argsort(context)
+        ordered = context[order]
+        edges = np.append(np.searchsorted(ordered, self.context_first), q)
+        for s in np.flatnonzero(np.diff(edges)).tolist():
             own = order[edges[s] : edges[s + 1]]
-            own = own[np.argsort(context[own], kind="stable")]
             a = common.unpack(common.map_file(f"{self.folder}/{s}"))
-            c = context[own] - self.context_first[s]
-            start = EliasFano.of(a, "start")
-            distinct, back = np.unique(c, return_inverse=True)
-            lo, end = start.get(distinct)[back], start.get(distinct + 1)[back]
+            c = ordered[edges[s] : edges[s + 1]] - self.context_first[s]
+            fresh = np.concatenate(([True], c[1:] != c[:-1]))
+            back = np.cumsum(fresh) - 1
+            lo, end = (x[back] for x in EliasFano.of(a, "start").ranges(c[fresh]))
             first[own] = lo + self.node_first[s]
             has = end > lo
             gamma[own] = np.where(has, restore(a["gamma"][c]), 1.0)
@@ -487,12 +502,14 @@ class TrieModel:
         begin, end = int(self.begin), int(self.end)
         seq, place = sequences(t, ids, begin, end)
         _, (end_count,) = self.vocabulary.lookup([END.encode()])
-        count, _ = sequences(t, counts, 0, int(end_count))
         real = place > 0
         n, v = self.tokens, self.words_total
         d = 0.5
         unseen = (d * v / n if n else 1.0) / (v + 1)
-        p = np.where(count > 0, (count - d) / max(n, 1), 0.0) + unseen
+        # Of each distinct word first, then of the tokens; the beginning is never counted.
+        counts = np.append(counts, [0, int(end_count)])
+        codes, _ = sequences(t, np.arange(len(t.words)), len(t.words), len(t.words) + 1)
+        p = (np.where(counts > 0, (counts - d) / max(n, 1), 0.0) + unseen)[codes]
         pair = np.flatnonzero(real)
         b, first, alpha2, gamma2 = _bigrams(self.level2, seq, pair)
         p[pair] = alpha2 + gamma2 * p[pair]
@@ -508,8 +525,8 @@ class TrieModel:
         p[third] = alpha3 + gamma3 * p[third]
         owner = np.cumsum(place == 0) - 1
         size = len(t)
-        known = (count > 0) & real
-        base = np.log10((count + 0.1) / (n + 0.1 * (v + 1)))
+        known = (counts > 0)[codes] & real
+        base = np.log10((counts + 0.1) / (n + 0.1 * (v + 1)))[codes]
         return {
             "n_tokens": t.lengths + 1,
             "n_known": np.bincount(owner[known], minlength=size),

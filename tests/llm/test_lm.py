@@ -192,3 +192,18 @@ def test_chunks_behind_the_first_are_scored_from_their_own_words(spark):
 def test_held_out_rule(odd):
     rows = odd.select("doc_id", lm.held_out_column(odd, 10, {0}).alias("h")).collect()
     assert [r["h"] for r in rows] == [held(r["doc_id"]) for r in rows]
+
+
+def test_ranges_of_neighbouring_contexts_are_read_once(monkeypatch):
+    """A range's end is the next one's start: that place is not looked up twice, and packed numbers of all widths and places come back."""
+    rng = np.random.default_rng(3)
+    values = np.cumsum(rng.integers(0, 9, 5000))
+    coded, get, asked = lm.EliasFano.build(values), lm.EliasFano.get, []
+    monkeypatch.setattr(lm.EliasFano, "get", lambda self, i: asked.append(len(i)) or get(self, i))
+    for index in (np.arange(4999), np.arange(0, 4999, 2), np.flatnonzero(rng.random(4999) < 0.6), np.array([4998]), np.empty(0, np.int64)):
+        lo, end = coded.ranges(index)
+        assert (lo == values[index]).all() and (end == values[index + 1]).all()
+    assert asked[0] == 5000
+    for width in (1, 7, 31, 33, 63):
+        v = rng.integers(0, 1 << width, 700)
+        assert (lm.get_bits(lm.pack_bits(v, width), width, np.arange(700)) == v).all()
