@@ -8,6 +8,7 @@ chunk once.
 from __future__ import annotations
 
 import ctypes
+import gc
 import os
 import tempfile
 import uuid
@@ -188,6 +189,12 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def sweep(spark: SparkSession) -> None:
+    """Let Spark drop the shuffle files of what has been settled: it does when the driver's garbage is collected, which may be late."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def put_file(uri: str, data: bytes) -> None:
     """Write one file as a whole: a repeated or lost task leaves either no file or the full one."""
     where, path = pafs.FileSystem.from_uri(uri)
