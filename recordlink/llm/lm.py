@@ -260,14 +260,18 @@ class Vocabulary:
         """(id or -1, count) of each word."""
         h = np.array([xxhash.xxh64_intdigest(w, self.seed) for w in words], np.uint64)
         ids, counts = np.full(len(h), -1, np.int64), np.zeros(len(h), np.int64)
+        # In order of hashes shards are ranges, and neighbours are found in neighbouring places.
+        order = np.argsort(h)
+        h = h[order]
         shard = (h >> np.uint64(64 - self.bits)).astype(np.int64) if self.bits else np.zeros(len(h), np.int64)
-        for s in np.unique(shard):
-            own = np.flatnonzero(shard == s)
+        edges = np.searchsorted(shard, np.arange(len(self.first) + 1))
+        for s in np.flatnonzero(np.diff(edges)).tolist():
             a = common.unpack(common.map_file(f"{self.folder}/{s}"))
             if not len(a["hash"]):
                 continue
-            at = np.minimum(np.searchsorted(a["hash"], h[own]), len(a["hash"]) - 1)
-            hit = a["hash"][at] == h[own]
+            want, own = h[edges[s] : edges[s + 1]], order[edges[s] : edges[s + 1]]
+            at = np.minimum(np.searchsorted(a["hash"], want), len(a["hash"]) - 1)
+            hit = a["hash"][at] == want
             ids[own[hit]] = at[hit] + self.first[s]
             counts[own[hit]] = a["count"][at[hit]]
         return ids, counts
@@ -282,10 +286,10 @@ def sequences(t: common.Tokens, ids: np.ndarray, begin: int, end: int) -> tuple[
     stops = np.cumsum(lengths)
     seq = np.empty(int(stops[-1]) if len(stops) else 0, np.int64)
     place = np.arange(len(seq)) - np.repeat(stops - lengths, lengths)
-    last = np.zeros(len(seq), bool)
-    last[stops - 1] = True
-    seq[place == 0], seq[last] = begin, end
-    seq[(place > 0) & ~last] = ids[t.codes]
+    inner = np.ones(len(seq), bool)
+    inner[stops - lengths], inner[stops - 1] = False, False
+    seq[stops - lengths], seq[stops - 1] = begin, end
+    seq[inner] = ids[t.codes]
     return seq, place
 
 
@@ -500,7 +504,9 @@ class TrieModel:
         t = common.tokenize(column)
         ids, counts = self.vocabulary.lookup(t.words.cast(pa.large_binary()).to_pylist())
         begin, end = int(self.begin), int(self.end)
-        seq, place = sequences(t, ids, begin, end)
+        # Words are numbered within the chunk first: whatever is known of each distinct one is then read by these numbers.
+        codes, place = sequences(t, np.arange(len(t.words)), len(t.words), len(t.words) + 1)
+        seq = np.append(ids, [begin, end])[codes]
         _, (end_count,) = self.vocabulary.lookup([END.encode()])
         real = place > 0
         n, v = self.tokens, self.words_total
@@ -508,7 +514,6 @@ class TrieModel:
         unseen = (d * v / n if n else 1.0) / (v + 1)
         # Of each distinct word first, then of the tokens; the beginning is never counted.
         counts = np.append(counts, [0, int(end_count)])
-        codes, _ = sequences(t, np.arange(len(t.words)), len(t.words), len(t.words) + 1)
         p = (np.where(counts > 0, (counts - d) / max(n, 1), 0.0) + unseen)[codes]
         pair = np.flatnonzero(real)
         b, first, alpha2, gamma2 = _bigrams(self.level2, seq, pair)
@@ -525,7 +530,7 @@ class TrieModel:
         p[third] = alpha3 + gamma3 * p[third]
         owner = np.cumsum(place == 0) - 1
         size = len(t)
-        known = (counts > 0)[codes] & real
+        known = (counts > 0)[codes]  # the beginning's count is 0
         base = np.log10((counts + 0.1) / (n + 0.1 * (v + 1)))[codes]
         return {
             "n_tokens": t.lengths + 1,

@@ -207,3 +207,17 @@ def test_ranges_of_neighbouring_contexts_are_read_once(monkeypatch):
     for width in (1, 7, 31, 33, 63):
         v = rng.integers(0, 1 << width, 700)
         assert (lm.get_bits(lm.pack_bits(v, width), width, np.arange(700)) == v).all()
+
+
+def test_a_chunk_is_numbered_once_and_words_are_looked_up_in_order(docs, monkeypatch):
+    model = lm.TrieModel(docs, (10, {0}), shard_tokens=4_000)
+    assert len(model.vocabulary.first) > 1
+    words = sorted({w.lower() for r in docs.select("text").limit(40).collect() for w in (r["text"] or "").encode().split()})
+    asked = [*words, b"no such word", *reversed(words)]
+    ids, counts = model.vocabulary.lookup(asked)
+    each = [model.vocabulary.lookup([w]) for w in asked]
+    assert ids.tolist() == [int(a[0]) for a, _ in each] and counts.tolist() == [int(b[0]) for _, b in each]
+    calls, real = [], lm.sequences
+    monkeypatch.setattr(lm, "sequences", lambda *a: calls.append(1) or real(*a))
+    model.score_column(pa.array(["a few words", None, "no such word at all"]))
+    assert len(calls) == 1
